@@ -2,7 +2,7 @@
 
 from importlib import import_module
 
-MODULES = ("quality",)
+MODULES = ("toxicity", "fingerprints", "quality")
 
 
 def _all(what: str) -> dict:
