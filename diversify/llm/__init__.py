@@ -2,7 +2,7 @@
 
 from importlib import import_module
 
-MODULES = ("toxicity", "fingerprints", "quality")
+MODULES = ("toxicity", "repeats", "fingerprints", "quality")
 
 
 def _all(what: str) -> dict:
