@@ -2,7 +2,7 @@
 
 from importlib import import_module
 
-MODULES = ("toxicity", "repeats", "vectors", "fingerprints", "quality")
+MODULES = ("toxicity", "repeats", "vectors", "wrappers", "fingerprints", "quality")
 
 
 def _all(what: str) -> dict:
