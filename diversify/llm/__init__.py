@@ -2,7 +2,7 @@
 
 from importlib import import_module
 
-MODULES = ("toxicity", "repeats", "mixing", "vectors", "wrappers", "fingerprints", "quality")
+MODULES = ("toxicity", "repeats", "mixing", "vectors", "wrappers", "fingerprints", "leaks", "quality")
 
 
 def _all(what: str) -> dict:
