@@ -93,9 +93,17 @@ def _gathered(parts: list[tuple[np.ndarray, ...]]) -> pa.RecordBatch | None:
 def _earlier(rows: DataFrame) -> DataFrame:
     """``rows`` with later: an equal (a, b) stands earlier. Runs over sorted rows with what came first of their group."""
     w = Window.partitionBy("a", "b").orderBy("doc_id", "place").rowsBetween(Window.unboundedPreceding, 0)
-    start = F.shiftright("place", _START)
-    first = F.first(F.struct("doc_id", start.alias("start"))).over(w)
-    return rows.withColumn("later", F.col("done") | (first < F.struct("doc_id", start.alias("start"))))
+    # Plain columns only: an expression here would be computed before the shuffle and be shuffled too.
+    of = rows.withColumn("first_id", F.first("doc_id").over(w)).withColumn("first_place", F.first("place").over(w))
+    above = F.shiftright("first_place", _START) < F.shiftright("place", _START)
+    later = F.col("done") | (F.col("first_id") < F.col("doc_id")) | ((F.col("first_id") == F.col("doc_id")) & above)
+    return of.withColumn("later", later).drop("first_id", "first_place")
+
+
+def _named(docs: DataFrame) -> DataFrame:
+    """The rows with an id. Every join by id starts from this same plan, so that the texts are shuffled once and read twice."""
+    own = "doc_id" if dict(docs.dtypes)["doc_id"] == "bigint" else F.col("doc_id").cast("long")  # even a cast that does nothing would make two plans of it
+    return docs.select(own, "text").where("doc_id IS NOT NULL")
 
 
 def seeds(docs: DataFrame) -> DataFrame:
@@ -110,7 +118,7 @@ def seeds(docs: DataFrame) -> DataFrame:
             if (out := _gathered(parts)) is not None:
                 yield out
 
-    rows = docs.where("doc_id IS NOT NULL").select(F.col("doc_id").cast("long"), "text").mapInArrow(made, _ROWS)
+    rows = _named(docs).mapInArrow(made, _ROWS)
     anchor = Window.partitionBy("a")
     mixed_group = F.min("b").over(anchor) < F.max("b").over(anchor)
     told = _earlier(rows.withColumn("mixed", mixed_group)).where("later OR mixed")
@@ -142,7 +150,7 @@ def windows(docs: DataFrame, marks: DataFrame) -> DataFrame:
                 yield out
 
     some = marks.where(F.size("open") > 0).select("doc_id", "open")
-    rows = docs.select(F.col("doc_id").cast("long"), "text").join(some, "doc_id").mapInArrow(made, _ROWS)
+    rows = _named(docs).join(some, "doc_id").select("doc_id", "text", "open").mapInArrow(made, _ROWS)
     return _earlier(rows).where("later").groupBy("doc_id").agg(F.collect_list("place").alias("windows"))
 
 
@@ -173,8 +181,10 @@ def without_repeats(docs: DataFrame) -> DataFrame:
                 n, gone, kept, digest = zip(*out, strict=True)
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(first, len(texts)), pa.array(n, pa.int64()), pa.array(gone, pa.int64()), pa.array(kept, pa.binary()).cast(pa.string()), pa.array(digest)], ["doc_id", "n_words", "n_removed", "kept", "kept_sha256"])
 
-    joined = docs.select("doc_id", "text").join(marks.select("doc_id", "repeated"), "doc_id", "left").join(single, "doc_id", "left")
-    return joined.mapInArrow(made, f"doc_id {dict(docs.dtypes)['doc_id']}, n_words long, n_removed long, kept string, kept_sha256 string")
+    nobody = F.lit(None).cast("array<long>")
+    joined = _named(docs).join(marks.select("doc_id", "repeated"), "doc_id", "left").join(single, "doc_id", "left").select("doc_id", "text", "repeated", "windows")
+    unnamed = docs.where("doc_id IS NULL").select(F.col("doc_id").cast("long"), "text", nobody.alias("repeated"), nobody.alias("windows"))
+    return joined.unionByName(unnamed).mapInArrow(made, "doc_id long, n_words long, n_removed long, kept string, kept_sha256 string")
 
 
 def repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
