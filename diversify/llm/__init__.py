@@ -2,7 +2,7 @@
 
 from importlib import import_module
 
-MODULES = ("pii", "toxicity", "repeats", "mixing", "vectors", "wrappers", "fingerprints", "leaks", "quality")
+MODULES = ("pii", "toxicity", "repeats", "licences", "mixing", "vectors", "wrappers", "fingerprints", "leaks", "quality")
 
 
 def _all(what: str) -> dict:
