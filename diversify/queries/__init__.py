@@ -1,4 +1,7 @@
 """Queries over the given tables and their oracles, one module per part of the inventory."""
 
-QUERIES: dict = {}
-SQL: dict = {}
+from diversify.queries import methods
+
+MODULES = (methods,)
+QUERIES: dict = {k: v for m in MODULES for k, v in m.QUERIES.items()}
+SQL: dict = {k: v for m in MODULES for k, v in m.SQL.items()}
