@@ -115,10 +115,14 @@ def _dealt(prints: DataFrame, rows: int) -> DataFrame:
     points = [r.fp for r in prints.orderBy(F.xxhash64("fp"), "fp").limit(levels).collect()]
     away = [F.bit_count(F.col("fp").bitwiseXOR(F.lit(p))) for p in points]
     radii = prints.agg(*(F.percentile_approx(d, 0.5).alias(f"r{k}") for k, d in enumerate(away))).first()
-    dealt = prints.select(F.lit(0).cast("long").alias("shard"), "fp")
+    shards = F.array(F.lit(0).cast("long"))
     for d, r in zip(away, radii, strict=True):
-        dealt = dealt.select((F.col("shard") * 2).alias("shard"), "fp", F.explode(_sides(d, r)).alias("side")).select((F.col("shard") + F.col("side")).alias("shard"), "fp")
-    return dealt
+        shards = F.flatten(F.transform(shards, _numbers(_sides(d, r))))
+    return prints.select(F.explode(shards).alias("shard"), "fp")
+
+
+def _numbers(sides: Column):
+    return lambda shard: F.transform(sides, lambda side: shard * 2 + side)
 
 
 def near_links(prints: DataFrame) -> DataFrame:
