@@ -27,6 +27,8 @@ class PointSpace:
     def slim(self, *more: str) -> DataFrame:
         """pid, v and ``more``: what the kernels read. Everything else stays out of the shuffle; join it back by pid."""
         v = F.col(self.coords[0]) if self.arrays else F.array(*(F.col(c).cast("double") for c in self.coords))
+        if self.metric == "sparse":  # terms and counts in turn: a flat array crosses to the kernels as it is
+            v = F.flatten(F.transform(v, lambda x: F.array(x["term"].cast("long"), x["cnt"].cast("long"))))
         return self.df.select(F.col("pid").cast("long").alias("pid"), v.alias("v"), *more)
 
     def valid(self) -> PointSpace:
@@ -83,8 +85,7 @@ def block_of(t: pa.Table | pa.RecordBatch, metric: str) -> Block:
     if metric == "jaccard":
         return Block(ids, v.to_pylist(), metric)
     if metric == "sparse":
-        rows = v.to_pylist()
-        return Block(ids, [([x["term"] for x in r], [x["cnt"] for x in r]) for r in rows], metric)
+        return Block(ids, [(r[::2], r[1::2]) for r in v.to_pylist()], metric)
     flat = v.combine_chunks().flatten() if isinstance(v, pa.ChunkedArray) else v.flatten()
     return Block(ids, np.asarray(flat, float).reshape(len(ids), -1) if len(ids) else np.zeros((0, 1)), metric)
 
