@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from diversify.functions import kernels
-from diversify.operators.space import PointSpace, block_of, rows_of
+from diversify.operators.space import PointSpace, block_of, v_of
 
 
 def schema(v: str) -> str:
@@ -32,7 +32,7 @@ def build(parted: DataFrame, m: int, kind: str = "anchors", cap: int = 1, metric
         pairs = kernels.delegates(picks, owner, cap) if kind == "delegates" else [(int(p), int(p)) for p in picks]
         rank = {int(p): r for r, p in enumerate(picks)}
         ids, anchors = b.ids[[x for _, x in pairs]], b.ids[[a for a, _ in pairs]]
-        v = t.column("v").combine_chunks().take(pa.array(rows_of(t, ids)))
+        v = v_of(t, ids)
         part = t.column("part_id")[0].as_py()
         ranks = [rank[a] for a, _ in pairs]
         return pa.table({

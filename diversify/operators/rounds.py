@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from diversify.functions import kernels
 from diversify.operators import coresets, solvers
-from diversify.operators.space import PointSpace
+from diversify.operators.space import PointSpace, block_of, v_of
 from diversify.plans.params import strict
 
 
@@ -55,9 +55,7 @@ def instantiate(parted: DataFrame, anchors: DataFrame, metric: str) -> DataFrame
     def made(key, left: pa.Table, right: pa.Table) -> pa.Table:
         ranks = sorted(zip(right.column("pick_rank").to_pylist(), right.column("anchor_pid").to_pylist(), right.column("take").to_pylist(), strict=True))
         if not any(t for _, _, t in ranks) or not left.num_rows:
-            return left.select(["pid", "v"]).slice(0, 0)
-        from diversify.operators.space import block_of, rows_of
-
+            return pa.table({"pid": pa.array([], pa.int64()), "v": v_of(left, np.zeros(0, np.int64))})
         b = block_of(left, metric)
         where = {p: i for i, p in enumerate(b.ids.tolist())}
         near, owner = np.full(len(b), np.inf), np.zeros(len(b), np.int64)
@@ -71,7 +69,7 @@ def instantiate(parted: DataFrame, anchors: DataFrame, metric: str) -> DataFrame
             if take:
                 members = b.ids[owner == r]
                 out += [pid, *members[members != pid][: take - 1].tolist()]
-        return left.select(["pid", "v"]).take(pa.array(rows_of(left, np.array(out, np.int64)), pa.int64()))
+        return pa.table({"pid": pa.array(out, pa.int64()), "v": v_of(left, np.array(out, np.int64))})
 
     v = parted.schema["v"].dataType.simpleString()
     return parted.groupBy("part_id").cogroup(anchors.groupBy("part_id")).applyInArrow(made, f"pid long, v {v}")
@@ -81,11 +79,9 @@ def with_value(chosen: DataFrame, k: int, objective: str, metric: str = "euclid"
     """(pid, pick_rank, v, value) of at most k rows (pid, v)."""
 
     def made(t: pa.Table) -> pa.Table:
-        from diversify.operators.space import block_of, rows_of
-
         b = block_of(t, metric)
         value = kernels.value(b.matrix(), objective)
-        return pa.table({"pid": pa.array(b.ids), "pick_rank": pa.array(range(len(b)), pa.int64()), "v": t.column("v").combine_chunks().take(pa.array(rows_of(t, b.ids), pa.int64())), "value": pa.array([value] * len(b), pa.float64())})
+        return pa.table({"pid": pa.array(b.ids), "pick_rank": pa.array(range(len(b)), pa.int64()), "v": v_of(t, b.ids), "value": pa.array([value] * len(b), pa.float64())})
 
     v = chosen.schema["v"].dataType.simpleString()
     return chosen.select("pid", "v", F.lit(0).alias("_all")).groupBy("_all").applyInArrow(made, f"pid long, pick_rank long, v {v}, value double")

@@ -7,7 +7,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from diversify.functions import kernels
-from diversify.operators.space import block_of, rows_of
+from diversify.operators.space import block_of, v_of
 from diversify.plans.params import REGISTRY
 
 
@@ -38,7 +38,7 @@ def solve(gathered: DataFrame, k: int, objective: str, metric: str = "euclid", h
         value = _chosen(b, at, objective)
         ids = b.ids[at]
         cols = {by: pa.array([t.column(by)[0].as_py()] * len(at), t.schema.field(by).type)} if by else {}
-        cols |= {"pid": pa.array(ids), "pick_rank": pa.array(range(len(at)), pa.int64()), "v": t.column("v").combine_chunks().take(pa.array(rows_of(t, ids), pa.int64())), "value": pa.array([value] * len(at), pa.float64())}
+        cols |= {"pid": pa.array(ids), "pick_rank": pa.array(range(len(at)), pa.int64()), "v": v_of(t, ids), "value": pa.array([value] * len(at), pa.float64())}
         return pa.table(cols)
 
     v = gathered.schema["v"].dataType.simpleString()
@@ -62,7 +62,7 @@ def solve_with_counts(gathered: DataFrame, k: int, objective: str, metric: str =
         whole = b.matrix()
         value = kernels.value(whole[copies][:, copies], objective)
         ids = b.ids[at]
-        return pa.table({"pid": pa.array(ids), "v": t.column("v").combine_chunks().take(pa.array(rows_of(t, ids), pa.int64())), "mult": pa.array([chosen[i] for i in at], pa.int64()), "value": pa.array([value] * len(at), pa.float64())})
+        return pa.table({"pid": pa.array(ids), "v": v_of(t, ids), "mult": pa.array([chosen[i] for i in at], pa.int64()), "value": pa.array([value] * len(at), pa.float64())})
 
     v = gathered.schema["v"].dataType.simpleString()
     return gathered.select("pid", "v", "mult", F.lit(0).alias("_all")).groupBy("_all").applyInArrow(made, f"pid long, v {v}, mult long, value double")

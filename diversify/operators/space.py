@@ -94,3 +94,9 @@ def rows_of(t: pa.Table, pids: np.ndarray) -> list[int]:
     """Row numbers of some ids."""
     where = {p: i for i, p in enumerate(t.column("pid").to_pylist())}
     return [where[p] for p in pids.tolist()]
+
+
+def v_of(t: pa.Table, ids: np.ndarray) -> pa.Array:
+    """The coordinates of some ids, with elements that may be null, as a schema's text declares them."""
+    v = t.column("v").combine_chunks().take(pa.array(rows_of(t, ids), pa.int64()))
+    return v.cast(pa.list_(v.type.value_type))
