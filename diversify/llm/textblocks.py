@@ -47,7 +47,7 @@ class Prefixes:
         return mixed((self.sums[ends] - self.sums[starts]) * self.inverse[starts] + (ends - starts).astype(U))
 
 
-def slices(texts: pa.Array, most: int = 1 << 21) -> Iterator[tuple[int, list[bytes]]]:
+def slices(texts: pa.Array, most: int = 1 << 19) -> Iterator[tuple[int, list[bytes]]]:
     """(first row, texts as UTF-8) of parts of about ``most`` bytes; a longer text is a part of its own. Null is empty."""
     if isinstance(texts, pa.ChunkedArray):
         texts = texts.combine_chunks()
