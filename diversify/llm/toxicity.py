@@ -1,8 +1,8 @@
 """Toxicity from a logistic regression whose scores may not depend on which group a sentence names.
 
 Features are the words of a text and the beginnings of its words, each present or not. For every training text that names a group, a
-counterfactual with the group terms swapped is made; the loss adds the squared difference between the scores of the two, so that a
-neutral mention of one group weighs as much as that of another. Weights are kept for features whose share differs between the labels.
+counterfactual with the group terms swapped and one without them are made; the loss adds the squared differences of the scores, so that a
+neutral mention of a group weighs as much as that of another, and next to nothing. Weights are kept for features whose share differs between the labels.
 
 Defined cases: a null or empty text has no features and gets the score of the intercept; with no training labels, or labels of one
 kind, every score is that kind's share (0 without any). Repeated rows get a row each; other columns are ignored.
@@ -57,13 +57,16 @@ def features(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     return (both >> U(BITS)).astype(np.int64), (both & U((1 << BITS) - 1)).astype(np.int64)
 
 
-def swapped(text: bytes) -> bytes | None:
-    """The counterfactual of a text, or None where it names no group."""
+def counterfactuals(text: bytes) -> tuple[bytes, bytes] | None:
+    """The text with its groups swapped, and with them left out; None where it names no group.
+
+    The second keeps the model from finding all groups equally toxic.
+    """
     words = text.lower().split()
     bare = [w.strip(b".,;:!?\"'()") for w in words]
     if not any(w in NEXT for w in bare):
         return None
-    return b" ".join(NEXT.get(w, w) for w in bare)
+    return b" ".join(NEXT.get(w, w) for w in bare), b" ".join(w for w in bare if w not in NEXT)
 
 
 @dataclass
@@ -77,8 +80,8 @@ class GroupBlindModel:
         return 1 / (1 + np.exp(-np.clip(level, -30, 30)))
 
 
-def fit(rows: list[tuple[int, np.ndarray, np.ndarray]], rounds: int = 300, penalty: float = 2e-4) -> GroupBlindModel:
-    """rows: label, features, features of the counterfactual (none: empty)."""
+def fit(rows: list[tuple[int, np.ndarray, list[np.ndarray]]], rounds: int = 300, penalty: float = 2e-4) -> GroupBlindModel:
+    """rows: label, features, features of the counterfactuals."""
     y = np.array([r[0] for r in rows], float)
     if len(set(y.tolist())) < 2:
         share = float(y.mean()) if len(y) else 0.0
@@ -99,8 +102,8 @@ def fit(rows: list[tuple[int, np.ndarray, np.ndarray]], rounds: int = 300, penal
         return row[col >= 0], col[col >= 0]
 
     row, col = matrix([r[1] for r in rows])
-    pairs = [r for r in rows if len(r[2])]
-    (r1, c1), (r2, c2) = matrix([r[1] for r in pairs]), matrix([r[2] for r in pairs])
+    pairs = [(own, twin) for _, own, twins in rows for twin in twins]
+    (r1, c1), (r2, c2) = matrix([own for own, _ in pairs]), matrix([twin for _, twin in pairs])
     w, bias, m, v = np.zeros(len(chosen) + 1), float(np.log(n1 / n0)), 0.0, 0.0
     w[-1] = bias
     for step in range(1, rounds + 1):
@@ -123,14 +126,15 @@ def train(docs: DataFrame, labels: DataFrame, most: int = SAMPLE) -> GroupBlindM
     def made(batches):
         for batch in batches:
             for first, texts in slices(batch.column("text")):
-                other = [swapped(t) for t in texts]
+                other = [counterfactuals(t) for t in texts]
                 split = lambda d, f: [f[a:b].astype(np.int32).tobytes() for a, b in pairwise(np.searchsorted(d, np.arange(len(texts) + 1)))]  # noqa: E731, B023
-                own, twin = split(*features(texts)), split(*features([t or b"" for t in other]))
-                yield pa.RecordBatch.from_arrays([batch.column("y").slice(first, len(texts)), pa.array(own, pa.binary()), pa.array(twin, pa.binary())], ["y", "own", "twin"])
+                own, swap, none = split(*features(texts)), split(*features([t[0] if t else b"" for t in other])), split(*features([t[1] if t else b"" for t in other]))
+                named = pa.array([t is not None for t in other])
+                yield pa.RecordBatch.from_arrays([batch.column("y").slice(first, len(texts)), pa.array(own, pa.binary()), named, pa.array(swap, pa.binary()), pa.array(none, pa.binary())], ["y", "own", "named", "swap", "none"])
 
-    rows = training_rows(docs, labels, "toxic", most).mapInArrow(made, "y int, own binary, twin binary").collect()
+    rows = training_rows(docs, labels, "toxic", most).mapInArrow(made, "y int, own binary, named boolean, swap binary, none binary").collect()
     read = lambda b: np.frombuffer(b, np.int32).astype(np.int64)
-    return fit([(r.y, read(r.own), read(r.twin)) for r in sorted(rows, key=lambda r: (r.y, r.own))])
+    return fit([(r.y, read(r.own), [read(r.swap), read(r.none)] if r.named else []) for r in sorted(rows, key=lambda r: (r.y, r.own))])
 
 
 def score(docs: DataFrame, model: GroupBlindModel) -> DataFrame:
