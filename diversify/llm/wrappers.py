@@ -271,8 +271,11 @@ def main_text(html: str | None, wrapper: list | None) -> str:
                 kept.extend(x for x in own if digest(x[0]) not in repeated)
             return
         below = {c[0]: c for c in place[2]}
-        for child in node.children:
-            walk(child, below.get(child.label, ["", [], []]))
+        for part in node.parts:
+            if isinstance(part, Node):
+                walk(part, below.get(part.label, ["", [], []]))
+            elif text := " ".join(part.split()):  # only outside the body
+                kept.append((text, 0))
 
     walk(root, tree)
     return "\n".join(t for t, _ in kept)
