@@ -190,6 +190,8 @@ class Sketch:
 
     def update(self, ids, points) -> Sketch:
         """Feeds points in their order. Distances to the kept points are computed for a block at once and brought up to date as points are kept."""
+        if not len(ids):
+            return self
         points = np.asarray(points, float).reshape(len(ids), -1)
         at = 0
         while at < len(ids) and self.square is None:

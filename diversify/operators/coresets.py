@@ -107,7 +107,7 @@ def phase_log(ordered: DataFrame, k: int, m: int, order: tuple[str, ...] = ("pid
     def made(batches):
         s = kernels.Sketch(k, m)
         for batch in batches:
-            x = np.asarray(batch.column("v").flatten(), float).reshape(batch.num_rows, -1)
+            x = np.asarray(batch.column("v").flatten(), float).reshape(batch.num_rows, -1) if batch.num_rows else np.zeros((0, 1))
             s.update(batch.column("pid").to_numpy(), x)
         if s.log:
             phase, square, kept, removed, seen = zip(*s.log, strict=True)

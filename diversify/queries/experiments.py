@@ -169,4 +169,4 @@ def sites(spark, d) -> DataFrame:
 add("app_sites", sites, q.query(
     [q.cte("pts", f"SELECT s.*, n_regionkey::BIGINT AS part_id FROM ({SUPPLIERS}) s JOIN nation ON n_nationkey = grp"), q.farthest("ff", "pts", 3), q.cte("c", f"SELECT part_id AS region, pid, x, y FROM ({q.last('ff')}) WHERE picked"),
      q.cte("v", f"SELECT a.region, min(sqrt(({q.square('a', 'b', XY)})::DOUBLE)) AS value FROM c a JOIN c b ON a.region = b.region AND a.pid < b.pid GROUP BY 1")],
-    "SELECT region, pid, round(value, 6) AS value FROM c JOIN v USING (region)"))
+    "SELECT region, pid, round(coalesce(value, 0), 6) AS value FROM c LEFT JOIN v USING (region)"))

@@ -111,13 +111,16 @@ add("a_hash", lambda spark, d: tables.events(spark, d).df.groupBy("grp").agg(F.c
 add("a_sort", lambda spark, d: tables.suppliers(spark, d).df.groupBy("grp").agg(F.array_join(F.array_sort(F.collect_list("pid")), ",").alias("pids")), f"SELECT grp, string_agg(pid::VARCHAR, ',' ORDER BY pid) AS pids FROM ({SUPPLIERS}) GROUP BY grp")
 add("a_argmax", lambda spark, d: tables.customers(spark, d).df.groupBy("grp").agg(F.max(F.struct("x", (-F.col("pid")).alias("low"))).alias("m")).select("grp", (-F.col("m.low")).alias("pid"), "m.x"), f"SELECT grp, pid, x FROM ({CUSTOMERS}) QUALIFY row_number() OVER (PARTITION BY grp ORDER BY x DESC, pid) = 1")
 add("a_distinct", lambda spark, d: tables.parts(spark, d).df.agg(F.count_distinct("x").alias("x"), F.count_distinct("x", "y").alias("xy"), (F.abs(F.approx_count_distinct("x") - F.count_distinct("x")) <= 5).alias("close"), (F.abs(F.hll_sketch_estimate(F.hll_sketch_agg("x")) - F.count_distinct("x")) <= 5).alias("close_sketch")), f"SELECT count(DISTINCT x) AS x, count(DISTINCT (x, y)) AS xy, true AS close, true AS close_sketch FROM ({PARTS})")
-_AGG = (F.count("*").alias("n"), F.sum("x").alias("x"))
-_GROUPS = (F.coalesce("grp", F.lit("all")).alias("grp"), F.coalesce("u", F.lit(-1)).cast("long").alias("u"), "n", "x")
+def _agg(grouped) -> DataFrame:
+    out = grouped.agg(F.count("*").alias("n"), F.sum("x").alias("x"))
+    return out.select(F.coalesce("grp", F.lit("all")).alias("grp"), F.coalesce("u", F.lit(-1)).cast("long").alias("u"), "n", "x")
+
+
 _BASE = f"(SELECT grp, user_id % 4 AS u, x FROM ({EVENTS}))"
 _EVU = lambda spark, d: tables.events(spark, d).df.select("grp", (F.col("user_id") % 4).alias("u"), "x")
-add("a_cube", lambda spark, d: _EVU(spark, d).cube("grp", "u").agg(*_AGG).select(*_GROUPS), f"SELECT coalesce(grp, 'all') AS grp, coalesce(u, -1)::BIGINT AS u, count(*) AS n, sum(x)::BIGINT AS x FROM {_BASE} GROUP BY CUBE (grp, u)")
-add("a_rollup", lambda spark, d: _EVU(spark, d).rollup("grp", "u").agg(*_AGG).select(*_GROUPS), f"SELECT coalesce(grp, 'all') AS grp, coalesce(u, -1)::BIGINT AS u, count(*) AS n, sum(x)::BIGINT AS x FROM {_BASE} GROUP BY ROLLUP (grp, u)")
-add("a_gsets", lambda spark, d: _EVU(spark, d).groupingSets([("grp",), ("u",)], "grp", "u").agg(*_AGG).select(*_GROUPS), f"SELECT coalesce(grp, 'all') AS grp, coalesce(u, -1)::BIGINT AS u, count(*) AS n, sum(x)::BIGINT AS x FROM {_BASE} GROUP BY GROUPING SETS ((grp), (u))")
+add("a_cube", lambda spark, d: _agg(_EVU(spark, d).cube("grp", "u")), f"SELECT coalesce(grp, 'all') AS grp, coalesce(u, -1)::BIGINT AS u, count(*) AS n, sum(x)::BIGINT AS x FROM {_BASE} GROUP BY CUBE (grp, u)")
+add("a_rollup", lambda spark, d: _agg(_EVU(spark, d).rollup("grp", "u")), f"SELECT coalesce(grp, 'all') AS grp, coalesce(u, -1)::BIGINT AS u, count(*) AS n, sum(x)::BIGINT AS x FROM {_BASE} GROUP BY ROLLUP (grp, u)")
+add("a_gsets", lambda spark, d: _agg(_EVU(spark, d).groupingSets([("grp",), ("u",)], "grp", "u")), f"SELECT coalesce(grp, 'all') AS grp, coalesce(u, -1)::BIGINT AS u, count(*) AS n, sum(x)::BIGINT AS x FROM {_BASE} GROUP BY GROUPING SETS ((grp), (u))")
 add("a_pivot", lambda spark, d: _EVU(spark, d).groupBy("u").pivot("grp", ["click", "error", "purchase"]).agg(F.count(F.lit(1))).na.fill(0), f"SELECT u, count(*) FILTER (WHERE grp = 'click') AS click, count(*) FILTER (WHERE grp = 'error') AS error, count(*) FILTER (WHERE grp = 'purchase') AS purchase FROM {_BASE} GROUP BY u")
 add("a_quantile", lambda spark, d: relational.distance_quantiles(measures.pairs(tables.suppliers(spark, d).df, list(XY)), [0.1, 0.5, 0.9]), f"WITH p AS ({SUPPLIERS}), e AS (SELECT sqrt(({q.square('a', 'b', XY)})::DOUBLE) AS d FROM p a JOIN p b ON a.pid < b.pid) SELECT unnest([0.1, 0.5, 0.9])::DOUBLE AS q, round(unnest((SELECT quantile_cont(d, [0.1, 0.5, 0.9]) FROM e)), 6) AS value")
 add("a_group_diversity", lambda spark, d: solvers.solve(tables.customers(spark, d).slim("grp"), 3, "edge", by="grp").groupBy("grp").agg(F.round(F.max("value"), 6).alias("value"), F.count("*").alias("n")), q.query(
