@@ -7,7 +7,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
@@ -76,8 +76,8 @@ def sketch(stream: DataFrame, k: int, k_prime: int, objective: str = "edge", sha
 
 def finalise(core: DataFrame, k: int, objective: str) -> DataFrame:
     """The solver on the latest core-sets of all shards (shard, pid, v, seen)."""
-    last = core.groupBy("shard").agg(F.max("seen").alias("seen"))
-    return solvers.solve(core.join(last, ["shard", "seen"]), k, objective)
+    last = F.max("seen").over(Window.partitionBy("shard"))
+    return solvers.solve(core.withColumn("_last", last).where("seen = _last"), k, objective)
 
 
 def save_state(sketches: dict[int, Sketch], spark: SparkSession, path: str) -> None:
