@@ -24,7 +24,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from diversify.llm.base import WORD, checkpoint, table, word_count
+from diversify.llm.base import SPACE, between, checkpoint, table, word_count
 
 WEIGHTS, SHARE, REPEATS = (3, 1, 2), 1.5, 2
 BLOCKS, SHARDS, MOST_SOURCES, SEED = 1024, 16, 100_000, 20
@@ -130,7 +130,7 @@ def mix(docs: DataFrame, shards: int = SHARDS, seed: int = SEED) -> DataFrame:
     docs = docs.drop("size", "pass", "shard", "words", "turn")
     names = docs.columns
     drawn = draws(docs.withColumn("size", word_count(F.col("text"))), shards, seed).select(*names, "size", F.explode("draws").alias("_draw")).select(*names, "size", "_draw.*")
-    head = F.array_join(F.slice(F.regexp_extract_all("text", F.lit(WORD), F.lit(0)), F.lit(1), F.col("words").cast("int")), " ")
+    head = F.array_join(F.slice(between(F.col("text"), SPACE), F.lit(1), F.col("words").cast("int")), " ")
     text = F.when(F.col("words") < F.col("size"), head).otherwise(F.col("text"))
     turn = F.xxhash64(F.lit(seed), "shard", "pass", "doc_id")
     return drawn.withColumn("text", text).withColumn("turn", turn).select(*names, "pass", "shard", "words", "turn")
