@@ -9,7 +9,7 @@ the base ones. Base spans (pattern and check hold) always stay.
 Votes are few values, so spans are summed to patterns where they are: at most one row for each combination of votes, kind and length
 class reaches the driver, whatever the corpus's size; every span of every document is in those sums. Deciding is an expression.
 
-Places: the pieces between matches have the same lengths as the gaps, so a running sum over a document's matches gives code points.
+Places: a text is cut into gaps and matches in turn, and a running sum of their lengths gives code points.
 
 Defined cases: null and empty texts have no spans; a document is told from others with its id by a hash of its text, so repeated
 ids keep a row each; texts without anything proposed still get a row. Other columns are ignored.
@@ -69,30 +69,31 @@ def luhn(digits: Column) -> Column:
 
 
 def _numbered(rule: int):
-    return lambda z, i: F.struct(F.lit(rule).alias("rule"), i.alias("i"), z["value"].alias("value"), z["gap"]["gap"].alias("gap"), z["gap"]["before"].alias("before"), z["gap"]["after"].alias("own_after"))
+    """A piece with its number; odd ones are matches, of gaps only the ends are kept."""
+    return lambda x, i: F.struct(
+        F.lit(rule).alias("rule"), i.alias("i"), F.length(x).alias("length"), F.when(i % 2 == 1, x).alias("value"), F.when(i % 2 == 0, F.left(x, F.lit(AROUND))).alias("head"), F.when(i % 2 == 0, F.right(x, F.lit(AROUND))).alias("tail")
+    )
 
 
 def proposals(docs: DataFrame) -> DataFrame:
     """(doc_id, th, rule, kind, start, end, value, before, after) of every match of every pattern; places in code points, end exclusive."""
-    text = F.coalesce(F.col("text"), F.lit(""))
+    # Two marks around each match, then a split at the marks: gap, match, gap, match, .., gap. Both take linear time. Marks of the text's own become another control character.
+    text = F.translate(F.coalesce(F.col("text"), F.lit("")), "\x01\x02", "\x03\x03")
     found = []
     for rule, (_, pattern, needs) in enumerate(PATTERNS):
-        matches = F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
-        gaps = F.transform(F.split(text, pattern, -1), lambda p: F.struct(F.length(p).alias("gap"), F.right(p, F.lit(AROUND)).alias("before"), F.left(p, F.lit(AROUND)).alias("after")))
-        zipped = F.transform(F.arrays_zip(matches.alias("value"), gaps.alias("gap")), _numbered(rule))
-        found.append(F.when(text.contains(needs), zipped) if needs else zipped)
-    # Pieces without a match come last in each list; they carry what follows the last match. An outer explode keeps the optimizer from computing the lists twice.
-    some = [F.coalesce(f, F.array().cast("array<struct<rule:int,i:int,value:string,gap:int,before:string,own_after:string>>")) for f in found]
+        pieces = F.split(F.regexp_replace(text, pattern, "\x01$0\x02"), "[\x01\x02]", -1)
+        numbered = F.transform(pieces, _numbered(rule))
+        found.append(F.when(text.contains(needs), numbered) if needs else numbered)
+    # A list of one piece has no match. An outer explode keeps the optimizer from computing the lists twice.
+    some = [F.coalesce(f, F.array().cast("array<struct<rule:int,i:int,length:int,value:string,head:string,tail:string>>")) for f in found]
     several = [F.when(F.size(f) > 1, f).otherwise(F.slice(f, 1, 0)) for f in some]
     rows = docs.select("doc_id", F.xxhash64("text").alias("th"), F.inline_outer(F.concat(*several))).where("rule IS NOT NULL")
     order = Window.partitionBy("doc_id", "th", "rule").orderBy("i")
     rows = rows.withColumn("again", F.coalesce(F.lag("i").over(order) == F.col("i"), F.lit(False))).where("NOT again").drop("again")  # of a repeated row
-    upto = order.rowsBetween(Window.unboundedPreceding, 0)
-    length = F.coalesce(F.length("value"), F.lit(0))
-    end = F.sum(F.col("gap") + length).over(upto)
+    end = F.sum(F.col("length").cast("long")).over(order.rowsBetween(Window.unboundedPreceding, 0))
     kind = F.element_at(F.array(*(F.lit(k) for k, *_ in PATTERNS)), F.col("rule") + 1)
-    placed = rows.withColumn("end", end).withColumn("after", F.lead("own_after").over(order)).where("value IS NOT NULL")
-    return placed.select("doc_id", "th", "rule", kind.alias("kind"), (F.col("end") - F.length("value")).alias("start"), "end", "value", "before", F.coalesce("after", F.lit("")).alias("after"))
+    placed = rows.withColumns({"end": end, "before": F.lag("tail").over(order), "after": F.lead("head").over(order)}).where("value IS NOT NULL")
+    return placed.select("doc_id", "th", "rule", kind.alias("kind"), (F.col("end") - F.col("length")).alias("start"), "end", "value", "before", "after")
 
 
 def labelled(spans: DataFrame) -> DataFrame:
