@@ -20,7 +20,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from diversify.llm.base import table
+from diversify.llm.base import between, table
 
 BUCKETS, SAMPLE = 1 << 14, 1000
 CERTAIN, TEMPLATE = 0.7, 0.8
@@ -50,8 +50,8 @@ CUE = r"(?i)apache|\bmit\b|hereby granted|\bgnu\b|\bl?gpl|\bagpl|\blgpl|affero|\
 
 
 def tokens(paragraph: Column) -> Column:
-    """Lower-case words, with the points and dashes inside them."""
-    return F.regexp_extract_all(F.lower(paragraph), F.lit(r"[a-z0-9]+(?:[.-][a-z0-9]+)*"), F.lit(0))
+    """Lower-case words, with the points and dashes inside them: those at their ends belong to the gaps."""
+    return between(F.lower(paragraph), r"(?:[^a-z0-9.-]|[.-](?=[^a-z0-9]|$)|(?<![a-z0-9])[.-])++")
 
 
 def buckets(words: Column) -> Column:
