@@ -147,7 +147,7 @@ def search(spark, d) -> DataFrame:
     docs = tables.read(spark, d, "documents")
     good = relational.only_relevant(docs, tables.read(spark, d, "labels"), "doc_id", "quality = 1")
     counts = tables.word_counts(docs)
-    wanted = tables.read(spark, d, "benchmark").select(F.explode(F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0))).alias("word")).groupBy("word").agg(F.count("*").alias("w"))
+    wanted = tables.read(spark, d, "benchmark").select(F.explode_outer(tables.letter_runs("text")).alias("word")).groupBy("word").agg(F.count("*").alias("w"))
     terms = wanted.join(F.broadcast(tables.vocabulary(docs)), "word").select("term", "w")  # at most the vocabulary's size
     score = counts.join(F.broadcast(terms), "term").join(good.select(F.col("doc_id").alias("pid")), "pid", "left_semi").groupBy("pid").agg(F.sum(F.col("cnt") * F.col("w")).alias("score"))
     top = score.orderBy(F.desc("score"), "pid").limit(200)

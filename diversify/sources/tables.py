@@ -69,16 +69,21 @@ def embeddings(spark: SparkSession, sf_dir: str) -> PointSpace:
     return PointSpace(df, ("v",), "angular")
 
 
+def letter_runs(text: str):
+    """Lower-case runs of letters; a split is linear, extracting all matches copies the text for each."""
+    return F.array_remove(F.split(F.lower(F.coalesce(text, F.lit(""))), "[^a-z]+", -1), "")
+
+
 def vocabulary(docs: DataFrame, size: int = 5000) -> DataFrame:
     """(word, n, term): the most frequent words of all texts, by number and then by word."""
-    words = docs.select(F.explode(F.regexp_extract_all(F.lower(F.coalesce("text", F.lit(""))), F.lit("[a-z]+"), F.lit(0))).alias("word"))
-    top = words.groupBy("word").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "word").limit(size)
+    words = docs.select(F.explode_outer(letter_runs("text")).alias("word"))
+    top = words.where("word IS NOT NULL").groupBy("word").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "word").limit(size)
     return top.withColumn("term", F.expr("row_number() OVER (ORDER BY n DESC, word)") - 1)  # ``size`` rows
 
 
 def word_counts(docs: DataFrame, size: int = 5000) -> DataFrame:
     """(pid, term, cnt) of the words of the vocabulary, which has ``size`` rows and is broadcast."""
-    words = docs.select(F.col("doc_id").alias("pid"), F.explode(F.regexp_extract_all(F.lower(F.coalesce("text", F.lit(""))), F.lit("[a-z]+"), F.lit(0))).alias("word"))
+    words = docs.select(F.col("doc_id").alias("pid"), F.explode_outer(letter_runs("text")).alias("word"))
     return words.join(F.broadcast(vocabulary(docs, size)), "word").groupBy("pid", "term").agg(F.count("*").alias("cnt"))
 
 
@@ -90,7 +95,7 @@ def word_vectors(docs: DataFrame, size: int = 5000, min_words: int = 10) -> Poin
 
 def token_sets(docs: DataFrame) -> PointSpace:
     """Distinct lower-case words of the whole texts."""
-    toks = F.sort_array(F.array_distinct(F.regexp_extract_all(F.lower(F.coalesce("text", F.lit(""))), F.lit("[a-z]+"), F.lit(0))))
+    toks = F.sort_array(F.array_distinct(letter_runs("text")))
     return PointSpace(docs.select(F.col("doc_id").alias("pid"), toks.alias("v")), ("v",), "jaccard")
 
 
