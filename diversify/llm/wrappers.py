@@ -23,11 +23,13 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from diversify.llm.base import table
+from diversify.llm.base import checkpoint, table
 
 REFERENCES = 3
 #: Share of a region's characters within links from which it is a menu, most cells of one alignment table, and depth from which elements are siblings.
 LINKS, CELLS, DEPTH = 0.5, 40_000, 200
+#: Most bytes of wrappers that are broadcast.
+BROADCAST = 64_000_000
 
 # Elements by role.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -314,7 +316,10 @@ def extract(pages: DataFrame) -> DataFrame:
                 out.append(main_text(h, known.get(w)))
             yield pa.RecordBatch.from_arrays([batch.column("page_id"), batch.column("url"), pa.array(out, pa.string()), pa.array([len(t) for t in out], pa.int64())], ["page_id", "url", "text", "n_chars"])
 
-    joined = pages.withColumn("host", host(F.col("url"))).join(wrappers(pages), "host", "left")
+    # While all wrappers fit in BROADCAST bytes the pages are not shuffled; beyond, a host with very many pages is a skewed key that the join splits.
+    known = checkpoint(wrappers(pages))
+    size = known.agg(F.sum(F.length("wrapper"))).first()[0] or 0
+    joined = pages.withColumn("host", host(F.col("url"))).join(F.broadcast(known) if size <= BROADCAST else known, "host", "left")
     return joined.select("page_id", "url", "html", "wrapper").mapInArrow(made, f"page_id {dict(pages.dtypes)['page_id']}, url string, text string, n_chars long")
 
 
