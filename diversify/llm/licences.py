@@ -22,7 +22,8 @@ from pyspark.sql import functions as F
 
 from diversify.llm.base import between, table
 
-BUCKETS, SAMPLE = 1 << 14, 1000
+#: Hashed grams, documents whose first lines are examples of the unknown class, and characters of each.
+BUCKETS, SAMPLE, HEAD = 1 << 14, 1000, 300
 CERTAIN, TEMPLATE = 0.7, 0.8
 UNKNOWN = "unknown"
 
@@ -116,8 +117,10 @@ def notices(docs: DataFrame) -> DataFrame:
     """(doc_id, th, family, p): paragraphs that are a notice of a family."""
     spark = docs.sparkSession
     composed = spark.createDataFrame(examples(), "family string, paragraph string").coalesce(1).withColumn("own", F.lit(True))
-    others = docs.where(~F.coalesce(F.col("text").rlike(CUE), F.lit(True))).orderBy(F.xxhash64("doc_id"), "doc_id").limit(SAMPLE)
-    others = others.select(F.lit(UNKNOWN).alias("family"), F.substring_index(F.col("text"), "\n", 1).alias("paragraph"), F.lit(False).alias("own"))
+    # The sample's rows are cut before they are ordered, so what the tasks send does not follow the length of texts.
+    head = F.substring(F.substring_index("text", "\n", 1), 1, HEAD).alias("paragraph")
+    others = docs.where(~F.coalesce(F.col("text").rlike(CUE), F.lit(True))).select(F.xxhash64("doc_id").alias("h"), "doc_id", head)
+    others = others.orderBy("h", "doc_id", "paragraph").limit(SAMPLE).select(F.lit(UNKNOWN).alias("family"), "paragraph", F.lit(False).alias("own"))
     rows = composed.unionByName(others).withColumn("w", tokens(F.col("paragraph"))).select("family", "own", buckets(F.col("w")).alias("b"))
     got = rows.collect()
     vocabulary = {x for r in got if r.own for x in r.b}
