@@ -25,7 +25,7 @@ from diversify.llm.base import checkpoint, table
 
 KINDS = ("email", "ip", "card", "phone", "secret")
 #: Proposing patterns by kind. Possessive parts and starts only where a run starts: the same leftmost matches as the plain patterns, in linear time.
-#: A card's run has 14 digits at least, as shorter ones always fail; the last two propose only.
+#: A card's run has 14 digits at least, as shorter ones always fail. The last ones propose only, among them numbers that a base match swallows with their neighbours.
 PATTERNS = (
     ("email", r"(?:\G|(?<![A-Za-z0-9._%+-]))[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++", "@"),
     ("ip", r"(?:\G|(?<![0-9]))[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++", "."),
@@ -33,11 +33,13 @@ PATTERNS = (
     ("phone", r"\+[0-9][ ().0-9-]+[0-9]", "+"),
     ("secret", r"(?i)\b(?:token|secret|password|passwd|api[_-]?key|access[_-]?key)\s{0,3}[=:]\s{0,3}[\"']?[A-Za-z0-9_./+-]{12,}+[\"']?", ""),
     ("email", r"(?i)\b[A-Za-z0-9._%+-]{1,64}+ ?[\[(](?:at|@)[\])] ?[A-Za-z0-9-]{1,63}+(?: ?[\[(]?(?:dot|\.)[\])]? ?[A-Za-z]{2,24}+){1,3}+", ""),
-    ("phone", r"(?<![+0-9().-])(?:\([0-9]{3}\) ?|[0-9]{3}[ .-])[0-9]{3}[ .-][0-9]{4}(?![0-9])", ""),
+    ("phone", r"(?<![+0-9().-])(?:\+[0-9]{1,3} ?)?(?:\([0-9]{3}\) ?|[0-9]{3}[ .-])[0-9]{3}[ .-][0-9]{4}(?![0-9])", ""),
+    ("card", r"(?<![0-9])[0-9]{4}(?:[ -]?[0-9]{4}){3}(?![0-9])", ""),
 )
 BASE = 4  # the first four patterns are those of the base spans
 ACCEPT = 0.9
 AROUND = 24
+PRIOR = (50, 2)
 LABELERS = ("check", "gazetteer", "context", "border", "variety")
 
 # Gazetteers.
@@ -132,7 +134,7 @@ def estimate(patterns: list[tuple[str, tuple[int, ...], int]], rounds: int = 50)
     posterior: dict[tuple[str, tuple[int, ...]], float] = {}
     votes = np.array([p[1] for p in patterns]).reshape(len(patterns), -1)
     count, kind = np.array([p[2] for p in patterns], float), np.array([p[0] for p in patterns])
-    truth = 1 / (1 + np.exp(-1.5 * votes.sum(1)))
+    truth = 1 / (1 + np.exp(-1.5 * votes.sum(1) - 3 * votes[:, 0]))
     for _ in range(rounds):
         log_odds = np.zeros(len(patterns))
         for k in np.unique(kind):
@@ -140,9 +142,10 @@ def estimate(patterns: list[tuple[str, tuple[int, ...], int]], rounds: int = 50)
             share = np.clip((truth * count)[here].sum() / count[here].sum(), 0.02, 0.98)
             log_odds[here] += np.log(share / (1 - share))
         for j in range(votes.shape[1]):
-            # Counts of a prior: a labeler is right in two of three of its votes.
-            yes = np.array([(truth * count)[votes[:, j] == v].sum() + p for v, p in ((-1, 1), (0, 1), (1, 2))])
-            no = np.array([((1 - truth) * count)[votes[:, j] == v].sum() + p for v, p in ((-1, 2), (0, 1), (1, 1))])
+            # Counts of a prior: a labeler is right in two of three of its votes, the kind's own check in nearly all.
+            right = PRIOR[0] if j == 0 else PRIOR[1]
+            yes = np.array([(truth * count)[votes[:, j] == v].sum() + p for v, p in ((-1, 1), (0, 1), (1, right))])
+            no = np.array([((1 - truth) * count)[votes[:, j] == v].sum() + p for v, p in ((-1, right), (0, 1), (1, 1))])
             log_odds += np.log((yes / yes.sum()) / (no / no.sum()))[votes[:, j] + 1]
         truth = 1 / (1 + np.exp(-np.clip(log_odds, -30, 30)))
     for k, v, t in zip(kind, votes, truth, strict=True):
