@@ -117,10 +117,11 @@ def notices(docs: DataFrame) -> DataFrame:
     """(doc_id, th, family, p): paragraphs that are a notice of a family."""
     spark = docs.sparkSession
     composed = spark.createDataFrame(examples(), "family string, paragraph string").coalesce(1).withColumn("own", F.lit(True))
-    # The sample's rows are cut before they are ordered, so what the tasks send does not follow the length of texts.
+    # A row for each of SAMPLE buckets of a hash, the one with the smallest hash: minima are combined where the texts are, nothing is sorted.
     head = F.substring(F.substring_index("text", "\n", 1), 1, HEAD).alias("paragraph")
-    others = docs.where(~F.coalesce(F.col("text").rlike(CUE), F.lit(True))).select(F.xxhash64("doc_id").alias("h"), "doc_id", head)
-    others = others.orderBy("h", "doc_id", "paragraph").limit(SAMPLE).select(F.lit(UNKNOWN).alias("family"), "paragraph", F.lit(False).alias("own"))
+    others = docs.where(~F.coalesce(F.col("text").rlike(CUE), F.lit(True))).select(F.xxhash64("doc_id").alias("h"), head)
+    others = others.groupBy(F.pmod("h", F.lit(SAMPLE)).alias("b")).agg(F.min(F.struct("h", "paragraph"))["paragraph"].alias("paragraph"))
+    others = others.select(F.lit(UNKNOWN).alias("family"), "paragraph", F.lit(False).alias("own"))
     rows = composed.unionByName(others).withColumn("w", tokens(F.col("paragraph"))).select("family", "own", buckets(F.col("w")).alias("b"))
     got = rows.collect()
     vocabulary = {x for r in got if r.own for x in r.b}
