@@ -6,11 +6,13 @@ power; they are mixed afterwards. A hash depends on the words alone, not on wher
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 from itertools import chain
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 
 U = np.uint64
 BYTE_BASE, WORD_BASE = 0x9E3779B97F4A7C15, 0xD6E8FEB86659FD93
@@ -47,21 +49,33 @@ class Prefixes:
         return mixed((self.sums[ends] - self.sums[starts]) * self.inverse[starts] + (ends - starts).astype(U))
 
 
+def _release() -> None:
+    """Gives freed memory back to the system: workers stay alive between tasks, beside the executor's heap."""
+    pa.default_memory_pool().release_unused()
+    if _libc is not None:
+        _libc.malloc_trim(0)
+
+
+try:
+    _libc = ctypes.CDLL("libc.so.6")
+    _libc.malloc_trim  # noqa: B018
+except (OSError, AttributeError):  # another C library: it keeps what it keeps
+    _libc = None
+
+
 def slices(texts: pa.Array, most: int = 1 << 19) -> Iterator[tuple[int, list[bytes]]]:
     """(first row, texts as UTF-8) of parts of about ``most`` bytes; a longer text is a part of its own. Null is empty."""
     if isinstance(texts, pa.ChunkedArray):
         texts = texts.combine_chunks()
-    values = texts.cast(pa.binary()).to_pylist()
-    first, held, size = 0, [], 0
-    for i, x in enumerate(values):
-        x = x or b""
-        if held and size + len(x) > most:
-            yield first, held
-            first, held, size = i, [], 0
-        held.append(x)
-        size += len(x)
-    if held:
-        yield first, held
+    sizes = pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False)
+    ends = np.cumsum(sizes)
+    first = 0
+    while first < len(sizes):
+        before = int(ends[first - 1]) if first else 0
+        stop = max(first + 1, int(np.searchsorted(ends, before + most, "right")))
+        yield first, [x or b"" for x in texts.slice(first, stop - first).cast(pa.binary()).to_pylist()]
+        first = stop
+    _release()
 
 
 class Words:
