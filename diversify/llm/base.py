@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import json
 import tempfile
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -15,6 +16,13 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def small_frame(spark: SparkSession, rows: list[tuple], schema: str) -> DataFrame:
+    """Some rows of the driver as a frame, through a literal; ``createDataFrame`` would start Python workers on the executors for them."""
+    names = [part.split()[0] for part in schema.split(", ")]
+    text = json.dumps([dict(zip(names, r, strict=True)) for r in rows])
+    return spark.range(0, 1, 1, 1).select(F.inline_outer(F.from_json(F.lit(text), f"array<struct<{schema}>>"))).where(F.lit(bool(rows)))
+
+
 def checkpoint(df: DataFrame) -> DataFrame:
     """``df`` computed once and written to the shared checkpoint folder, so a lost executor costs a read, not the lineage.
 

@@ -21,7 +21,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from diversify.llm.base import between, table
+from diversify.llm.base import between, small_frame, table
 
 #: Hashed grams, documents whose first lines are examples of the unknown class, and characters of each.
 BUCKETS, SAMPLE, HEAD = 1 << 14, 1000, 300
@@ -125,7 +125,7 @@ def _softmax(z: np.ndarray) -> np.ndarray:
 def notices(docs: DataFrame) -> DataFrame:
     """(doc_id, th, family, p): paragraphs that are a notice of a family."""
     spark = docs.sparkSession
-    composed = spark.createDataFrame(examples(), "family string, paragraph string").coalesce(1).withColumn("own", F.lit(True))
+    composed = small_frame(spark, examples(), "family string, paragraph string").withColumn("own", F.lit(True))
     # A row for each of SAMPLE buckets of a hash, the one with the smallest hash: minima are combined where the texts are, nothing is sorted.
     head = F.substring(F.substring_index("text", "\n", 1), 1, HEAD).alias("paragraph")
     others = docs.where(~F.coalesce(hinted(F.col("text")), F.lit(True))).select(F.xxhash64("doc_id").alias("h"), head)
@@ -136,9 +136,9 @@ def notices(docs: DataFrame) -> DataFrame:
     vocabulary = {x for r in got if r.own for x in r.b}
     classes, weights, bias, scale = fit(sorted((r.family, sorted(r.b)) for r in got), vocabulary)
     used = np.flatnonzero(np.abs(weights).sum(1) > 1e-6)
-    model = spark.createDataFrame([(int(k), *(weights[k] * scale).tolist()) for k in used], "bucket int, " + ", ".join(f"c{k} double" for k in range(len(classes)))).coalesce(1)
+    model = small_frame(spark, [(int(k), *(weights[k] * scale).tolist()) for k in used], "bucket int, " + ", ".join(f"c{k} double" for k in range(len(classes))))
     templates = [(family, name.partition("|")[0].split(), name.partition("|")[2].split()) for family, names in FAMILIES.items() for name in names]
-    templates = spark.createDataFrame(templates, "family string, words array<string>, key array<string>").coalesce(1)
+    templates = small_frame(spark, templates, "family string, words array<string>, key array<string>")
 
     cued = docs.where(hinted(F.col("text"))).select("doc_id", F.xxhash64("text").alias("th"), F.posexplode_outer(F.split("text", r"\r?\n|(?<=[.!?])\s+")).alias("at", "paragraph")).where(F.col("paragraph").rlike(CUE))
     paragraphs = cued.select("doc_id", "th", "at", tokens(F.col("paragraph")).alias("w")).distinct()

@@ -24,7 +24,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from diversify.llm.base import SPACE, between, checkpoint, table, word_count
+from diversify.llm.base import SPACE, between, checkpoint, small_frame, table, word_count
 
 WEIGHTS, SHARE, REPEATS = (3, 1, 2), 1.5, 2
 BLOCKS, SHARDS, MOST_SOURCES, SEED = 1024, 16, 100_000, 20
@@ -82,7 +82,7 @@ def draws(docs: DataFrame, shards: int = SHARDS, seed: int = SEED) -> DataFrame:
     goal = targets([r.words for r in known])
     plan, quota = [], []
     per_source = [(k, r.source, r.words, goal[k]) for k, r in enumerate(known)]
-    sources = spark.createDataFrame(per_source, f"_rank int, source {docs.schema['source'].dataType.simpleString()}, source_size long, target double")
+    sources = small_frame(spark, per_source, f"_rank int, source {docs.schema['source'].dataType.simpleString()}, source_size long, target double")
     ranked = per_block.alias("p").join(F.broadcast(sources).alias("s"), F.expr("p.source <=> s.source")).select("_rank", "_block", "words")
     by_source = Window.partitionBy("_rank").orderBy("_block")
     placed = checkpoint(ranked.select("_rank", "_block", "words", (F.row_number().over(by_source) - 1).alias("place"), (F.sum("words").over(by_source) - F.col("words")).alias("before")))
@@ -90,13 +90,13 @@ def draws(docs: DataFrame, shards: int = SHARDS, seed: int = SEED) -> DataFrame:
     for k, r in enumerate(known):
         words = int(goal[k] + 0.5)
         rest_of[k] = (words // r.words, words % r.words) if r.words else (0, 0)
-    rest = spark.createDataFrame([(k, e, x) for k, (e, x) in rest_of.items()], "_rank int, passes long, rest long")
+    rest = small_frame(spark, [(k, e, x) for k, (e, x) in rest_of.items()], "_rank int, passes long, rest long")
     begun = {r._rank: r.n for r in placed.join(F.broadcast(rest), "_rank").where("before < rest").groupBy("_rank").agg(F.count("*").alias("n")).collect()}
     quota = [rest_of[k][0] * r.blocks + begun.get(k, 0) for k, r in enumerate(known)]
     tree = splitting_tree(quota, shards, seed)
     for k in range(len(known)):
         plan.append((k, *rest_of[k], known[k].blocks, list(accumulate(tree[:, k].tolist()))))
-    plans = spark.createDataFrame(plan, "_rank int, passes long, rest long, blocks long, upto array<long>")
+    plans = small_frame(spark, plan, "_rank int, passes long, rest long, blocks long, upto array<long>")
     small = len(known) <= 256  # then the block table has at most 256 x 1,024 rows
     table_ = placed.join(F.broadcast(plans), "_rank").withColumnRenamed("words", "block_words")
     rows = keyed.alias("d").join(F.broadcast(sources).alias("s"), F.expr("d.source <=> s.source")).select("d.*", "_rank", "source_size", "target")
