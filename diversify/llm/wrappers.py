@@ -1,11 +1,12 @@
 """Main text of web pages by wrapper induction over the pages of a host.
 
-The wrapper of a host comes from three reference pages, those with the smallest of three hashes among all its pages (an aggregate with
-partial minima, whatever the host's size). Each page's tree is aligned with the references by simple tree matching: the largest set of
-order-preserving pairs of nodes with equal labels. Regions whose text is the same in the page and in aligned references are template;
-regions whose text varies are slots. A slot with running text is content and is kept whole; slots that are lists of links, or that
-their tag, role or class names as navigation, advert, form, notice, comments and the like, are not. Where a page marks its article (or
-main part), only that is a slot; its own words are never taken for template, so equal pages keep their text.
+The wrapper of a host is the tree of its node paths with the blocks that recur in each, counted over all its pages; pages with equal
+outlines count once, so exact copies give no support. A block is template if SUPPORT outlines, and a share SHARE of those that have its
+path, hold it. Each page's tree is aligned with the wrapper by simple tree matching: the largest set of order-preserving pairs of nodes
+with equal labels; nodes that stand in another order are then aligned one by one. Aligned blocks that are template go; what varies are
+slots. A slot with running text is content; slots that are lists of links, or that their tag, role or class names as navigation,
+advert, form, notice, comments and the like, are not. Where a page marks its article (or main part), only that is a slot. A page of
+which only headings would be left is a near copy of others, and is judged by its own structure.
 
 Blocks are the texts between the borders of block elements, character references decoded, runs of white space one space, trimmed; a line
 break is white space. Defined cases: null or empty html, or none but boilerplate, gives an empty text; a page of an unknown host, or
@@ -25,7 +26,8 @@ from pyspark.sql import functions as F
 
 from diversify.llm.base import checkpoint, table
 
-REFERENCES = 3
+#: Least outlines that hold a template block, and their least share of those with its path.
+SUPPORT, SHARE = 3, 0.5
 #: Share of a region's characters within links from which it is a menu, most cells of one alignment table, and depth from which elements are siblings.
 LINKS, CELLS, DEPTH = 0.5, 40_000, 200
 #: Most bytes of wrappers that are broadcast.
@@ -40,6 +42,7 @@ NEVER = frozenset(
 BLOCK = frozenset(
     "html body article section main div p h1 h2 h3 h4 h5 h6 ul ol li dl dt dd table thead tbody tfoot tr td th caption blockquote pre figure figcaption header footer nav aside form fieldset address hr details summary hgroup center".split()
 )
+HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
 RUNNING = frozenset("p h1 h2 h3 h4 h5 h6 blockquote pre table ul ol dl figure address".split())
 CLOSED_BY_P = BLOCK - {"html", "body", "li", "dt", "dd", "tr", "td", "th", "thead", "tbody", "tfoot", "caption", "figcaption", "summary"}
 SIBLINGS = {"li": ("li",), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th"), "option": ("option",), "thead": ("tr", "td", "th"), "tbody": ("thead", "tr", "td", "th"), "tfoot": ("tbody", "tr", "td", "th")}
@@ -56,16 +59,17 @@ _WORDS = re.compile(r"[a-z]+")
 
 
 class Node:
-    __slots__ = ("children", "label", "linked", "never", "parts", "tag")
+    __slots__ = ("children", "label", "linked", "never", "parts", "path", "tag")
 
     def __init__(self, tag: str, attributes: str = ""):
         self.tag, self.label, self.never, self.linked = tag, tag, tag in NEVER, tag == "a"
         self.children: list[Node] = []
         self.parts: list[str | Node] = []
+        self.path = 0  # of the labels of block elements down to here
         if attributes and "=" in attributes:
             named = {k.lower(): v.strip("\"'").lower() for k, v in _ATTRIBUTE.findall(attributes)}
             names = set(_WORDS.findall(named.get("class", "") + " " + named.get("id", "")))
-            self.label = tag + "." + " ".join(sorted(names)) if names else tag
+            self.label = tag + "." + " ".join(sorted(names)) if names and tag != "p" and tag not in HEADINGS else tag
             if tag not in ("html", "body", "article", "main"):
                 hidden = named.get("aria-hidden") == "true" or "display:none" in named.get("style", "").replace(" ", "")
                 self.never = self.never or bool(names & NAMES) or named.get("role") in ROLES or hidden
@@ -117,6 +121,7 @@ def parse(html: str) -> Node:
             for _ in range(2):
                 close(SIBLINGS[tag], SCOPES[tag])
         node = Node(tag, m[3])
+        node.path = digest(f"{open_[-1].path}/{node.label}") if tag in BLOCK else open_[-1].path
         open_[-1].parts.append(node)
         open_[-1].children.append(node)
         if tag in RAW:
@@ -130,36 +135,38 @@ def parse(html: str) -> Node:
     return root
 
 
-def blocks(node: Node, whole: bool = False) -> list[tuple[str, int]]:
-    """(text, characters within links) of the blocks below a node, in page order; whole: those of boilerplate too."""
-    out: list[tuple[str, int]] = []
+def blocks(node: Node, whole: bool = False, inside: bool = False) -> list[tuple[str, int, Node]]:
+    """(text, characters within links, element around it) of the blocks below a node, in page order; whole: those of boilerplate too; inside: the node stands in an article."""
+    out: list[tuple[str, int, Node]] = []
     held: list[str] = []
-    linked = 0
+    linked, around = 0, node
 
     def flush() -> None:
         nonlocal linked
         text = " ".join("".join(held).split())
         if text:
-            out.append((text, linked))
+            out.append((text, linked, around))
         held.clear()
         linked = 0
 
-    todo: list[tuple[Node | str | None, bool, bool]] = [(node, False, False)]
+    todo: list[tuple[Node | str | None, bool, bool, Node]] = [(node, False, inside, node)]
     while todo:
-        x, in_link, in_article = todo.pop()
+        x, in_link, in_article, near = todo.pop()
         if x is None:
             flush()
         elif isinstance(x, str):
             held.append(x)
             linked += len(x) if in_link else 0
+            around = near
         elif x.tag in ("br", "wbr"):
             held.append(" " if x.tag == "br" else "")
         elif whole or x is node or not (x.never or x.tag == "header" and not in_article):
             if x.tag in BLOCK:
                 flush()
-                todo.append((None, False, False))
-            inner, inside = in_link or x.linked, in_article or x.tag in ("article", "main")
-            todo.extend((p, inner, inside) for p in reversed(x.parts))
+                todo.append((None, False, False, near))
+                near = x
+            inner, within = in_link or x.linked, in_article or x.tag in ("article", "main")
+            todo.extend((p, inner, within, near) for p in reversed(x.parts))
     flush()
     return out
 
@@ -168,59 +175,96 @@ def digest(text: str) -> int:
     return xxhash.xxh64_intdigest(text) & 0xFFFFFFFFFFFF
 
 
-def outline(node: Node) -> list:
-    """[label, digests of the blocks that stand in it alone, children]: siblings with one label are one node."""
-    kinds: dict[str, list[Node]] = {}
-    for child in node.children:
-        if child.tag in BLOCK:
-            kinds.setdefault(child.label, []).append(child)
-    children = []
-    for label, nodes in kinds.items():
-        joined = Node(nodes[0].tag)
-        joined.label = label
-        for n in nodes:
-            joined.children += n.children
-            joined.parts += [*n.parts, Node("hr")]
-        children.append(outline(joined))
-    texts = [digest(t) for t, _ in blocks(node, True)] if node.tag != "#root" else []
-    return [node.label, sorted(set(texts)), children]
+def outline(root: Node) -> list:
+    """[label, digests of the blocks that stand in it alone, children, path] by block element: siblings with one label are one node."""
+    tree = [root.label, [], [], root.path]
+    at, todo = {root.path: tree}, [(root, tree)]
+    while todo:
+        x, parent = todo.pop()
+        if x.tag in BLOCK and x.path not in at:
+            at[x.path] = [x.label, [], [], x.path]
+            parent[2].append(at[x.path])
+        todo.extend((c, at[x.path]) for c in reversed(x.children))
+    for text, _, near in blocks(root, True):
+        at[near.path][1].append(digest(text))
+    for node in at.values():
+        node[1] = sorted(set(node[1]))
+    return tree
+
+
+def nodes(tree: list) -> list[tuple[list, int, int]]:
+    """(node, path of its parent, place among the siblings) of all nodes of an outline, in page order."""
+    out, todo = [], [(tree, -1, 0)]
+    while todo:
+        out.append(todo.pop())
+        x = out[-1][0]
+        todo.extend((c, x[3], k) for k, c in reversed(list(enumerate(x[2]))))
+    return out
 
 
 def match(a: list, b: list, found: dict[int, list]) -> int:
     """Simple tree matching of two outlines: number of paired nodes; found: by id of a's node its partner."""
     if a[0] != b[0]:
         return 0
-    m, n = len(a[2]), len(b[2])
-    if m * n > CELLS:  # labels are distinct among siblings: pairing by label in order is what remains
-        place, last = {c[0]: j for j, c in enumerate(b[2])}, -1
-        pairs = []
-        for c in a[2]:
-            if place.get(c[0], -1) > last:
-                last = place[c[0]]
-                pairs.append((c, b[2][last]))
-        found[id(a)] = b
-        return 1 + sum(match(x, y, found) for x, y in pairs)
-    own: dict[tuple[int, int], tuple[int, dict]] = {}
-    best = [[0] * (n + 1) for _ in range(m + 1)]
-    for i in range(1, m + 1):
-        for j in range(1, n + 1):
-            paired = 0
-            if a[2][i - 1][0] == b[2][j - 1][0]:
-                below: dict[int, list] = {}
-                paired = match(a[2][i - 1], b[2][j - 1], below)
-                own[i, j] = paired, below
-            best[i][j] = max(best[i - 1][j], best[i][j - 1], best[i - 1][j - 1] + paired)
-    i, j = m, n
-    while i and j:
-        if (i, j) in own and best[i][j] == best[i - 1][j - 1] + own[i, j][0]:
-            found.update(own[i, j][1])
-            i, j = i - 1, j - 1
-        elif best[i][j] == best[i - 1][j]:
-            i -= 1
-        else:
-            j -= 1
-    found[id(a)] = b
-    return 1 + best[m][n]
+    pairs, todo = [], [(a, b)]
+    while todo:  # all pairs with equal labels up to the roots, parents first
+        x, y = todo.pop()
+        pairs.append((x, y))
+        of = {c[0]: c for c in y[2]}
+        todo.extend((c, of[c[0]]) for c in x[2] if c[0] in of)
+    size: dict[int, int] = {}
+    chosen: dict[int, list] = {}
+    for x, y in reversed(pairs):
+        place = {c[0]: j for j, c in enumerate(y[2])}
+        common = [(c, place[c[0]]) for c in x[2] if c[0] in place]
+        chosen[id(x)] = [(c, y[2][j]) for c, j in ordered(common, [size[id(c)] for c, _ in common], len(x[2]) * len(y[2]))]
+        size[id(x)] = 1 + sum(size[id(c)] for c, _ in chosen[id(x)])
+    todo = [(a, b)]
+    while todo:
+        x, y = todo.pop()
+        found[id(x)] = y
+        todo.extend(chosen[id(x)])
+    return size[id(a)]
+
+
+def ordered(common: list[tuple[list, int]], weights: list[int], cells: int) -> list[tuple[list, int]]:
+    """The heaviest of the children that two lists have in common whose places increase."""
+    if cells > CELLS:  # labels are distinct among siblings: pairing by label in order is what remains
+        out, last = [], -1
+        for c, j in common:
+            if j > last:
+                last = j
+                out.append((c, j))
+        return out
+    best: list[tuple[int, int]] = []  # weight of the heaviest list that ends here, its place before
+    for i, (_, j) in enumerate(common):
+        before = max(((best[h][0], -h) for h in range(i) if common[h][1] < j), default=(0, 1))
+        best.append((before[0] + weights[i], -before[1]))
+    at = max(range(len(best)), key=lambda i: best[i][0], default=-1)
+    out = []
+    while at >= 0:
+        out.append(common[at])
+        at = best[at][1]
+    return out[::-1]
+
+
+def aligned(tree: list, wrapper: list | None) -> set[tuple[int, int]]:
+    """(path, digest) of the page's blocks that are template: those of nodes that the wrapper aligns with and in which it has them."""
+    if not wrapper:
+        return set()
+    match(tree, wrapper, found := {})
+    template, todo = set(), [tree] if id(tree) in found else []
+    while todo:
+        x = todo.pop()
+        y = found[id(x)]
+        template.update((x[3], d) for d in set(x[1]) & set(y[1]))
+        of = {c[0]: c for c in y[2]}
+        for c in x[2]:
+            if id(c) not in found and c[0] in of:  # in another order than in the wrapper
+                match(c, of[c[0]], found)
+            if id(c) in found:
+                todo.append(c)
+    return template
 
 
 def _articles(root: Node) -> list[Node]:
@@ -240,65 +284,99 @@ def _articles(root: Node) -> list[Node]:
     return []
 
 
-def main_text(html: str | None, wrapper: list | None) -> str:
-    root = parse(html or "")
-    kept: list[tuple[str, int]] = []
-    if articles := _articles(root):
-        for x in articles:
-            kept += blocks(x)
-        return "\n".join(t for t, _ in kept)
-    tree = outline(root)
-    partners = []
-    for other in wrapper or []:
-        if other != tree:
-            match(tree, other, found := {})
-            partners.append(found)
-
-    def walk(node: Node, place: list) -> None:
-        if node.never or node.tag == "header":
-            return
-        own = blocks(node)
-        if not own:
-            return
-        texts = {digest(t) for t, _ in own}
-        seen = [f[id(place)][1] for f in partners if id(place) in f]
-        constant = [texts <= set(s) for s in seen]
-        if seen and all(constant) and node.tag not in ("html", "body", "#root"):
-            return  # template
-        direct = any(isinstance(p, str) and p.strip() for p in node.parts) or any(c.tag in RUNNING and not c.never for c in node.children)
-        size = sum(len(t) for t, _ in own)
-        if direct and node.tag not in ("html", "#root"):
-            if sum(n for _, n in own) <= LINKS * size:
-                repeated = set.intersection(*map(set, seen)) if len(seen) > 1 and node.tag == "body" else set()
-                kept.extend(x for x in own if digest(x[0]) not in repeated)
-            return
-        below = {c[0]: c for c in place[2]}
-        for part in node.parts:
+def slots(root: Node) -> list[list[tuple[str, int, Node]]]:
+    """The blocks of each region with running text, in page order."""
+    out, todo = [], [root]
+    while todo:
+        x = todo.pop()
+        if isinstance(x, tuple):
+            out.append([x])
+            continue
+        if x.never or x.tag == "header":
+            continue
+        direct = any(isinstance(p, str) and p.strip() for p in x.parts) or any(c.tag in RUNNING and not c.never for c in x.children)
+        if direct and x.tag not in ("html", "#root"):
+            own = blocks(x)
+            if sum(n for _, n, _ in own) <= LINKS * sum(len(t) for t, _, _ in own):
+                out.append(own)
+            continue
+        for part in reversed(x.parts):
             if isinstance(part, Node):
-                walk(part, below.get(part.label, ["", [], []]))
+                todo.append(part)
             elif text := " ".join(part.split()):  # only outside the body
-                kept.append((text, 0))
+                todo.append((text, 0, x))
+    return out
+
 
-    walk(root, tree)
-    return "\n".join(t for t, _ in kept)
+def main_text(html: str | None, wrapper: list | None) -> str:
+    root = parse(html or "")
+    if articles := _articles(root):
+        return "\n".join(t for x in articles for t, _, _ in blocks(x))
+    template = aligned(outline(root), wrapper)
+    own = [x for slot in slots(root) for x in slot]
+    left = [x for x in own if (x[2].path, digest(x[0])) not in template]
+    if all(x[2].tag in HEADINGS for x in left):  # a near copy
+        left = own
+    return "\n".join(t for t, _, _ in left)
 
 
 def host(url: Column) -> Column:
     return F.coalesce(F.lower(F.regexp_extract(url, r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]+)", 1)), F.lit(""))
 
 
+def _wrapper(parts: list) -> str:
+    """The tree of a host as JSON: rows of (path, parent, label, digests), parents first, siblings by their mean place."""
+    below: dict[int, list] = {}
+    for x in sorted(parts, key=lambda x: (x["place"], x["label"])):
+        below.setdefault(x["parent"], []).append(x)
+    out, todo = [], below.get(-1, [])
+    while todo:
+        x = todo.pop()
+        out.append([x["path"], x["parent"], x["label"], x["digests"] or []])
+        todo.extend(reversed(below.get(x["path"], [])))
+    return json.dumps(out)
+
+
+def read_wrapper(text: str) -> list:
+    """The outline that ``_wrapper`` wrote; its digests are those of template blocks."""
+    at: dict[int, list] = {}
+    for path, parent, label, digests in json.loads(text):
+        at[path] = [label, digests, [], path]
+        if parent in at:
+            at[parent][2].append(at[path])
+    return at.get(0, [])
+
+
 def wrappers(pages: DataFrame) -> DataFrame:
-    """(host, wrapper): outlines of the reference pages of each host."""
-    named = pages.select(host(F.col("url")).alias("host"), "page_id", "html").where("host <> '' AND html IS NOT NULL")
-    least = [F.min(F.struct(F.xxhash64(F.lit(k), "page_id").alias("h"), "html"))["html"].alias(f"html{k}") for k in range(REFERENCES)]
+    """(host, wrapper): the node paths of each host and their template blocks, counted over all its pages."""
+    named = pages.select(host(F.col("url")).alias("host"), "html").where("host <> '' AND html IS NOT NULL")
+
+    def outlined(batches):
+        kind = pa.list_(pa.struct([("path", pa.int64()), ("digest", pa.int64()), ("parent", pa.int64()), ("label", pa.string()), ("place", pa.int32())]))
+        for batch in batches:
+            whole, parts = [], []
+            for h in batch.column("html").to_pylist():
+                found = nodes(outline(parse(h)))
+                rows = [{"path": x[3], "parent": up, "label": x[0], "place": k} for x, up, k in found]
+                rows += [{"path": x[3], "digest": d} for x, _, _ in found for d in x[1]]
+                parts.append(rows)
+                whole.append(xxhash.xxh64_intdigest(repr([(x[3], x[1]) for x, _, _ in found])) - (1 << 63))
+            yield pa.RecordBatch.from_arrays([batch.column("host"), pa.array(whole, pa.int64()), pa.array(parts, kind)], ["host", "whole", "parts"])
 
     def made(batches):
         for batch in batches:
-            columns = [batch.column(f"html{k}").to_pylist() for k in range(REFERENCES)]
-            out = [json.dumps([outline(parse(h)) for h in dict.fromkeys(row)]) for row in zip(*columns, strict=True)]
-            yield pa.RecordBatch.from_arrays([batch.column("host"), pa.array(out, pa.string())], ["host", "wrapper"])
+            yield pa.RecordBatch.from_arrays([batch.column("host"), pa.array([_wrapper(x) for x in batch.column("parts").to_pylist()], pa.string())], ["host", "wrapper"])
 
-    return named.groupBy("host").agg(*least).mapInArrow(made, "host string, wrapper string")
+    seen = named.mapInArrow(outlined, "host string, whole long, parts array<struct<path:long,digest:long,parent:long,label:string,place:int>>")
+    seen = seen.groupBy("host", "whole").agg(F.first("parts").alias("parts")).select("host", F.inline("parts"))
+    counts = seen.groupBy("host", "path", "digest").agg(F.count("*").alias("n"), F.min("parent").alias("parent"), F.min("label").alias("label"), F.avg("place").alias("place")).where(F.col("n") >= SUPPORT)
+    has = F.col("digest").isNotNull()
+    # Rows of one path: its node, which has no digest, and its blocks with SUPPORT. Their number is bounded by the support, not by the pages.
+    of = F.max(F.when(~has, F.struct("n", "parent", "label", "place")))
+    grouped = counts.groupBy("host", "path").agg(of.alias("node"), F.collect_list(F.when(has, F.struct("n", "digest"))).alias("d"))
+    kept = F.transform(F.filter("d", lambda x: x["n"] >= SHARE * F.col("node.n")), lambda x: x["digest"])
+    trees = grouped.select("host", F.struct("path", "node.parent", "node.label", "node.place", F.array_sort(kept).alias("digests")).alias("part"))
+    return trees.groupBy("host").agg(F.collect_list("part").alias("parts")).mapInArrow(made, "host string, wrapper string")
 
 
 def extract(pages: DataFrame) -> DataFrame:
@@ -312,7 +390,7 @@ def extract(pages: DataFrame) -> DataFrame:
             out = []
             for h, w in zip(html, of, strict=True):
                 if w is not None and w not in known:
-                    known[w] = json.loads(w)
+                    known[w] = read_wrapper(w)
                 out.append(main_text(h, known.get(w)))
             yield pa.RecordBatch.from_arrays([batch.column("page_id"), batch.column("url"), pa.array(out, pa.string()), pa.array([len(t) for t in out], pa.int64())], ["page_id", "url", "text", "n_chars"])
 

@@ -30,6 +30,23 @@ def test_equal_pages_keep_their_text(spark, tables):
     assert {r.text for r in got} == {"Title 1\nSome text 1 & more.\nSecond block of it"}
 
 
+def texts(spark, tables, pages):
+    return {r.page_id: r.text for r in wrappers.pages_text(spark, tables(pages=pages)).collect()}
+
+
+def test_template_blocks_need_support_among_all_pages(spark, tables):
+    copy = '<html><body><div class="t"><h2>Title %s</h2></div><div class="c"><p>The shared story.</p></div><div class="box"><p>About us.</p></div></body></html>'
+    other = '<html><body><div class="t"><h2>Title %s</h2></div><div class="c"><p>Story %s.</p></div><div class="box"><p>About us.</p></div></body></html>'
+    pages = [(i, "http://two.example/", copy % i) for i in range(2)]  # near copies alone on a host
+    pages += [(10 + i, "http://some.example/", copy % i) for i in range(4)] + [(20 + i, "http://some.example/", other % (20 + i, i)) for i in range(6)]
+    layouts = ["alpha", "beta", "gamma", "delta", "omega"]
+    pages += [(100 + 10 * k + i, "http://many.example/", f'<body><div class="{x}"><div class="u"><p>Own {x} {i}.</p></div><div class="v"><p>Constant of {x}.</p></div></div></body>') for k, x in enumerate(layouts) for i in range(4)]
+    got = texts(spark, tables, pages)
+    assert all("The shared story." in got[i] for i in (0, 1))
+    assert all(got[10 + i] == f"Title {i}\nThe shared story." for i in range(4)) and all(got[20 + i] == f"Title {20 + i}\nStory {i}." for i in range(6))
+    assert all(got[100 + 10 * k + i] == f"Own {x} {i}." for k, x in enumerate(layouts) for i in range(4))
+
+
 def test_tree_matching_pairs_equal_labels_in_order():
     a = ["r", [], [["x", [], []], ["y", [], [["z", [], []]]], ["w", [], []]]]
     b = ["r", [], [["y", [], [["z", [], []]]], ["x", [], []], ["w", [], []]]]
