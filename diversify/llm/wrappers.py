@@ -3,10 +3,11 @@
 The wrapper of a host is the tree of its node paths with the blocks that recur in each, counted over all its pages; pages with equal
 outlines count once, so exact copies give no support. A block is template if SUPPORT outlines, and a share SHARE of those that have its
 path, hold it. Each page's tree is aligned with the wrapper by simple tree matching: the largest set of order-preserving pairs of nodes
-with equal labels; nodes that stand in another order are then aligned one by one. Aligned blocks that are template go; what varies are
-slots. A slot with running text is content; slots that are lists of links, or that their tag, role or class names as navigation,
-advert, form, notice, comments and the like, are not. Where a page marks its article (or main part), only that is a slot. A page of
-which only headings would be left is a near copy of others, and is judged by its own structure.
+with equal labels; nodes that stand in another order are then aligned one by one. Regions whose own blocks are all template go, and
+template blocks of the bare body; regions that vary are slots and keep their words. A slot with running text is content; slots that are lists of links, or that their tag, role or class names as navigation,
+advert, form, notice, comments and the like, are not. A page's marks of an article (or main part) confirm slots: where the longest slot
+is in an article, slots outside of articles are not content; where it is not, articles that are teasers are not. A page of which only
+headings would be left is a near copy of others, and is judged by its own structure.
 
 Blocks are the texts between the borders of block elements, character references decoded, runs of white space one space, trimmed; a line
 break is white space. Defined cases: null or empty html, or none but boilerplate, gives an empty text; a page of an unknown host, or
@@ -43,6 +44,8 @@ BLOCK = frozenset(
     "html body article section main div p h1 h2 h3 h4 h5 h6 ul ol li dl dt dd table thead tbody tfoot tr td th caption blockquote pre figure figcaption header footer nav aside form fieldset address hr details summary hgroup center".split()
 )
 HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
+#: Elements that are parts of the running text or list around them.
+PARTS = HEADINGS | frozenset("p blockquote pre hr li dt dd thead tbody tfoot tr td th caption figcaption summary".split())
 RUNNING = frozenset("p h1 h2 h3 h4 h5 h6 blockquote pre table ul ol dl figure address".split())
 CLOSED_BY_P = BLOCK - {"html", "body", "li", "dt", "dd", "tr", "td", "th", "thead", "tbody", "tfoot", "caption", "figcaption", "summary"}
 SIBLINGS = {"li": ("li",), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th"), "option": ("option",), "thead": ("tr", "td", "th"), "tbody": ("thead", "tr", "td", "th"), "tfoot": ("tbody", "tr", "td", "th")}
@@ -59,13 +62,13 @@ _WORDS = re.compile(r"[a-z]+")
 
 
 class Node:
-    __slots__ = ("children", "label", "linked", "never", "parts", "path", "tag")
+    __slots__ = ("box", "children", "label", "linked", "never", "parts", "path", "tag")
 
     def __init__(self, tag: str, attributes: str = ""):
         self.tag, self.label, self.never, self.linked = tag, tag, tag in NEVER, tag == "a"
         self.children: list[Node] = []
         self.parts: list[str | Node] = []
-        self.path = 0  # of the labels of block elements down to here
+        self.path, self.box = 0, -1  # of the labels of block elements down to here, and the place of the region around it, -1 in none but the body
         if attributes and "=" in attributes:
             named = {k.lower(): v.strip("\"'").lower() for k, v in _ATTRIBUTE.findall(attributes)}
             names = set(_WORDS.findall(named.get("class", "") + " " + named.get("id", "")))
@@ -121,6 +124,7 @@ def parse(html: str) -> Node:
             for _ in range(2):
                 close(SIBLINGS[tag], SCOPES[tag])
         node = Node(tag, m[3])
+        node.box = open_[-1].box if tag not in BLOCK or tag in PARTS or tag in ("html", "body") else m.start()
         node.path = digest(f"{open_[-1].path}/{node.label}") if tag in BLOCK else open_[-1].path
         open_[-1].parts.append(node)
         open_[-1].children.append(node)
@@ -135,8 +139,8 @@ def parse(html: str) -> Node:
     return root
 
 
-def blocks(node: Node, whole: bool = False, inside: bool = False) -> list[tuple[str, int, Node]]:
-    """(text, characters within links, element around it) of the blocks below a node, in page order; whole: those of boilerplate too; inside: the node stands in an article."""
+def blocks(node: Node, whole: bool = False, inside: bool = False, outer: bool = False) -> list[tuple[str, int, Node]]:
+    """(text, characters within links, element around it) of the blocks below a node, in page order; whole: those of boilerplate too; inside: the node stands in an article; outer: without articles below it."""
     out: list[tuple[str, int, Node]] = []
     held: list[str] = []
     linked, around = 0, node
@@ -160,6 +164,8 @@ def blocks(node: Node, whole: bool = False, inside: bool = False) -> list[tuple[
             around = near
         elif x.tag in ("br", "wbr"):
             held.append(" " if x.tag == "br" else "")
+        elif x is not node and outer and x.tag in ("article", "main"):
+            flush()
         elif whole or x is node or not (x.never or x.tag == "header" and not in_article):
             if x.tag in BLOCK:
                 flush()
@@ -267,6 +273,25 @@ def aligned(tree: list, wrapper: list | None) -> set[tuple[int, int]]:
     return template
 
 
+def aligned(tree: list, wrapper: list | None) -> set[tuple[int, int]]:
+    """(path, digest) of the page's blocks that are template: those of nodes that the wrapper aligns with and in which it has them."""
+    if not wrapper:
+        return set()
+    match(tree, wrapper, found := {})
+    template, todo = set(), [tree] if id(tree) in found else []
+    while todo:
+        x = todo.pop()
+        y = found[id(x)]
+        template.update((x[3], d) for d in set(x[1]) & set(y[1]))
+        of = {c[0]: c for c in y[2]}
+        for c in x[2]:
+            if id(c) not in found and c[0] in of:  # in another order than in the wrapper
+                match(c, of[c[0]], found)
+            if id(c) in found:
+                todo.append(c)
+    return template
+
+
 def _articles(root: Node) -> list[Node]:
     """The outermost article elements that are no boilerplate, else the main elements."""
     for tag in ("article", "main"):
@@ -284,40 +309,87 @@ def _articles(root: Node) -> list[Node]:
     return []
 
 
-def slots(root: Node) -> list[list[tuple[str, int, Node]]]:
-    """The blocks of each region with running text, in page order."""
-    out, todo = [], [root]
+def slots(root: Node) -> list[tuple[Node | None, list[tuple[str, int, Node]]]]:
+    """(the outermost article or main element around it, or none; its blocks) of each region with running text, in page order."""
+    out, todo = [], [(root, None, False)]
     while todo:
-        x = todo.pop()
+        x, mark, inside = todo.pop()
         if isinstance(x, tuple):
-            out.append([x])
+            out.append((mark, [x]))
             continue
-        if x.never or x.tag == "header":
+        if x.never or x.tag == "header" and not inside:
             continue
+        # A main element that holds articles is only their frame.
+        if x.tag == "article" and (mark is None or mark.tag == "main") or x.tag == "main" and mark is None:
+            mark = x
+        inside = inside or x.tag in ("article", "main")
         direct = any(isinstance(p, str) and p.strip() for p in x.parts) or any(c.tag in RUNNING and not c.never for c in x.children)
         if direct and x.tag not in ("html", "#root"):
-            own = blocks(x)
+            own = blocks(x, False, inside, mark is None or mark.tag == "main")
             if sum(n for _, n, _ in own) <= LINKS * sum(len(t) for t, _, _ in own):
-                out.append(own)
+                out.append((mark, own))
+            if mark is None or mark.tag == "main":
+                todo.extend((a, mark, inside) for a in reversed(marked(x)))
             continue
         for part in reversed(x.parts):
             if isinstance(part, Node):
-                todo.append(part)
+                todo.append((part, mark, inside))
             elif text := " ".join(part.split()):  # only outside the body
-                todo.append((text, 0, x))
+                todo.append(((text, 0, x), mark, inside))
+    return out
+
+
+def marked(node: Node) -> list[Node]:
+    """The outermost article and main elements below a node that are no boilerplate, in page order."""
+    out, todo = [], list(reversed(node.children))
+    while todo:
+        x = todo.pop()
+        if x.never or x.tag == "header":
+            continue
+        if x.tag in ("article", "main"):
+            out.append(x)
+        else:
+            todo.extend(reversed(x.children))
     return out
 
 
+def confirmed(found: list[tuple[Node | None, list[tuple[str, int, Node]]]]) -> list[tuple[Node | None, list[tuple[str, int, Node]]]]:
+    """Slots that are content by the marks of articles."""
+    size: dict[int, int] = {}
+    first: dict[int, tuple[str, int, Node]] = {}
+    mark: dict[int, Node] = {}
+    outside = 0
+    for m, own in found:
+        n = sum(len(t) for t, _, _ in own)
+        if m is None:
+            outside = max(outside, n)
+        elif own:
+            size[id(m)] = size.get(id(m), 0) + n
+            first.setdefault(id(m), own[0])
+            mark[id(m)] = m
+    if not size:
+        return found
+    # A teaser begins with a link to what it is about.
+    teasers = {k for k, (t, n, _) in first.items() if n and n >= len(t)}
+    main = {k for k in size if k not in teasers}
+    if main and max(size[k] for k in main) >= outside or not outside:
+        chosen = main or set(size)
+        return [(m, own) for m, own in found if m is not None and id(m) in chosen]
+    # The content is outside: several articles of one path are a list of teasers or comments.
+    paths = [mark[k].path for k in size]
+    chosen = {k for k in main if paths.count(mark[k].path) == 1}
+    return [(m, own) for m, own in found if m is None or id(m) in chosen]
+
+
 def main_text(html: str | None, wrapper: list | None) -> str:
     root = parse(html or "")
-    if articles := _articles(root):
-        return "\n".join(t for x in articles for t, _, _ in blocks(x))
     template = aligned(outline(root), wrapper)
-    own = [x for slot in slots(root) for x in slot]
-    left = [x for x in own if (x[2].path, digest(x[0])) not in template]
-    if all(x[2].tag in HEADINGS for x in left):  # a near copy
-        left = own
-    return "\n".join(t for t, _, _ in left)
+    found = slots(root)
+    varies = {x[2].box for _, own in found for x in own if x[2].box >= 0 and (x[2].path, digest(x[0])) not in template}
+    left = [(m, [x for x in own if x[2].box in varies or x[2].box < 0 and (x[2].path, digest(x[0])) not in template]) for m, own in found]
+    if all(x[2].tag in HEADINGS for _, own in left for x in own):  # a near copy
+        left = found
+    return "\n".join(t for _, own in confirmed(left) for t, _, _ in own)
 
 
 def host(url: Column) -> Column:

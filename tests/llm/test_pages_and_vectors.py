@@ -47,6 +47,19 @@ def test_template_blocks_need_support_among_all_pages(spark, tables):
     assert all(got[100 + 10 * k + i] == f"Own {x} {i}." for k, x in enumerate(layouts) for i in range(4))
 
 
+def test_marks_of_articles_are_only_hints(spark, tables):
+    teaser = '<div class="u"><article><h3><a href="/%s">Read %s</a></h3><p>Short.</p></article><article><h3><a href="/b">Read b %s</a></h3><p>Brief.</p></article></div>'
+    outside = '<body><div class="c"><h1>Title %s</h1><p>The long story number %s is told here in a plain container.</p></div>' + teaser + "</body>"
+    within = '<body><article><h1>Title %s</h1><p>Story %s is here.</p><div class="x"><p>Support our paper today and tomorrow.</p></div><p>End of %s.</p></article></body>'
+    beside = "<body>" + teaser + "<article><h1>Title %s</h1><p>Story %s is here.</p></article></body>"
+    pages = [(i, "http://out.example/", outside % ((i,) * 5)) for i in range(5)] + [(10 + i, "http://in.example/", within % ((i,) * 3)) for i in range(5)]
+    pages += [(20 + i, "http://beside.example/", beside % ((i,) * 5)) for i in range(2)]
+    got = texts(spark, tables, pages)
+    assert all(got[i] == f"Title {i}\nThe long story number {i} is told here in a plain container." for i in range(5))
+    assert all(got[10 + i] == f"Title {i}\nStory {i} is here.\nEnd of {i}." for i in range(5))
+    assert all(got[20 + i] == f"Title {i}\nStory {i} is here." for i in range(2))
+
+
 def test_tree_matching_pairs_equal_labels_in_order():
     a = ["r", [], [["x", [], []], ["y", [], [["z", [], []]]], ["w", [], []]]]
     b = ["r", [], [["y", [], [["z", [], []]]], ["x", [], []], ["w", [], []]]]
