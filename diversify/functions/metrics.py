@@ -7,6 +7,8 @@ from functools import reduce
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -63,6 +65,39 @@ def sparse_dots(a: DataFrame, b: DataFrame) -> DataFrame:
     return left.join(right, "term").groupBy("i", "j").agg(F.sum(F.col("ci") * F.col("cj")).alias("dot"))
 
 
+def sparse_products(w: DataFrame, vectors: int, block: int = 1000) -> DataFrame:
+    """(i, j, dot, ni, nj): dot products and squared norms of all pairs i < j of sparse vectors (pid, term, cnt) that share a term.
+
+    ``vectors``, their number, sets the number of blocks of about ``block`` rows; each pair of blocks is one matrix product, so terms in
+    every vector cost no more than others. Sums of integers are exact below 2^53. Both the work and the result grow with the squared number.
+    """
+    blocks = max(1, -(-vectors // block))
+    v = w.where("pid IS NOT NULL").groupBy("pid").agg(F.collect_list(F.struct("term", "cnt")).alias("v"))
+    v = v.select(F.pmod(F.xxhash64("pid"), F.lit(blocks)).alias("own"), F.col("pid").cast("long").alias("pid"), F.col("v.term").cast("array<long>").alias("terms"), F.col("v.cnt").cast("array<double>").alias("cnts"))
+    dealt = v.withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))).select(F.least("own", "other").alias("x"), F.greatest("own", "other").alias("y"), "own", "pid", "terms", "cnts")
+
+    def products(t: pa.Table) -> pa.Table:
+        own, pid = t.column("own").to_numpy(), t.column("pid").to_numpy()
+        terms, cnts = t.column("terms").combine_chunks(), t.column("cnts").combine_chunks()
+        row = np.repeat(np.arange(len(pid)), pc.list_value_length(terms).to_numpy(zero_copy_only=False))
+        used, at = np.unique(terms.flatten().to_numpy(), return_inverse=True)
+        m = np.zeros((len(pid), len(used)))
+        m[row, at] = cnts.flatten().to_numpy()
+        n = (m * m).sum(1)
+        x, y = t.column("x")[0].as_py(), t.column("y")[0].as_py()
+        a, b = np.flatnonzero(own == x), np.flatnonzero(own == y)
+        dot = m[a] @ m[b].T
+        i, j = np.nonzero(dot)
+        dot, i, j = dot[i, j], a[i], b[j]
+        if x == y:
+            keep = pid[i] < pid[j]
+            dot, i, j = dot[keep], i[keep], j[keep]
+        i, j = np.where(pid[i] < pid[j], i, j), np.where(pid[i] < pid[j], j, i)
+        return pa.table({"i": pid[i], "j": pid[j], "dot": dot.astype(np.int64), "ni": n[i].astype(np.int64), "nj": n[j].astype(np.int64)})
+
+    return dealt.groupBy("x", "y").applyInArrow(products, "i long, j long, dot long, ni long, nj long")
+
+
 def custom(fn: Callable[[np.ndarray, np.ndarray], float]) -> Callable[[Column, Column], Column]:
     """A user's metric over two array columns, in Arrow batches. It must be a metric; ``audit`` looks for broken triangles."""
 

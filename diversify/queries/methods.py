@@ -108,7 +108,7 @@ SELECT a.p AS i, b.p AS j, round(1 - coalesce(c.c, 0)::DOUBLE / (a.n + b.n - coa
 
 
 def sparse_angles(spark, d) -> DataFrame:
-    """For each document the largest dot product with another, and the angle to it, over whole texts' rare words."""
+    """The dot product and the angle of pairs of documents over their words of document frequency 2 to 20 alone, as the SQL has it; ``whole_angles`` takes all words."""
     w = tables.word_counts(tables.read(spark, d, "documents"))
     rare = w.join(w.groupBy("term").agg(F.count("*").alias("df")).where("df BETWEEN 2 AND 20"), "term").select("pid", "term", "cnt")
     norm = rare.groupBy("pid").agg(F.sum(F.col("cnt") * F.col("cnt")).alias("n"))
@@ -122,6 +122,19 @@ add("d_angular_sparse", sparse_angles, f"""
 WITH {WORDS}, r AS (SELECT pid, term, cnt FROM wc JOIN (SELECT term FROM wc GROUP BY term HAVING count(*) BETWEEN 2 AND 20) USING (term)), n AS (SELECT pid, sum(cnt * cnt) AS n FROM r GROUP BY pid),
 dots AS (SELECT a.pid AS i, b.pid AS j, sum(a.cnt * b.cnt)::BIGINT AS dot FROM r a JOIN r b ON a.term = b.term AND a.pid < b.pid GROUP BY 1, 2)
 SELECT i, j, dot, round(acos(least(1, dot / sqrt((a.n * b.n)::DOUBLE))), 6) AS d FROM dots JOIN n a ON a.pid = i JOIN n b ON b.pid = j""")
+
+
+def whole_angles(spark, d) -> DataFrame:
+    """The dot product and the angle of all pairs of documents that share a word, over all words of the vocabulary."""
+    docs = tables.read(spark, d, "documents")
+    both = metrics.sparse_products(tables.word_counts(docs), docs.count())
+    return both.select("i", "j", "dot", F.round(metrics.angle(F.col("dot") / F.sqrt((F.col("ni") * F.col("nj")).cast("double"))), 6).alias("d"))
+
+
+add("d_angular_sparse_whole", whole_angles, f"""
+WITH {WORDS}, n AS (SELECT pid, sum(cnt * cnt) AS n FROM wc GROUP BY pid),
+dots AS (SELECT a.pid AS i, b.pid AS j, sum(a.cnt * b.cnt)::BIGINT AS dot FROM wc a JOIN wc b ON a.term = b.term AND a.pid < b.pid GROUP BY 1, 2)
+SELECT i, j, dot, round(acos(least(1, dot / sqrt((a.n * b.n)::DOUBLE))), 6) AS d FROM dots JOIN n a ON a.pid = i JOIN n b ON b.pid = j""")
 add("d_to_set", lambda spark, d: metrics.to_set(tables.parts(spark, d).df, selection(spark, d), list(XY)).select("pid", "anchor_pid", F.round("dist", 6).alias("dist")), q.query(PICKED, f"SELECT p.pid, s.pid AS anchor_pid, round(sqrt(({q.square('p', 's', XY)})::DOUBLE), 6) AS dist FROM pts p, sel s QUALIFY row_number() OVER (PARTITION BY p.pid ORDER BY {q.square('p', 's', XY)}, s.pid) = 1"))
 add("d_audit", lambda spark, d: metrics.audit(tables.suppliers(spark, d).df, list(XY)), f"WITH p AS ({SUPPLIERS}), e AS (SELECT a.pid AS a, b.pid AS b, {_SCALAR_SQL['euclid']} AS d FROM p a, p b WHERE a.pid <> b.pid) SELECT count(*) AS triples, count(*) FILTER (WHERE x.d > y.d + z.d + 1e-9) AS violations FROM e x JOIN e y ON y.a = x.a JOIN e z ON z.a = y.b AND z.b = x.b WHERE x.a < x.b")
 

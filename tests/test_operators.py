@@ -255,3 +255,13 @@ def test_candidates_of_frozen_anchors(spark, tmp_path):
     gap = metrics.euclid_arr(F.col("v"), F.col("a"))
     want = {(r.pid, r.anchor_pid) for r in s.slim().crossJoin(anchors).where(gap <= 150).collect()}
     assert got == want
+
+
+@pytest.mark.parametrize("block", [4, 1000])
+def test_sparse_products_keep_frequent_terms(spark, block):
+    vectors = {i: {0: 2 + i % 3, 1 + i % 2: 1 + i, 10 + i: 5} for i in range(30)} | {40: {99: 1}}  # term 0 is in all but one
+    w = spark.createDataFrame([(i, t, c) for i, v in vectors.items() for t, c in v.items()], "pid long, term int, cnt long")
+    got = {(r.i, r.j): (r.dot, r.ni, r.nj) for r in metrics.sparse_products(w, len(vectors), block).collect()}
+    norm = {i: sum(c * c for c in v.values()) for i, v in vectors.items()}
+    want = {(i, j): (sum(c * vectors[j].get(t, 0) for t, c in vectors[i].items()), norm[i], norm[j]) for i in range(30) for j in range(i + 1, 30)}
+    assert got == want
