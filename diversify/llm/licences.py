@@ -1,6 +1,8 @@
 """Licence notices in documents: a sparse word n-gram logistic regression over paragraphs, confirmed by templates. DataFrame functions only.
 
-Paragraphs are judged sentence by sentence, as a notice often stands within other text.
+Paragraphs end at lines without a letter or digit and are judged sentence by sentence, as a notice often stands within other text. A
+sentence over several lines is judged as a whole, as notices are wrapped, and line by line, as lists of notices have no full stops; the
+whole counts only for families that none of its lines has. A sentence does not end at the point of an abbreviation.
 
 Training examples are notices composed from the names and texts of each family, and, for the unknown class, licence-like sentences
 without a family and a bounded sample of the documents' own paragraphs. The regression is multinomial over hashed 1- to 3-grams; its
@@ -30,16 +32,16 @@ UNKNOWN = "unknown"
 
 # Names and phrases by family. The first word list after the bar is the template's key.
 FAMILIES = {
-    "apache": ("apache license version 2.0|apache", "apache 2.0 license|apache", "apache software license|apache", "apache-2.0|apache-2.0"),
+    "apache": ("apache license version 2.0|apache", "apache 2.0 license|apache", "apache software license|apache", "apache license|apache license", "apache-2.0|apache-2.0"),
     "mit": ("mit license|mit", "the mit licence|mit", "permission is hereby granted free of charge to any person obtaining a copy of this software|hereby granted"),
-    "gpl": ("gnu general public license version 3|gnu general", "gnu general public license version 2|gnu general", "gpl v3|gpl", "gplv3|gplv3", "gpl-3.0|gpl-3.0", "gpl-2.0|gpl-2.0", "gplv2|gplv2", "gpl license|gpl"),
+    "gpl": ("gnu general public license version 3|gnu general", "gnu general public license version 2|gnu general", "gnu general public license|gnu general", "gpl v3|gpl", "gplv3|gplv3", "gpl-3.0|gpl-3.0", "gpl-2.0|gpl-2.0", "gplv2|gplv2", "gpl license|gpl"),
     "lgpl": ("gnu lesser general public license|lesser general", "lgpl v2.1|lgpl", "lgpl-2.1|lgpl-2.1", "lgpl license|lgpl"),
     "agpl": ("gnu affero general public license|affero", "agpl v3|agpl", "agpl-3.0|agpl-3.0"),
     "bsd": ("bsd license|bsd", "bsd 3-clause license|bsd", "bsd 2-clause license|bsd", "3-clause bsd|bsd", "bsd-3-clause|bsd-3-clause", "redistribution and use in source and binary forms with or without modification are permitted|redistribution"),
-    "mpl": ("mozilla public license version 2.0|mozilla", "mpl 2.0|mpl", "mpl-2.0|mpl-2.0"),
-    "cc-by-nc": ("cc by-nc 4.0|cc by-nc", "cc by-nc-sa 4.0|cc by-nc-sa", "cc by-nc-nd 4.0|cc by-nc-nd", "creative commons attribution noncommercial|commons noncommercial", "creative commons attribution-noncommercial 4.0 international license|commons attribution-noncommercial", "cc-by-nc-4.0|cc-by-nc-4.0"),
-    "cc-by-sa": ("cc by-sa 4.0|cc by-sa", "creative commons attribution sharealike|commons sharealike", "creative commons attribution-sharealike 4.0 international license|commons attribution-sharealike", "cc-by-sa-4.0|cc-by-sa-4.0"),
-    "cc-by": ("cc by 4.0|cc by", "creative commons attribution 4.0 international license|commons attribution", "cc-by-4.0|cc-by-4.0"),
+    "mpl": ("mozilla public license version 2.0|mozilla", "mozilla public license|mozilla public license", "mpl 2.0|mpl", "mpl-2.0|mpl-2.0"),
+    "cc-by-nc": ("cc by-nc 4.0|cc by-nc", "cc by-nc-sa 4.0|cc by-nc-sa", "cc by-nc-nd 4.0|cc by-nc-nd", "cc by-nc|cc by-nc", "cc by-nc-sa|cc by-nc-sa", "cc by-nc-nd|cc by-nc-nd", "creative commons attribution-noncommercial license|commons attribution-noncommercial", "creative commons attribution noncommercial|commons noncommercial", "creative commons attribution-noncommercial 4.0 international license|commons attribution-noncommercial", "cc-by-nc-4.0|cc-by-nc-4.0"),
+    "cc-by-sa": ("cc by-sa 4.0|cc by-sa", "cc by-sa|cc by-sa", "creative commons attribution-sharealike license|commons attribution-sharealike", "creative commons attribution sharealike|commons sharealike", "creative commons attribution-sharealike 4.0 international license|commons attribution-sharealike", "cc-by-sa-4.0|cc-by-sa-4.0"),
+    "cc-by": ("cc by 4.0|cc by", "creative commons attribution 4.0 international license|commons attribution", "creative commons attribution license|commons attribution", "cc-by-4.0|cc-by-4.0"),
     "public-domain": ("cc0 1.0 universal|cc0", "public domain dedication|public domain", "dedicated to the public domain|public domain", "the unlicense|unlicense"),
     "proprietary": ("all rights reserved|rights reserved", "may not be reproduced without permission copyright|copyright reproduced"),
 }
@@ -50,6 +52,9 @@ NO_FAMILY = (
 )
 CUE = r"(?i)apache|\bmit\b(?=.*licen[cs]e)|licen[cs]e.*\bmit\b|hereby granted|\bgnu\b|\bl?gpl|\bagpl|\blgpl|affero|\bbsd\b|redistribution|mozilla|\bmpl\b|\bcc\b|\bcc0\b|\bcc-by|commons|public domain|unlicense|rights reserved|copyright"
 
+#: Between sentences: lines without a letter or digit, or white space after an end that is no abbreviation's.
+BREAK = r"\r?\n(?:[^\p{L}\p{N}\r\n]*+\r?\n)+|(?<=[.!?])(?<!(?i:\b(?:v|ver|vers|rev|no|nr|cf|e\.g|i\.e)\.))\s+"
+
 #: Every text with a cue contains one of these in lower case; plain searches are much faster than the pattern.
 HINTS = ("apache", "licen", "hereby granted", "gnu", "gpl", "affero", "bsd", "redistribution", "mozilla", "mpl", "cc", "commons", "public domain", "rights reserved", "copyright")
 
@@ -123,7 +128,7 @@ def _softmax(z: np.ndarray) -> np.ndarray:
 
 
 def notices(docs: DataFrame) -> DataFrame:
-    """(doc_id, th, family, p): paragraphs that are a notice of a family."""
+    """(doc_id, th, at, family, p, n): sentences with a notice of a family, and how many of their lines have one."""
     spark = docs.sparkSession
     composed = small_frame(spark, examples(), "family string, paragraph string").withColumn("own", F.lit(True))
     # A row for each of SAMPLE buckets of a hash, the one with the smallest hash: minima are combined where the texts are, nothing is sorted.
@@ -140,26 +145,30 @@ def notices(docs: DataFrame) -> DataFrame:
     templates = [(family, name.partition("|")[0].split(), name.partition("|")[2].split()) for family, names in FAMILIES.items() for name in names]
     templates = small_frame(spark, templates, "family string, words array<string>, key array<string>")
 
-    cued = docs.where(hinted(F.col("text"))).select("doc_id", F.xxhash64("text").alias("th"), F.posexplode_outer(F.split("text", r"\r?\n|(?<=[.!?])\s+")).alias("at", "paragraph")).where(F.col("paragraph").rlike(CUE))
-    paragraphs = cued.select("doc_id", "th", "at", tokens(F.col("paragraph")).alias("w")).distinct()
-    grams = paragraphs.select("doc_id", "th", "at", F.explode_outer(buckets(F.col("w"))).alias("bucket"))
-    keys = ["doc_id", "th", "at"]
+    sentences = docs.where(hinted(F.col("text"))).select("doc_id", F.xxhash64("text").alias("th"), F.posexplode(F.split("text", BREAK)).alias("at", "sentence")).where(hinted(F.col("sentence")))
+    lines = F.split("sentence", r"\r?\n")
+    pieces = F.concat(F.array(F.array_join(lines, " ")), F.when(F.size(lines) > 1, lines).otherwise(F.array().cast("array<string>")))  # the whole, then its lines
+    cued = sentences.select("doc_id", "th", "at", F.posexplode(pieces).alias("part", "paragraph")).where(F.col("paragraph").rlike(CUE))
+    paragraphs = cued.select("doc_id", "th", "at", "part", tokens(F.col("paragraph")).alias("w")).distinct()
+    grams = paragraphs.select("doc_id", "th", "at", "part", F.explode_outer(buckets(F.col("w"))).alias("bucket"))
+    keys = ["doc_id", "th", "at", "part"]
     sums = grams.join(F.broadcast(model), "bucket", "left").groupBy(*keys).agg(*(F.sum(F.coalesce(f"c{k}", F.lit(0.0))).alias(f"c{k}") for k in range(len(classes))))
     z = [F.round(F.col(f"c{k}") + F.lit(float(bias[k] * scale)), 9) for k in range(len(classes))]
     top = F.greatest(*z)
     total = sum((F.exp(x - top) for x in z[1:]), F.exp(z[0] - top))
     family = F.coalesce(*(F.when(x == top, F.lit(c)) for x, c in zip(z, classes, strict=True)))
     judged = sums.select(*keys, family.alias("family"), F.round(1 / total, 6).alias("p")).where((F.col("family") != UNKNOWN) & (F.col("p") >= CERTAIN))
-    own = (F.col("j.th") == F.col("q.th")) & F.col("j.doc_id").eqNullSafe(F.col("q.doc_id")) & (F.col("j.at") == F.col("q.at"))
+    own = (F.col("j.th") == F.col("q.th")) & F.col("j.doc_id").eqNullSafe(F.col("q.doc_id")) & (F.col("j.at") == F.col("q.at")) & (F.col("j.part") == F.col("q.part"))
     both = judged.alias("j").join(paragraphs.alias("q"), own).select("j.*", "w").join(F.broadcast(templates), "family")
     like = (F.size(F.array_except("key", "w")) == 0) & (F.size(F.array_intersect(F.array_distinct("words"), "w")) >= TEMPLATE * F.size(F.array_distinct("words")))
-    return both.where(like).select(*keys, "family", "p").distinct()
+    found = both.where(like).select(*keys, "family", "p").distinct()
+    return found.groupBy("doc_id", "th", "at", "family").agg(F.max("p").alias("p"), F.greatest(F.count_if(F.col("part") > 0), F.lit(1)).alias("n"))
 
 
 def licence_scan(docs: DataFrame) -> DataFrame:
     """(doc_id, family, families, n_notices, confidence) of every row: the surest family, all families, number of notices."""
     n = notices(docs).groupBy("doc_id", "th").agg(
-        F.max_by("family", F.struct("p", "family")).alias("family"), F.array_join(F.array_sort(F.collect_set("family")), ",").alias("families"), F.count("*").alias("n_notices"), F.max("p").alias("confidence"),
+        F.max_by("family", F.struct("p", "family")).alias("family"), F.array_join(F.array_sort(F.collect_set("family")), ",").alias("families"), F.sum("n").alias("n_notices"), F.max("p").alias("confidence"),
     )
     base = docs.select("doc_id", F.xxhash64("text").alias("th")).alias("d")
     joined = base.join(n.alias("n"), (F.col("d.th") == F.col("n.th")) & F.col("d.doc_id").eqNullSafe(F.col("n.doc_id")), "left")

@@ -253,6 +253,15 @@ def test_licences_are_found_and_names_are_not(spark, tables):
     assert [r["families"] for r in got] == ["apache", "mit", "", "gpl", "cc-by-nc", "", ""]
 
 
+def test_wrapped_and_versionless_notices(spark, tables):
+    bsd = "Copyright (c) 2020, X\n\nRedistribution and use in source and binary forms, with or without\nmodification, are permitted provided that the following conditions\nare met:"
+    gpl = "# This program is free software: you can redistribute it and/or modify\n# it under the terms of the GNU General Public License as published by\n# the Free Software Foundation; either version 3 of the License, or\n# (at your option) any later version."
+    mpl = "This Source Code Form is subject to the terms of the Mozilla Public\nLicense, v. 2.0. If a copy of the MPL was not distributed with this\nfile, You can obtain one at http://mozilla.org/MPL/2.0/."
+    texts = [bsd, gpl, mpl, "Released under the GNU General Public License.", "Licensed under the Apache License", "Released under the MIT License\nLicensed under CC BY-NC 4.0\nend", "the general\npublic\nand his license\nof mozilla"]
+    got = rows(licences.licences(spark, tables(documents=[(i, t, "en", "a", 1) for i, t in enumerate(texts)])), "doc_id")
+    assert [(r["families"], r["n_notices"]) for r in got] == [("bsd", 1), ("gpl", 1), ("mpl", 2), ("gpl", 1), ("apache", 1), ("cc-by-nc,mit", 2), ("", 0)]
+
+
 def folded(i):
     return zlib.crc32(str(i).encode()) % 3
 
