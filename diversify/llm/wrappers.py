@@ -18,6 +18,7 @@ from __future__ import annotations
 
 import json
 import re
+from collections import Counter
 from html import unescape
 
 import pyarrow as pa
@@ -29,8 +30,8 @@ from diversify.llm.base import checkpoint, table
 
 #: Least outlines that hold a template block, and their least share of those with its path.
 SUPPORT, SHARE = 3, 0.5
-#: Share of a region's characters within links from which it is a menu, most cells of one alignment table, and depth from which elements are siblings.
-LINKS, CELLS, DEPTH = 0.5, 40_000, 200
+#: Share of a region's characters within links from which it is a menu, and most cells of one alignment table.
+LINKS, CELLS = 0.5, 40_000
 #: Most bytes of wrappers that are broadcast.
 BROADCAST = 64_000_000
 
@@ -84,16 +85,20 @@ def parse(html: str) -> Node:
     """The tree of a page; end tags that HTML lets be left out are supplied, stray ones ignored."""
     root = Node("#root")
     open_, at, skip_to = [root], 0, None
+    count: Counter[str] = Counter()  # open elements by tag: what is not open is not looked for, however deep the page
 
     def add(text: str) -> None:
         if text:
             open_[-1].parts.append(unescape(text) if "&" in text else text)
 
     def close(tags: tuple[str, ...], within: tuple[str, ...] = ()) -> None:
+        if not any(count[t] for t in tags):
+            return
         for k in range(len(open_) - 1, 0, -1):
             if open_[k].tag in within:
                 return
             if open_[k].tag in tags:
+                count.subtract(n.tag for n in open_[k:])
                 del open_[k:]
                 return
 
@@ -113,8 +118,6 @@ def parse(html: str) -> Node:
         if not tag:
             continue
         if end:
-            if tag == "p" and not any(n.tag == "p" for n in open_):
-                continue
             if tag not in VOID:
                 close((tag,))
             continue
@@ -132,8 +135,9 @@ def parse(html: str) -> Node:
             if not m[3].endswith("/"):
                 skip_to = tag
                 open_.append(node)
-        elif tag not in VOID and not m[3].endswith("/") and len(open_) < DEPTH:
+        elif tag not in VOID and not m[3].endswith("/"):
             open_.append(node)
+            count[tag] += 1
     if skip_to is None:
         add(html[at:])
     return root

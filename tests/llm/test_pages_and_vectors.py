@@ -60,6 +60,14 @@ def test_marks_of_articles_are_only_hints(spark, tables):
     assert all(got[20 + i] == f"Title {i}\nStory {i} is here." for i in range(2))
 
 
+def test_text_after_a_deep_nest(spark, tables):
+    nest = lambda n: "<div>" * n + "deep" + "</div>" * n
+    pages = [(i, f"http://h{i}.example/", f"<body><div><article><p>before</p>{nest(n)}<p>after</p></article></div><footer>foot</footer></body>") for i, n in enumerate((300, 30_000))]
+    pages += [(2, "http://b.example/", "<body><article><p>text" + "<font><b>" * 300 + "<nav>menu</nav><aside>side</aside></p> end</article></body>")]
+    got = texts(spark, tables, pages)
+    assert got[0] == got[1] == "before\ndeep\nafter" and got[2] == "text\nend"
+
+
 def test_tree_matching_pairs_equal_labels_in_order():
     a = ["r", [], [["x", [], []], ["y", [], [["z", [], []]]], ["w", [], []]]]
     b = ["r", [], [["y", [], [["z", [], []]]], ["x", [], []], ["w", [], []]]]
