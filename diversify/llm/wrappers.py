@@ -18,6 +18,7 @@ from __future__ import annotations
 
 import json
 import re
+from bisect import bisect_left
 from collections import Counter
 from html import unescape
 
@@ -30,8 +31,8 @@ from diversify.llm.base import checkpoint, table
 
 #: Least outlines that hold a template block, and their least share of those with its path.
 SUPPORT, SHARE = 3, 0.5
-#: Share of a region's characters within links from which it is a menu, and most cells of one alignment table.
-LINKS, CELLS = 0.5, 40_000
+#: Share of a region's characters within links from which it is a menu.
+LINKS = 0.5
 #: Most bytes of wrappers that are broadcast.
 BROADCAST = 64_000_000
 
@@ -227,7 +228,7 @@ def match(a: list, b: list, found: dict[int, list]) -> int:
     for x, y in reversed(pairs):
         place = {c[0]: j for j, c in enumerate(y[2])}
         common = [(c, place[c[0]]) for c in x[2] if c[0] in place]
-        chosen[id(x)] = [(c, y[2][j]) for c, j in ordered(common, [size[id(c)] for c, _ in common], len(x[2]) * len(y[2]))]
+        chosen[id(x)] = [(c, y[2][j]) for c, j in ordered(common, [size[id(c)] for c, _ in common])]
         size[id(x)] = 1 + sum(size[id(c)] for c, _ in chosen[id(x)])
     todo = [(a, b)]
     while todo:
@@ -237,24 +238,22 @@ def match(a: list, b: list, found: dict[int, list]) -> int:
     return size[id(a)]
 
 
-def ordered(common: list[tuple[list, int]], weights: list[int], cells: int) -> list[tuple[list, int]]:
-    """The heaviest of the children that two lists have in common whose places increase."""
-    if cells > CELLS:  # labels are distinct among siblings: pairing by label in order is what remains
-        out, last = [], -1
-        for c, j in common:
-            if j > last:
-                last = j
-                out.append((c, j))
-        return out
-    best: list[tuple[int, int]] = []  # weight of the heaviest list that ends here, its place before
-    for i, (_, j) in enumerate(common):
-        before = max(((best[h][0], -h) for h in range(i) if common[h][1] < j), default=(0, 1))
-        best.append((before[0] + weights[i], -before[1]))
-    at = max(range(len(best)), key=lambda i: best[i][0], default=-1)
-    out = []
-    while at >= 0:
-        out.append(common[at])
-        at = best[at][1]
+def ordered(common: list[tuple[list, int]], weights: list[int]) -> list[tuple[list, int]]:
+    """The heaviest of the children that two lists have in common whose places increase: labels are distinct among siblings, so this is the largest matching."""
+    ends: list[tuple[int, int, int]] = []  # (place, weight, number) of lists by their last place: both increase
+    before = []
+    for i, ((_, j), w) in enumerate(zip(common, weights, strict=True)):
+        at = bisect_left(ends, (j,))
+        before.append(ends[at - 1][2] if at else -1)
+        w += ends[at - 1][1] if at else 0
+        stop = at
+        while stop < len(ends) and ends[stop][1] <= w:
+            stop += 1
+        ends[at:stop] = [(j, w, i)]
+    out, i = [], ends[-1][2] if ends else -1
+    while i >= 0:
+        out.append(common[i])
+        i = before[i]
     return out[::-1]
 
 

@@ -74,6 +74,20 @@ def test_tree_matching_pairs_equal_labels_in_order():
     assert wrappers.match(a, b, {}) == 4 and wrappers.match(a, a, {}) == 5 and wrappers.match(a, ["q", [], []], {}) == 0
 
 
+def test_tree_matching_is_the_largest_for_long_lists():
+    leaf = lambda k: [f"h2.s{k}", [], []]
+    a = ["r", [], [leaf(k) for k in range(300)]]
+    b = ["r", [], [leaf(k) for k in (*range(1, 300), 0)]]  # the first label stands last
+    assert wrappers.match(a, b, found := {}) == 300 and len(found) == 300
+    rng = np.random.default_rng(1)
+    for _ in range(200):
+        n = int(rng.integers(1, 8))
+        places, weights = rng.permutation(n).tolist(), rng.integers(1, 5, n).tolist()
+        best = max(sum(weights[i] for i in range(n) if m >> i & 1) for m in range(1 << n) if (q := [places[i] for i in range(n) if m >> i & 1]) == sorted(q))
+        got = wrappers.ordered([([k], p) for k, p in enumerate(places)], weights)
+        assert sum(weights[c[0]] for c, _ in got) == best and [p for _, p in got] == sorted(p for _, p in got)
+
+
 def test_no_pages(spark, tables):
     assert wrappers.pages_text(spark, tables()).collect() == []
 
