@@ -475,12 +475,12 @@ def _best_of_three(d: np.ndarray, objective: str) -> tuple[list[int], float]:
     return list(at), best
 
 
-def local_search(b: Block, k: int, sweeps: int = 10) -> list[int]:
-    """Swaps that raise the sum of distances, from the heavy matching."""
+def local_search(b: Block, k: int) -> list[int]:
+    """The best swap while it raises the sum of distances, from the heavy matching. The sum grows strictly, so it ends."""
     d = b.matrix()
     inside = np.zeros(len(b), bool)
     inside[heavy_matching(b, k)] = True
-    for _ in range(sweeps):
+    while True:
         to = d[:, inside].sum(1)
         a, z = np.flatnonzero(inside), np.flatnonzero(~inside)
         if not len(z):

@@ -173,3 +173,12 @@ def test_planner_formulas():
     assert params.plan("mr2", "clique", 10**6, 4, dim=1.0).k_prime == pytest.approx(16 / (1 / 3) * 4)
     assert params.plan("stream1", "edge", 10**6, 1, dim=3.0).k_prime == pytest.approx(262144)
     assert params.plan("mr3", "edge", 10**6, 4) is None and params.plan("mr3", "tree", 10**6, 4).cap == 1
+
+
+def test_local_search_ends_where_no_swap_gains(monkeypatch):
+    b = f.Block(range(80), np.random.default_rng(3).standard_normal((80, 2)))
+    monkeypatch.setattr(f, "heavy_matching", lambda b, k: np.argsort((b.x**2).sum(1))[:k].tolist())  # the innermost points
+    d = b.matrix()
+    at = f.local_search(b, 30)
+    out = [z for z in range(80) if z not in at]
+    assert len(at) == 30 and all(d[z, at].sum() - d[a, at].sum() - d[a, z] <= 1e-9 for a in at for z in out)
