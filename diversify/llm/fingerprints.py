@@ -56,14 +56,14 @@ def fingerprints(texts: list[bytes]) -> np.ndarray:
 
 
 def with_fingerprints(docs: DataFrame) -> DataFrame:
-    """(doc_id, fp as a signed long) of every row."""
+    """(doc_id, th, fp as a signed long) of every row; th is the hash of the text."""
 
     def made(batches):
         for batch in batches:
             for first, texts in slices(batch.column("text")):
-                yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(first, len(texts)), pa.array(fingerprints(texts).view(np.int64))], ["doc_id", "fp"])
+                yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(first, len(texts)), batch.column("th").slice(first, len(texts)), pa.array(fingerprints(texts).view(np.int64))], ["doc_id", "th", "fp"])
 
-    return docs.select("doc_id", "text").mapInArrow(made, f"doc_id {dict(docs.dtypes)['doc_id']}, fp long")
+    return docs.select("doc_id", F.xxhash64("text").alias("th"), "text").mapInArrow(made, f"doc_id {dict(docs.dtypes)['doc_id']}, th long, fp long")
 
 
 def _around(f: np.ndarray, root: np.ndarray, at: np.ndarray) -> np.ndarray:
@@ -144,14 +144,19 @@ def near_links(prints: DataFrame) -> DataFrame:
     return shards.unionByName(crowd_links)
 
 
-def near_copies(docs: DataFrame) -> DataFrame:
-    """(doc_id, fp, component_id) of every row of ``docs``."""
+def _in_components(docs: DataFrame) -> DataFrame:
+    """(doc_id, th, fp, root, component_id) of every row of ``docs``: th is the hash of its text, root the fingerprint that names its component."""
     rows = checkpoint(with_fingerprints(docs))
     classes = checkpoint(rows.groupBy("fp").agg(F.min("doc_id").alias("least")))
     found = components(near_links(classes.select("fp")), "a", "b")
     of = classes.join(found.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "least", F.coalesce("component", "fp").alias("root"))
-    ids = of.join(of.groupBy("root").agg(F.min("least").alias("component_id")), "root").select("fp", "component_id")
-    return rows.join(ids, "fp").select("doc_id", "fp", "component_id")
+    ids = of.join(of.groupBy("root").agg(F.min("least").alias("component_id")), "root").select("fp", "root", "component_id")
+    return rows.join(ids, "fp").select("doc_id", "th", "fp", "root", "component_id")
+
+
+def near_copies(docs: DataFrame) -> DataFrame:
+    """(doc_id, fp, component_id) of every row of ``docs``."""
+    return _in_components(docs).select("doc_id", "fp", "component_id")
 
 
 def simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -160,9 +165,9 @@ def simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def keep_one(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pipeline stage: of each group of near copies the document with the smallest id stays, once; rows without an id stay."""
-    first = near_copies(docs).where("doc_id = component_id").select("doc_id").distinct()
-    kept = docs.join(first, "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    """Pipeline stage: of each group of near copies the document with the smallest id stays, once; rows without an id stay. Rows that repeat an id are judged by their own text."""
+    first = _in_components(docs).where("doc_id = component_id").groupBy("root").agg(F.min("doc_id").alias("doc_id"), F.min("th").alias("th"))
+    kept = docs.withColumn("__th", F.xxhash64("text")).join(first.withColumnRenamed("th", "__th"), ["doc_id", "__th"], "left_semi").dropDuplicates(["doc_id", "__th"]).select(docs.columns)
     return kept.unionByName(docs.where("doc_id IS NULL"))
 
 

@@ -340,3 +340,12 @@ def test_near_copies_leave_one(spark, tables):
     kept = [r.doc_id for r in fingerprints.keep_one(spark, spark.read.parquet(f"{d}/documents.parquet"), d).collect()]
     of = components({i: fingerprint(t) for i, t, *_ in docs})
     assert sorted(kept) == sorted(set(of.values()))
+
+
+def test_rows_that_repeat_an_id_are_judged_by_their_own_text(spark, tables):
+    a, b = ("the river runs past the old green house " * 4, "quarterly numbers rose while costs of steel fell sharply again " * 4)
+    c, e = ("an orchestra played seven quiet pieces before midnight " * 4, "wind turbines near harbour towns stopped for repairs " * 4)  # neither has a copy
+    docs = [(1, a, "en", "a", 1), (5, a, "en", "a", 1), (5, b, "en", "a", 1), (5, b, "en", "a", 1), (6, b, "en", "a", 1), (7, c, "en", "a", 1), (7, e, "en", "a", 1)]
+    d = tables(documents=docs)
+    kept = sorted((r.doc_id, r.text) for r in fingerprints.keep_one(spark, spark.read.parquet(f"{d}/documents.parquet"), d).collect())
+    assert kept == [(1, a), (5, b), (7, c), (7, e)]
