@@ -1,27 +1,37 @@
 """Main text of web pages by wrapper induction over the pages of a host.
 
-The wrapper of a host is the tree of its node paths with the blocks that recur in each, counted over all its pages; pages with equal
-outlines count once, so exact copies give no support. A block is template if SUPPORT outlines, and a share SHARE of those that have its
-path, hold it. Each page's tree is aligned with the wrapper by simple tree matching: the largest set of order-preserving pairs of nodes
-with equal labels; nodes that stand in another order are then aligned one by one. Regions whose own blocks are all template go, and
-template blocks of the bare body; regions that vary are slots and keep their words. A slot with running text is content; slots that are lists of links, or that their tag, role or class names as navigation,
-advert, form, notice, comments and the like, are not. A page's marks of an article (or main part) confirm slots: where the longest slot
-is in an article, slots outside of articles are not content; where it is not, articles that are teasers are not. A page of which only
-headings would be left is a near copy of others, and is judged by its own structure.
+A page is a tree of block elements; consecutive paragraphs, list items, rows or cells with equal labels are one node (an iterator). The
+wrapper of a host starts as the tree of one of its pages, and further pages are merged into it: simple tree matching finds the largest
+set of order-preserving pairs of nodes with equal labels, and nodes without a partner are inserted beside their aligned neighbours. Then
+every page of the host is aligned with the wrapper, which gives each of its nodes the number of a wrapper node, its slot; nodes that
+remain alone get a slot from their parent's and their label. Over all pages of the host are counted, by slot, the blocks of text that
+recur there and the regions of running text: how many there are, how many of them differ, and how much text they hold. Pages with equal
+slots and blocks count once, so exact copies give no support.
+
+A block is template if SUPPORT pages, and a share SHARE of those with its slot, hold it; a box whose own blocks are all template goes.
+Of what varies, the region whose slot holds the most text over the host's pages is the page's main region; others are content if their
+slot varies from page to page and holds enough text beside the main one: a share VOLUME, or PROSE where the text stands in paragraphs,
+or any under a heading. So a page with a short article is judged by where the articles of its host stand. Lists of links are no content,
+nor are elements that their tag, role or class names as navigation, advert, form, notice, comments and the like.
+
+Marks of an article (or main part) are confirmed by the regions: where the longest region is in an article, regions outside of articles
+are not content, those inside are; where it is not, articles that are teasers are not. A page of which only headings would be left is a
+near copy of others, and keeps its template blocks.
 
 Blocks are the texts between the borders of block elements, character references decoded, runs of white space one space, trimmed; a line
 break is white space. Defined cases: null or empty html, or none but boilerplate, gives an empty text; a page of an unknown host, or
-alone on its host, is judged by its own structure; repeated rows get a row each; other columns are ignored.
+alone on its host, is judged by its own regions; a tag without an end is text; repeated rows get a row each; other columns are ignored.
 """
 
 from __future__ import annotations
 
 import json
+import math
 import re
-from bisect import bisect_left
-from collections import Counter
+from collections import defaultdict
 from html import unescape
 
+import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -29,156 +39,199 @@ from pyspark.sql import functions as F
 
 from diversify.llm.base import checkpoint, table
 
-#: Least outlines that hold a template block, and their least share of those with its path.
-SUPPORT, SHARE = 3, 0.5
+#: Pages that shape the tree of a host's wrapper; all pages are counted.
+SHAPES = 8
+#: Least pages that hold a template block, their least share of those with its slot, and the least share of different texts of a content slot.
+SUPPORT, SHARE, VARIES = 3, 0.5, 0.5
+#: Least text of a content slot beside the main one, without and with paragraphs.
+VOLUME, PROSE = 0.25, 0.02
 #: Share of a region's characters within links from which it is a menu.
 LINKS = 0.5
 #: Most bytes of wrappers that are broadcast.
 BROADCAST = 64_000_000
+#: Mark of the slots of nodes without a partner, and shapes after which a matching starts anew, which bounds its memory.
+ALONE, FORGET = 1 << 50, 100_000
 
 # Elements by role.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style textarea title xmp iframe noembed noframes".split())
 NEVER = frozenset(
-    "head script style noscript template nav footer aside form button select option textarea input label fieldset iframe object embed svg math canvas audio video picture map dialog menu title link meta".split()
+    "head script style noscript template nav footer aside form button select option textarea input label fieldset iframe object embed svg math "
+    "canvas audio video picture map dialog menu title link meta".split()
 )
 BLOCK = frozenset(
-    "html body article section main div p h1 h2 h3 h4 h5 h6 ul ol li dl dt dd table thead tbody tfoot tr td th caption blockquote pre figure figcaption header footer nav aside form fieldset address hr details summary hgroup center".split()
+    "html body article section main div p h1 h2 h3 h4 h5 h6 ul ol li dl dt dd table thead tbody tfoot tr td th caption blockquote pre figure "
+    "figcaption header footer nav aside form fieldset address hr details summary hgroup center".split()
 )
 HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
 #: Elements that are parts of the running text or list around them.
 PARTS = HEADINGS | frozenset("p blockquote pre hr li dt dd thead tbody tfoot tr td th caption figcaption summary".split())
 RUNNING = frozenset("p h1 h2 h3 h4 h5 h6 blockquote pre table ul ol dl figure address".split())
-CLOSED_BY_P = BLOCK - {"html", "body", "li", "dt", "dd", "tr", "td", "th", "thead", "tbody", "tfoot", "caption", "figcaption", "summary"}
-SIBLINGS = {"li": ("li",), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th"), "option": ("option",), "thead": ("tr", "td", "th"), "tbody": ("thead", "tr", "td", "th"), "tfoot": ("tbody", "tr", "td", "th")}
-SCOPES = {"li": ("ul", "ol", "menu"), "dt": ("dl",), "dd": ("dl",), "tr": ("table",), "td": ("table",), "th": ("table",), "thead": ("table",), "tbody": ("table",), "tfoot": ("table",), "option": ("select",)}
+CLOSED_BY_P = BLOCK - frozenset("html body li dt dd tr td th thead tbody tfoot caption figcaption summary".split())
+SIBLINGS = {
+    "li": ("li",), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th"), "option": ("option",),
+    "thead": ("tr", "td", "th"), "tbody": ("thead", "tr", "td", "th"), "tfoot": ("tbody", "tr", "td", "th"),
+}
+SCOPES = {
+    "li": ("ul", "ol", "menu"), "dt": ("dl",), "dd": ("dl",), "tr": ("table",), "td": ("table",), "th": ("table",), "thead": ("table",),
+    "tbody": ("table",), "tfoot": ("table",), "option": ("select",),
+}
+P_SCOPES = ("table", "button", "td", "th", "caption", "object")
 ROLES = frozenset("navigation banner contentinfo complementary search dialog alert alertdialog form menu menubar toolbar".split())
 NAMES = frozenset(
-    "ad ads adv advert adverts advertisement advertising adsense banner banners sponsor sponsored promo promos promotion sidebar sidebars side menu menus nav navbar navigation navi breadcrumb breadcrumbs footer foot masthead cookie cookies consent gdpr notice notices "
-    "alert popup modal overlay newsletter subscribe subscription signup login share sharing social related recommended recommendations comment comments commentlist disqus respond reply replies pagination pager widget widgets toolbar skip disclaimer".split()
-)
+    "ad ads adv advert adverts advertisement advertising adsense banner banners sponsor sponsored promo promos promotion sidebar sidebars side "
+    "menu menus nav navbar navigation navi breadcrumb breadcrumbs footer foot masthead cookie cookies consent gdpr notice notices alert popup "
+    "modal overlay newsletter subscribe subscription signup login share sharing social related recommended recommendations comment comments "
+    "commentlist disqus respond reply replies pagination pager widget widgets toolbar skip disclaimer".split()
+)
 
-_TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*>?|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>", re.S)
-_ATTRIBUTE = re.compile(r"([^\s=\"'/>]+)\s*=\s*(\"[^\"]*\"|'[^']*'|[^\s>]+)")
+_TAG = re.compile(r"<(/?)([a-zA-Z][^\s/>]*+)")
+#: The rest of a tag. Quotes count after an equals sign only, so an apostrophe elsewhere opens nothing.
+_REST = re.compile(r"(?:[^>=]++|=\s*+\"[^\"]*+\"|=\s*+'[^']*+'|=)*+>")
+_ATTRIBUTE = re.compile(r"(?<![^\s\"'/])([^\s=\"'/>]++)(?:\s*+=\s*+(\"[^\"]*+\"|'[^']*+'|[^\s>]++))?+")
 _WORDS = re.compile(r"[a-z]+")
+_CLOSE = {tag: re.compile(f"</{tag}", re.I) for tag in RAW}
 
 
 class Node:
-    __slots__ = ("box", "children", "label", "linked", "never", "parts", "path", "tag")
-
-    def __init__(self, tag: str, attributes: str = ""):
-        self.tag, self.label, self.never, self.linked = tag, tag, tag in NEVER, tag == "a"
-        self.children: list[Node] = []
-        self.parts: list[str | Node] = []
-        self.path, self.box = 0, -1  # of the labels of block elements down to here, and the place of the region around it, -1 in none but the body
-        if attributes and "=" in attributes:
-            named = {k.lower(): v.strip("\"'").lower() for k, v in _ATTRIBUTE.findall(attributes)}
-            names = set(_WORDS.findall(named.get("class", "") + " " + named.get("id", "")))
-            self.label = tag + "." + " ".join(sorted(names)) if names and tag != "p" and tag not in HEADINGS else tag
-            if tag not in ("html", "body", "article", "main"):
-                hidden = named.get("aria-hidden") == "true" or "display:none" in named.get("style", "").replace(" ", "")
-                self.never = self.never or bool(names & NAMES) or named.get("role") in ROLES or hidden
-        if attributes and re.search(r"(?:^|\s)hidden(?:\s|$)", attributes):
-            self.never = True
+    """A block element: items are its texts (text, characters within links) and block elements in order; box the element of regions around it."""
+
+    __slots__ = ("box", "items", "label", "never", "slot", "tag")
+
+    def __init__(self, tag: str, label: str, never: bool, box: Node | None):
+        self.tag, self.label, self.never, self.items, self.slot = tag, label, never, [], 0
+        self.box = box if box is not None and tag in PARTS else self
+
+
+def described(tag: str, attributes: str) -> tuple[str, bool]:
+    """(label, whether tag, role, class or style say that it is no content) of an element."""
+    label, never = tag, tag in NEVER
+    if attributes:
+        named = {k.lower(): v.strip("\"'").lower() for k, v in _ATTRIBUTE.findall(attributes)}
+        names = set(_WORDS.findall(named.get("class", "") + " " + named.get("id", "")))
+        if names and tag != "p" and tag not in HEADINGS:
+            label = tag + "." + " ".join(sorted(names))
+        if tag not in ("html", "body", "article", "main"):
+            unseen = named.get("aria-hidden") == "true" or "display:none" in named.get("style", "").replace(" ", "")
+            never = never or bool(names & NAMES) or named.get("role") in ROLES or unseen
+        never = never or "hidden" in named
+    return label, never
 
 
 def parse(html: str) -> Node:
-    """The tree of a page; end tags that HTML lets be left out are supplied, stray ones ignored."""
-    root = Node("#root")
-    open_, at, skip_to = [root], 0, None
-    count: Counter[str] = Counter()  # open elements by tag: what is not open is not looked for, however deep the page
+    """The block elements of a page, in time linear in its length; end tags that HTML lets be left out are supplied, stray ones ignored."""
+    root = Node("#root", "#root", False, None)
+    open_: list[tuple[str, bool, bool, bool, bool]] = []  # tag, whether a block, mutes, links, has a node
+    places: dict[str, list[int]] = defaultdict(list)  # of the open elements of a tag
+    nodes, held = [root], []
+    linked = mute = links = 0
+
+    def flush() -> None:
+        nonlocal linked
+        if text := " ".join("".join(held).split()):
+            nodes[-1].items.append((text, linked))
+        held.clear()
+        linked = 0
 
     def add(text: str) -> None:
-        if text:
-            open_[-1].parts.append(unescape(text) if "&" in text else text)
+        nonlocal linked
+        if text and not mute:
+            held.append(unescape(text) if "&" in text else text)
+            linked += len(text) if links else 0
 
     def close(tags: tuple[str, ...], within: tuple[str, ...] = ()) -> None:
-        if not any(count[t] for t in tags):
+        """Closes the last open one of some tags, unless an element of ``within`` stands between."""
+        nonlocal mute, links
+        at = max((places[t][-1] for t in tags if places[t]), default=-1)
+        if at < 0 or any(places[t] and places[t][-1] > at for t in within):
             return
-        for k in range(len(open_) - 1, 0, -1):
-            if open_[k].tag in within:
-                return
-            if open_[k].tag in tags:
-                count.subtract(n.tag for n in open_[k:])
-                del open_[k:]
-                return
-
-    for m in _TOKEN.finditer(html):
-        if m.start() < at:
-            continue
-        end, tag = m[1], (m[2] or "").lower()
-        if skip_to is not None:
-            if not (end and tag == skip_to):
-                continue
-            skip_to = None
-            open_.pop()
-            at = m.end()
-            continue
-        add(html[at : m.start()])
-        at = m.end()
-        if not tag:
+        while len(open_) > at:
+            tag, block, mutes, link, own = open_.pop()
+            places[tag].pop()
+            if block:
+                flush()
+            mute, links = mute - mutes, links - link
+            if own:
+                nodes.pop()
+
+    at, last, quoted = 0, html.rfind(">"), True
+    while 0 <= (lt := html.find("<", at)) <= last:
+        m = _TAG.match(html, lt)
+        if m is None:
+            if html.startswith("<!--", lt):
+                add(html[at:lt])
+                end = html.find("-->", lt + 4)
+                at = end + 3 if end >= 0 else len(html)
+            elif html[lt + 1] in "!?":
+                add(html[at:lt])
+                at = html.find(">", lt) + 1
+            else:
+                add(html[at : lt + 1])
+                at = lt + 1
             continue
-        if end:
+        add(html[at:lt])
+        # After a first tag that quotes leave without an end, quotes are not looked at, so no text is read again and again.
+        rest = _REST.match(html, m.end()) if quoted else None
+        quoted = rest is not None
+        at = rest.end() if rest else html.find(">", m.end()) + 1
+        tag, attributes = m[2].lower(), html[m.end() : at - 1]
+        if m[1]:
             if tag not in VOID:
                 close((tag,))
             continue
         if tag in CLOSED_BY_P:
-            close(("p",), ("table", "button", "td", "th", "caption", "object"))
+            close(("p",), P_SCOPES)
         if tag in SIBLINGS:
             for _ in range(2):
                 close(SIBLINGS[tag], SCOPES[tag])
-        node = Node(tag, m[3])
-        node.box = open_[-1].box if tag not in BLOCK or tag in PARTS or tag in ("html", "body") else m.start()
-        node.path = digest(f"{open_[-1].path}/{node.label}") if tag in BLOCK else open_[-1].path
-        open_[-1].parts.append(node)
-        open_[-1].children.append(node)
         if tag in RAW:
-            if not m[3].endswith("/"):
-                skip_to = tag
-                open_.append(node)
-        elif tag not in VOID and not m[3].endswith("/"):
-            open_.append(node)
-            count[tag] += 1
-    if skip_to is None:
-        add(html[at:])
+            if not attributes.endswith("/"):
+                end = _CLOSE[tag].search(html, at)
+                at = html.find(">", end.end()) + 1 if end else len(html)
+                at = at or len(html)
+            continue
+        if tag in ("br", "wbr"):
+            add(" " if tag == "br" else "")
+            continue
+        block = tag in BLOCK
+        if block:
+            flush()
+        label, never = described(tag, attributes)
+        own = block and not mute and tag not in ("html", "body")
+        if own:
+            node = Node(tag, label, never, nodes[-1].box if len(nodes) > 1 else None)
+            nodes[-1].items.append(node)
+        if tag in VOID or attributes.endswith("/"):
+            continue
+        if own:
+            nodes.append(node)
+        places[tag].append(len(open_))
+        open_.append((tag, block, never, tag == "a", own))
+        mute, links = mute + never, links + (tag == "a")
+    if at < len(html):
+        add(html[at:lt] if lt >= 0 and html.startswith("<!", lt) else html[at:])
+    flush()
     return root
 
 
-def blocks(node: Node, whole: bool = False, inside: bool = False, outer: bool = False) -> list[tuple[str, int, Node]]:
-    """(text, characters within links, element around it) of the blocks below a node, in page order; whole: those of boilerplate too; inside: the node stands in an article; outer: without articles below it."""
-    out: list[tuple[str, int, Node]] = []
-    held: list[str] = []
-    linked, around = 0, node
+def below(node: Node) -> list[Node]:
+    return [x for x in node.items if isinstance(x, Node)]
 
-    def flush() -> None:
-        nonlocal linked
-        text = " ".join("".join(held).split())
-        if text:
-            out.append((text, linked, around))
-        held.clear()
-        linked = 0
 
-    todo: list[tuple[Node | str | None, bool, bool, Node]] = [(node, False, inside, node)]
+def blocks(node: Node, inside: bool = False, outer: bool = False) -> list[tuple[str, int, Node]]:
+    """(text, characters within links, element around it) of the blocks below a node, in page order.
+
+    inside: the node stands in an article; outer: without articles below it.
+    """
+    out: list[tuple[str, int, Node]] = []
+    todo: list[tuple] = [(node, node, inside)]
     while todo:
-        x, in_link, in_article, near = todo.pop()
-        if x is None:
-            flush()
-        elif isinstance(x, str):
-            held.append(x)
-            linked += len(x) if in_link else 0
-            around = near
-        elif x.tag in ("br", "wbr"):
-            held.append(" " if x.tag == "br" else "")
-        elif x is not node and outer and x.tag in ("article", "main"):
-            flush()
-        elif whole or x is node or not (x.never or x.tag == "header" and not in_article):
-            if x.tag in BLOCK:
-                flush()
-                todo.append((None, False, False, near))
-                near = x
-            inner, within = in_link or x.linked, in_article or x.tag in ("article", "main")
-            todo.extend((p, inner, within, near) for p in reversed(x.parts))
-    flush()
+        x, near, within = todo.pop()
+        if not isinstance(x, Node):
+            out.append((*x, near))
+        elif x is node or not (x.never or x.tag == "header" and not within or outer and x.tag in ("article", "main")):
+            within = within or x.tag in ("article", "main")
+            todo.extend((p, x, within) for p in reversed(x.items))
     return out
 
 
@@ -186,139 +239,209 @@ def digest(text: str) -> int:
     return xxhash.xxh64_intdigest(text) & 0xFFFFFFFFFFFF
 
 
+# Trees for matching are lists [label, children, what they stand for]: elements of a page, or the slot of a wrapper.
+
+
 def outline(root: Node) -> list:
-    """[label, digests of the blocks that stand in it alone, children, path] by block element: siblings with one label are one node."""
-    tree = [root.label, [], [], root.path]
-    at, todo = {root.path: tree}, [(root, tree)]
+    """The tree of a page; consecutive parts with equal labels are one node."""
+    tree = ["#root", [], [root]]
+    todo = [tree]
     while todo:
-        x, parent = todo.pop()
-        if x.tag in BLOCK and x.path not in at:
-            at[x.path] = [x.label, [], [], x.path]
-            parent[2].append(at[x.path])
-        todo.extend((c, at[x.path]) for c in reversed(x.children))
-    for text, _, near in blocks(root, True):
-        at[near.path][1].append(digest(text))
-    for node in at.values():
-        node[1] = sorted(set(node[1]))
+        group = todo.pop()
+        kids = group[1]
+        for c in (c for x in group[2] for c in below(x)):
+            if kids and c.tag in PARTS and kids[-1][0] == c.label:
+                kids[-1][2].append(c)
+            else:
+                kids.append([c.label, [], [c]])
+        todo.extend(kids)
     return tree
 
 
-def nodes(tree: list) -> list[tuple[list, int, int]]:
-    """(node, path of its parent, place among the siblings) of all nodes of an outline, in page order."""
-    out, todo = [], [(tree, -1, 0)]
+def walked(tree: list) -> list[list]:
+    """All nodes, parents before their children."""
+    out, todo = [], [tree]
     while todo:
         out.append(todo.pop())
-        x = out[-1][0]
-        todo.extend((c, x[3], k) for k, c in reversed(list(enumerate(x[2]))))
+        todo.extend(reversed(out[-1][1]))
     return out
 
 
-def match(a: list, b: list, found: dict[int, list]) -> int:
-    """Simple tree matching of two outlines: number of paired nodes; found: by id of a's node its partner."""
-    if a[0] != b[0]:
-        return 0
-    pairs, todo = [], [(a, b)]
-    while todo:  # all pairs with equal labels up to the roots, parents first
-        x, y = todo.pop()
-        pairs.append((x, y))
-        of = {c[0]: c for c in y[2]}
-        todo.extend((c, of[c[0]]) for c in x[2] if c[0] in of)
-    size: dict[int, int] = {}
-    chosen: dict[int, list] = {}
-    for x, y in reversed(pairs):
-        place = {c[0]: j for j, c in enumerate(y[2])}
-        common = [(c, place[c[0]]) for c in x[2] if c[0] in place]
-        chosen[id(x)] = [(c, y[2][j]) for c, j in ordered(common, [size[id(c)] for c, _ in common])]
-        size[id(x)] = 1 + sum(size[id(c)] for c, _ in chosen[id(x)])
-    todo = [(a, b)]
-    while todo:
-        x, y = todo.pop()
-        found[id(x)] = y
-        todo.extend(chosen[id(x)])
-    return size[id(a)]
-
-
-def ordered(common: list[tuple[list, int]], weights: list[int]) -> list[tuple[list, int]]:
-    """The heaviest of the children that two lists have in common whose places increase: labels are distinct among siblings, so this is the largest matching."""
-    ends: list[tuple[int, int, int]] = []  # (place, weight, number) of lists by their last place: both increase
-    before = []
-    for i, ((_, j), w) in enumerate(zip(common, weights, strict=True)):
-        at = bisect_left(ends, (j,))
-        before.append(ends[at - 1][2] if at else -1)
-        w += ends[at - 1][1] if at else 0
-        stop = at
-        while stop < len(ends) and ends[stop][1] <= w:
-            stop += 1
-        ends[at:stop] = [(j, w, i)]
-    out, i = [], ends[-1][2] if ends else -1
-    while i >= 0:
-        out.append(common[i])
-        i = before[i]
-    return out[::-1]
-
-
-def aligned(tree: list, wrapper: list | None) -> set[tuple[int, int]]:
-    """(path, digest) of the page's blocks that are template: those of nodes that the wrapper aligns with and in which it has them."""
-    if not wrapper:
-        return set()
-    match(tree, wrapper, found := {})
-    template, todo = set(), [tree] if id(tree) in found else []
-    while todo:
-        x = todo.pop()
-        y = found[id(x)]
-        template.update((x[3], d) for d in set(x[1]) & set(y[1]))
-        of = {c[0]: c for c in y[2]}
-        for c in x[2]:
-            if id(c) not in found and c[0] in of:  # in another order than in the wrapper
-                match(c, of[c[0]], found)
-            if id(c) in found:
-                todo.append(c)
-    return template
-
-
-def aligned(tree: list, wrapper: list | None) -> set[tuple[int, int]]:
-    """(path, digest) of the page's blocks that are template: those of nodes that the wrapper aligns with and in which it has them."""
-    if not wrapper:
-        return set()
-    match(tree, wrapper, found := {})
-    template, todo = set(), [tree] if id(tree) in found else []
-    while todo:
-        x = todo.pop()
-        y = found[id(x)]
-        template.update((x[3], d) for d in set(x[1]) & set(y[1]))
-        of = {c[0]: c for c in y[2]}
-        for c in x[2]:
-            if id(c) not in found and c[0] in of:  # in another order than in the wrapper
-                match(c, of[c[0]], found)
-            if id(c) in found:
-                todo.append(c)
-    return template
-
-
-def _articles(root: Node) -> list[Node]:
-    """The outermost article elements that are no boilerplate, else the main elements."""
-    for tag in ("article", "main"):
-        out, todo = [], [root]
+class Aligner:
+    """Simple tree matching of pages with one tree. Equal subtrees have one shape, and sizes are kept by pairs of shapes, so what recurs is matched once."""
+
+    def __init__(self, tree: list):
+        self.tree = tree
+        self._forget()
+
+    def _forget(self) -> None:
+        self.numbers: dict[tuple, int] = {}
+        self.shapes: list[tuple[str, tuple[int, ...], int]] = []  # label, shapes of the children, nodes
+        self.sizes: dict[tuple[int, int], int] = {}
+        self.own = self.shaped(self.tree)
+
+    def shaped(self, tree: list) -> dict[int, int]:
+        """The shape of each node, by its id."""
+        of: dict[int, int] = {}
+        for x in reversed(walked(tree)):
+            kind = x[0], tuple(of[id(c)] for c in x[1])
+            if kind not in self.numbers:
+                self.numbers[kind] = len(self.shapes)
+                self.shapes.append((*kind, 1 + sum(self.shapes[c][2] for c in kind[1])))
+            of[id(x)] = self.numbers[kind]
+        return of
+
+    def size(self, x: int, y: int) -> int:
+        """Number of pairs of the largest matching of two shapes."""
+        todo = [(x, y)]
         while todo:
-            x = todo.pop()
-            if x.never:
-                continue
-            if x.tag == tag:
-                out.append(x)
+            a, b = todo[-1]
+            if (a, b) in self.sizes or self.shapes[a][0] != self.shapes[b][0]:
+                self.sizes.setdefault((a, b), 0)
+                todo.pop()
+            elif a == b:
+                self.sizes[todo.pop()] = self.shapes[a][2]
             else:
-                todo.extend(reversed(x.children))
-        if out:
-            return out
-    return []
+                left, right = self.shapes[a][1], self.shapes[b][1]
+                of = self._by_label(right)
+                if need := [(c, e) for c in set(left) for e in of[self.shapes[c][0]] if (c, e) not in self.sizes]:
+                    todo.extend(need)
+                else:
+                    self.sizes[todo.pop()] = 1 + (int(best_row(self._rows(left, right), len(left), len(right))[-1]) if left and right else 0)
+        return self.sizes[x, y]
+
+    def _by_label(self, shapes: tuple[int, ...]) -> dict[str, list[int]]:
+        out = defaultdict(list)
+        for k in set(shapes):
+            out[self.shapes[k][0]].append(k)
+        return out
+
+    def _rows(self, left: tuple[int, ...], right: tuple[int, ...]):
+        """The weights of a left child with each right one; only shapes with equal labels are looked at."""
+        kinds, at = np.unique(np.array(right, np.int64), return_inverse=True)
+        number, of = {int(k): i for i, k in enumerate(kinds)}, self._by_label(right)
+
+        def row(i: int) -> np.ndarray:
+            out = np.zeros(len(kinds), np.int64)
+            for k in of[self.shapes[left[i]][0]]:
+                out[number[k]] = self.size(left[i], k)
+            return out[at]
+
+        return row
+
+    def pairing(self, page: list):
+        """(node, its partner in the tree or None) of all nodes of a page, parents first."""
+        if len(self.shapes) > FORGET:
+            self._forget()
+        of = self.shaped(page)
+        todo = [(page, self.tree)]
+        while todo:
+            x, y = todo.pop()
+            yield x, y
+            partner: dict[int, int] = {}
+            if y is not None and x[1] and y[1]:
+                left, right = tuple(of[id(c)] for c in x[1]), tuple(self.own[id(c)] for c in y[1])
+                partner = {i: i for i in range(len(left))} if left == right else dict(ordered_pairs(self._rows(left, right), len(left), len(right)))
+                # What stands in another order than in the tree, if a name tells it.
+                free = defaultdict(list)
+                for j in set(range(len(right))) - set(partner.values()):
+                    free[y[1][j][0]].append(j)
+                for i, c in enumerate(x[1]):
+                    if i not in partner and "." in c[0] and len(free.get(c[0], ())) == 1:
+                        partner[i] = free.pop(c[0])[0]
+            todo.extend((c, y[1][partner[i]] if i in partner else None) for i, c in reversed(list(enumerate(x[1]))))
+
+
+def _next_row(best: np.ndarray, weights: np.ndarray) -> np.ndarray:
+    out = np.zeros_like(best)
+    np.maximum.accumulate(np.maximum(best[1:], np.where(weights > 0, best[:-1] + weights, 0)), out=out[1:])
+    return out
 
 
-def slots(root: Node) -> list[tuple[Node | None, list[tuple[str, int, Node]]]]:
-    """(the outermost article or main element around it, or none; its blocks) of each region with running text, in page order."""
+def best_row(rows, m: int, n: int) -> np.ndarray:
+    best = np.zeros(n + 1, np.int64)
+    for i in range(m):
+        best = _next_row(best, rows(i))
+    return best
+
+
+def ordered_pairs(rows, m: int, n: int) -> list[tuple[int, int]]:
+    """The heaviest set of pairs (i, j), both increasing, where rows(i) has the weights of i with each j.
+
+    Of the table only every so many rows are kept and those between made again, so memory follows n times the root of m.
+    """
+    step = math.isqrt(m) + 1
+    kept = [np.zeros(n + 1, np.int64)]
+    for i in range(m):
+        best = _next_row(kept[-1] if i % step == 0 else best, rows(i))
+        if (i + 1) % step == 0:
+            kept.append(best)
+    out, j = [], n
+    for first in range((m - 1) // step * step, -1, -step):
+        table_ = [kept[first // step]]
+        for i in range(first, min(first + step, m)):
+            table_.append(_next_row(table_[-1], rows(i)))
+        for i in range(len(table_) - 1, 0, -1):
+            while j and table_[i][j] == table_[i][j - 1]:
+                j -= 1
+            if j and table_[i][j] > table_[i - 1][j]:
+                j -= 1
+                out.append((first + i - 1, j))
+    return out[::-1]
+
+
+def induced(pages: list[list]) -> list:
+    """The wrapper's tree of some pages: that of the first one, the others merged into it; slots are numbers in page order."""
+    wrapper = ["#root", [], 0]
+    for page in pages:
+        partner = {id(x): y for x, y in list(Aligner(wrapper).pairing(page)) if y is not None}
+        for x in walked(page):  # parents first: what is inserted has a partner when its own children come
+            y = partner[id(x)]
+            place = {id(e): k for k, e in enumerate(y[1])}
+            new: dict[int, list[list]] = defaultdict(list)
+            at = -1
+            for c in x[1]:
+                if id(c) in partner:
+                    at = max(at, place[id(partner[id(c)])])
+                else:
+                    partner[id(c)] = [c[0], [], 0]
+                    new[at].append(partner[id(c)])
+            if new:
+                y[1][:] = [e for k in range(-1, len(y[1])) for e in ([y[1][k]] if k >= 0 else []) + new.get(k, [])]
+    for k, x in enumerate(walked(wrapper)):
+        x[2] = k
+    return wrapper
+
+
+def align(root: Node, known: Aligner) -> None:
+    """Gives every element of a page its slot."""
+    above: dict[int, int] = {}
+    for x, y in known.pairing(outline(root)):
+        slot = y[2] if y is not None else digest(f"{above[id(x)]}/{x[0]}") | ALONE
+        for e in x[2]:
+            e.slot = slot
+        above.update((id(c), slot) for c in x[1])
+
+
+class Region:
+    """Running text of one element: the outermost article or main element around it (or none), its blocks, its slot."""
+
+    __slots__ = ("headed", "mark", "own", "prose", "size", "slot")
+
+    def __init__(self, mark: Node | None, own: list[tuple[str, int, Node]], slot: int):
+        self.mark, self.own, self.slot = mark, own, slot
+        self.size = sum(len(t) - n for t, n, _ in own)
+        self.prose = any(e.tag in PARTS for _, _, e in own)
+        self.headed = any(e.tag in HEADINGS and n == 0 for _, n, e in own)
+
+
+def regions(root: Node) -> list[Region]:
+    """The regions with running text that are no lists of links, in page order."""
     out, todo = [], [(root, None, False)]
     while todo:
         x, mark, inside = todo.pop()
-        if isinstance(x, tuple):
-            out.append((mark, [x]))
+        if not isinstance(x, Node):  # text outside any block
+            out.append(Region(None, [(*x, root)], root.slot))
             continue
         if x.never or x.tag == "header" and not inside:
             continue
@@ -326,25 +449,21 @@ def slots(root: Node) -> list[tuple[Node | None, list[tuple[str, int, Node]]]]:
         if x.tag == "article" and (mark is None or mark.tag == "main") or x.tag == "main" and mark is None:
             mark = x
         inside = inside or x.tag in ("article", "main")
-        direct = any(isinstance(p, str) and p.strip() for p in x.parts) or any(c.tag in RUNNING and not c.never for c in x.children)
-        if direct and x.tag not in ("html", "#root"):
-            own = blocks(x, False, inside, mark is None or mark.tag == "main")
-            if sum(n for _, n, _ in own) <= LINKS * sum(len(t) for t, _, _ in own):
-                out.append((mark, own))
-            if mark is None or mark.tag == "main":
+        free = mark is None or mark.tag == "main"
+        if x is not root and any(not isinstance(p, Node) or p.tag in RUNNING and not p.never for p in x.items):
+            own = blocks(x, inside, free)
+            if own and sum(n for _, n, _ in own) <= LINKS * sum(len(t) for t, _, _ in own):
+                out.append(Region(mark, own, x.slot))
+            if free:
                 todo.extend((a, mark, inside) for a in reversed(marked(x)))
             continue
-        for part in reversed(x.parts):
-            if isinstance(part, Node):
-                todo.append((part, mark, inside))
-            elif text := " ".join(part.split()):  # only outside the body
-                todo.append(((text, 0, x), mark, inside))
+        todo.extend((p, mark, inside) for p in reversed(x.items) if isinstance(p, Node) or x is root)
     return out
 
 
 def marked(node: Node) -> list[Node]:
     """The outermost article and main elements below a node that are no boilerplate, in page order."""
-    out, todo = [], list(reversed(node.children))
+    out, todo = [], list(reversed(below(node)))
     while todo:
         x = todo.pop()
         if x.never or x.tag == "header":
@@ -352,128 +471,197 @@ def marked(node: Node) -> list[Node]:
         if x.tag in ("article", "main"):
             out.append(x)
         else:
-            todo.extend(reversed(x.children))
+            todo.extend(reversed(below(x)))
     return out
 
 
-def confirmed(found: list[tuple[Node | None, list[tuple[str, int, Node]]]]) -> list[tuple[Node | None, list[tuple[str, int, Node]]]]:
-    """Slots that are content by the marks of articles."""
-    size: dict[int, int] = {}
-    first: dict[int, tuple[str, int, Node]] = {}
-    mark: dict[int, Node] = {}
+def confirmed(found: list[Region]) -> list[Region] | None:
+    """The regions that are content by the marks of articles; None where no mark is borne out."""
+    size: dict[int, int] = defaultdict(int)
+    first: dict[int, Region] = {}
     outside = 0
-    for m, own in found:
-        n = sum(len(t) for t, _, _ in own)
-        if m is None:
+    for r in found:
+        n = sum(len(t) for t, _, _ in r.own)
+        if r.mark is None:
             outside = max(outside, n)
-        elif own:
-            size[id(m)] = size.get(id(m), 0) + n
-            first.setdefault(id(m), own[0])
-            mark[id(m)] = m
+        elif r.own:
+            size[id(r.mark)] += n
+            first.setdefault(id(r.mark), r)
     if not size:
-        return found
+        return None
     # A teaser begins with a link to what it is about.
-    teasers = {k for k, (t, n, _) in first.items() if n and n >= len(t)}
+    teasers = {k for k, r in first.items() if r.own[0][1] and r.own[0][1] >= len(r.own[0][0])}
     main = {k for k in size if k not in teasers}
     if main and max(size[k] for k in main) >= outside or not outside:
         chosen = main or set(size)
-        return [(m, own) for m, own in found if m is not None and id(m) in chosen]
-    # The content is outside: several articles of one path are a list of teasers or comments.
-    paths = [mark[k].path for k in size]
-    chosen = {k for k in main if paths.count(mark[k].path) == 1}
-    return [(m, own) for m, own in found if m is None or id(m) in chosen]
+        return [r for r in found if r.mark is not None and id(r.mark) in chosen]
+    return None
+
+
+def unmarked(found: list[Region]) -> list[Region]:
+    """The regions without the articles that are teasers or comments: several ones in one slot, or such as begin with a link."""
+    slots = {id(r.mark): r.mark.slot for r in found if r.mark is not None}
+    several = {s for s in slots.values() if list(slots.values()).count(s) > 1}
+    teasers = {id(r.mark) for r in found if r.mark is not None and r.own and r.own[0][1] and r.own[0][1] >= len(r.own[0][0])}
+    return [r for r in found if r.mark is None or r.mark.slot not in several and id(r.mark) not in teasers]
+
+
+class Wrapper:
+    """What is known of a host: the tree, template blocks by slot, and of the slots of regions (mean text, share of different ones, pages)."""
+
+    def __init__(self, tree: str | None = None, known: str | None = None):
+        at: list[list] = []
+        for k, (up, label) in enumerate(json.loads(tree) if tree else []):
+            at.append([label, [], k])
+            if up >= 0:
+                at[up][1].append(at[k])
+        self.aligner = Aligner(at[0]) if at else None
+        found = json.loads(known) if known else {"template": {}, "regions": {}}
+        self.template = {int(k): frozenset(v) for k, v in found["template"].items()}
+        self.regions = {int(k): v for k, v in found["regions"].items()}
+
+    def is_template(self, block: tuple[str, int, Node]) -> bool:
+        known = self.template.get(block[2].slot)
+        return known is not None and digest(block[0]) in known
+
+    def content(self, found: list[Region]) -> list[Region]:
+        """The regions whose slots are content."""
+        known = [self.regions.get(r.slot) for r in found]
+        volume = [k[0] if k else r.size for k, r in zip(known, found, strict=True)]
+        main = max(volume, default=0)
+        out = []
+        for r, k, v in zip(found, known, volume, strict=True):
+            varies = not k or k[2] < SUPPORT or k[1] >= VARIES
+            enough = v >= (PROSE if r.prose else VOLUME) * main or r.headed or r.own[0][2].box.tag in PARTS
+            if v == main or varies and enough:
+                out.append(r)
+        return out
+
+
+NOTHING = Wrapper()
+
+
+def without_template(found: list[Region], wrapper: Wrapper) -> list[Region]:
+    varies = {id(x[2].box) for r in found for x in r.own if x[2].box.tag != "#root" and not wrapper.is_template(x)}
+    out = []
+    for r in found:
+        left = [x for x in r.own if id(x[2].box) in varies or x[2].box.tag == "#root" and not wrapper.is_template(x)]
+        if left:
+            out.append(Region(r.mark, left, r.slot))
+    return out
 
 
-def main_text(html: str | None, wrapper: list | None) -> str:
+def main_text(html: str | None, wrapper: Wrapper = NOTHING) -> str:
     root = parse(html or "")
-    template = aligned(outline(root), wrapper)
-    found = slots(root)
-    varies = {x[2].box for _, own in found for x in own if x[2].box >= 0 and (x[2].path, digest(x[0])) not in template}
-    left = [(m, [x for x in own if x[2].box in varies or x[2].box < 0 and (x[2].path, digest(x[0])) not in template]) for m, own in found]
-    if all(x[2].tag in HEADINGS for _, own in left for x in own):  # a near copy
+    align(root, wrapper.aligner or Aligner(["#root", [], 0]))
+    found = regions(root)
+    left = without_template(found, wrapper)
+    if all(x[2].tag in HEADINGS for r in left for x in r.own):  # a near copy
         left = found
-    return "\n".join(t for _, own in confirmed(left) for t, _, _ in own)
+    chosen = confirmed(left)
+    if chosen is None:
+        chosen = wrapper.content(unmarked(left))
+    return "\n".join(t for r in chosen for t, _, _ in r.own)
 
 
 def host(url: Column) -> Column:
     return F.coalesce(F.lower(F.regexp_extract(url, r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]+)", 1)), F.lit(""))
 
 
-def _wrapper(parts: list) -> str:
-    """The tree of a host as JSON: rows of (path, parent, label, digests), parents first, siblings by their mean place."""
-    below: dict[int, list] = {}
-    for x in sorted(parts, key=lambda x: (x["place"], x["label"])):
-        below.setdefault(x["parent"], []).append(x)
-    out, todo = [], below.get(-1, [])
-    while todo:
-        x = todo.pop()
-        out.append([x["path"], x["parent"], x["label"], x["digests"] or []])
-        todo.extend(reversed(below.get(x["path"], [])))
-    return json.dumps(out)
+def trees(pages: DataFrame) -> DataFrame:
+    """(host, tree): the wrapper's tree of each host, from SHAPES of its pages at most: those with the least hashes of as many buckets."""
+    own = pages.select("host", F.xxhash64("html").alias("h"), "html").where("host <> '' AND html IS NOT NULL")
+    some = own.groupBy("host", F.pmod("h", F.lit(SHAPES)).alias("b")).agg(F.min(F.struct("h", "html")).alias("p"))
+    some = some.groupBy("host").agg(F.array_sort(F.collect_list("p")).alias("p")).select("host", F.col("p.html").alias("html"))
 
+    def made(batches):
+        for batch in batches:
+            out = []
+            for html in batch.column("html").to_pylist():
+                all_ = walked(induced([outline(parse(h)) for h in html]))
+                up = {id(c): x[2] for x in all_ for c in x[1]}
+                out.append(json.dumps([[up.get(id(x), -1), x[0]] for x in all_]))
+            yield pa.RecordBatch.from_arrays([batch.column("host"), pa.array(out, pa.string())], ["host", "tree"])
+
+    return some.mapInArrow(made, "host string, tree string")
 
-def read_wrapper(text: str) -> list:
-    """The outline that ``_wrapper`` wrote; its digests are those of template blocks."""
-    at: dict[int, list] = {}
-    for path, parent, label, digests in json.loads(text):
-        at[path] = [label, digests, [], path]
-        if parent in at:
-            at[parent][2].append(at[path])
-    return at.get(0, [])
+
+def _sized(df: DataFrame, column: str) -> DataFrame:
+    """``df`` to be broadcast while its column has at most BROADCAST bytes."""
+    size = df.agg(F.sum(F.length(column))).first()[0] or 0
+    return F.broadcast(df) if size <= BROADCAST else df
 
 
 def wrappers(pages: DataFrame) -> DataFrame:
-    """(host, wrapper): the node paths of each host and their template blocks, counted over all its pages."""
-    named = pages.select(host(F.col("url")).alias("host"), "html").where("host <> '' AND html IS NOT NULL")
+    """(host, tree, known): for each host of ``pages`` (host, html) what ``Wrapper`` reads, counted over all its pages."""
+    shaped = checkpoint(trees(pages))
+    joined = pages.where("html IS NOT NULL").join(_sized(shaped, "tree"), "host").select("host", "html", "tree")
 
-    def outlined(batches):
-        kind = pa.list_(pa.struct([("path", pa.int64()), ("digest", pa.int64()), ("parent", pa.int64()), ("label", pa.string()), ("place", pa.int32())]))
+    def counted(batches):
+        kind = pa.list_(pa.struct([("slot", pa.int64()), ("digest", pa.int64()), ("size", pa.int64())]))
         for batch in batches:
+            read: dict[str, Wrapper] = {}
             whole, parts = [], []
-            for h in batch.column("html").to_pylist():
-                found = nodes(outline(parse(h)))
-                rows = [{"path": x[3], "parent": up, "label": x[0], "place": k} for x, up, k in found]
-                rows += [{"path": x[3], "digest": d} for x, _, _ in found for d in x[1]]
+            for h, t in zip(batch.column("html").to_pylist(), batch.column("tree").to_pylist(), strict=True):
+                if t not in read:
+                    read[t] = Wrapper(t)
+                root = parse(h)
+                align(root, read[t].aligner)
+                found = regions(root)
+                held = {(x[2].slot, digest(x[0])) for r in found for x in r.own}
+                rows = [{"slot": s} for s in sorted({s for s, _ in held})] + [{"slot": s, "digest": d} for s, d in sorted(held)]
+                rows += [{"slot": r.slot, "digest": digest("\n".join(t for t, _, _ in r.own)), "size": r.size} for r in found]
                 parts.append(rows)
-                whole.append(xxhash.xxh64_intdigest(repr([(x[3], x[1]) for x, _, _ in found])) - (1 << 63))
+                whole.append(xxhash.xxh64_intdigest(repr([tuple(x.values()) for x in rows])) - (1 << 63))
             yield pa.RecordBatch.from_arrays([batch.column("host"), pa.array(whole, pa.int64()), pa.array(parts, kind)], ["host", "whole", "parts"])
 
+    seen = joined.mapInArrow(counted, "host string, whole long, parts array<struct<slot:long,digest:long,size:long>>")
+    seen = seen.groupBy("host", "whole").agg(F.first("parts").alias("parts")).select("host", F.inline("parts"))
+    region = F.col("size").isNotNull()
+    texts = seen.groupBy("host", "slot", "digest", region.alias("region")).agg(F.count("*").alias("n"), F.sum("size").alias("size"))
+    # A row for each slot: the pages that have it, its frequent blocks (bounded by SUPPORT), and the sums of its regions.
+    often = F.when((F.col("n") >= SUPPORT) & F.col("digest").isNotNull() & ~F.col("region"), F.struct("n", "digest"))
+    own = texts.groupBy("host", "slot").agg(
+        F.max(F.when(F.col("digest").isNull(), F.col("n"))).alias("pages"), F.collect_list(often).alias("often"), F.sum(F.when(F.col("region"), F.col("n"))).alias("n"),
+        F.count_if("region").alias("kinds"), F.sum("size").alias("size"),
+    )
+    common = F.transform(F.filter("often", lambda x: x["n"] >= SHARE * F.col("pages")), lambda x: x["digest"])
+    own = own.select("host", "slot", "pages", "n", "kinds", "size", F.array_sort(common).alias("digests"))
+    slim = own.where((F.greatest("pages", "n") >= SUPPORT) | (F.col("slot") < ALONE)).select("host", F.struct("slot", "n", "kinds", "size", "digests").alias("slot"))
+
     def made(batches):
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([batch.column("host"), pa.array([_wrapper(x) for x in batch.column("parts").to_pylist()], pa.string())], ["host", "wrapper"])
+            out = []
+            for rows in batch.column("slots").to_pylist():
+                rows = sorted(rows, key=lambda r: r["slot"])
+                template = {r["slot"]: r["digests"] for r in rows if r["digests"]}
+                known = {r["slot"]: [round(r["size"] / r["n"], 3), round(r["kinds"] / r["n"], 6), r["n"]] for r in rows if r["n"]}
+                out.append(json.dumps({"template": template, "regions": known}))
+            yield pa.RecordBatch.from_arrays([batch.column("host"), pa.array(out, pa.string())], ["host", "known"])
 
-    seen = named.mapInArrow(outlined, "host string, whole long, parts array<struct<path:long,digest:long,parent:long,label:string,place:int>>")
-    seen = seen.groupBy("host", "whole").agg(F.first("parts").alias("parts")).select("host", F.inline("parts"))
-    counts = seen.groupBy("host", "path", "digest").agg(F.count("*").alias("n"), F.min("parent").alias("parent"), F.min("label").alias("label"), F.avg("place").alias("place")).where(F.col("n") >= SUPPORT)
-    has = F.col("digest").isNotNull()
-    # Rows of one path: its node, which has no digest, and its blocks with SUPPORT. Their number is bounded by the support, not by the pages.
-    of = F.max(F.when(~has, F.struct("n", "parent", "label", "place")))
-    grouped = counts.groupBy("host", "path").agg(of.alias("node"), F.collect_list(F.when(has, F.struct("n", "digest"))).alias("d"))
-    kept = F.transform(F.filter("d", lambda x: x["n"] >= SHARE * F.col("node.n")), lambda x: x["digest"])
-    trees = grouped.select("host", F.struct("path", "node.parent", "node.label", "node.place", F.array_sort(kept).alias("digests")).alias("part"))
-    return trees.groupBy("host").agg(F.collect_list("part").alias("parts")).mapInArrow(made, "host string, wrapper string")
+    known = slim.groupBy("host").agg(F.collect_list("slot").alias("slots")).mapInArrow(made, "host string, known string")
+    return shaped.join(known, "host", "left")
 
 
 def extract(pages: DataFrame) -> DataFrame:
     """(page_id, url, text, n_chars) of every page."""
-    pages = pages.select("page_id", "url", "html")
+    pages = pages.select("page_id", "url", "html", host(F.col("url")).alias("host"))
 
     def made(batches):
         for batch in batches:
-            known: dict[str, list] = {}
-            html, of = batch.column("html").to_pylist(), batch.column("wrapper").to_pylist()
+            read: dict[tuple, Wrapper] = {}
             out = []
-            for h, w in zip(html, of, strict=True):
-                if w is not None and w not in known:
-                    known[w] = read_wrapper(w)
-                out.append(main_text(h, known.get(w)))
-            yield pa.RecordBatch.from_arrays([batch.column("page_id"), batch.column("url"), pa.array(out, pa.string()), pa.array([len(t) for t in out], pa.int64())], ["page_id", "url", "text", "n_chars"])
+            for h, *of in zip(*(batch.column(c).to_pylist() for c in ("html", "tree", "known")), strict=True):
+                if tuple(of) not in read:
+                    read[tuple(of)] = Wrapper(*of)
+                out.append(main_text(h, read[tuple(of)]))
+            n = pa.array([len(t) for t in out], pa.int64())
+            yield pa.RecordBatch.from_arrays([batch.column("page_id"), batch.column("url"), pa.array(out, pa.string()), n], ["page_id", "url", "text", "n_chars"])
 
     # While all wrappers fit in BROADCAST bytes the pages are not shuffled; beyond, a host with very many pages is a skewed key that the join splits.
-    known = checkpoint(wrappers(pages))
-    size = known.agg(F.sum(F.length("wrapper"))).first()[0] or 0
-    joined = pages.withColumn("host", host(F.col("url"))).join(F.broadcast(known) if size <= BROADCAST else known, "host", "left")
-    return joined.select("page_id", "url", "html", "wrapper").mapInArrow(made, f"page_id {dict(pages.dtypes)['page_id']}, url string, text string, n_chars long")
+    known = _sized(checkpoint(wrappers(pages)), "known")
+    joined = pages.join(known, "host", "left").select("page_id", "url", "html", "tree", "known")
+    return joined.mapInArrow(made, f"page_id {dict(pages.dtypes)['page_id']}, url string, text string, n_chars long")
 
 
 def pages_text(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -1,5 +1,9 @@
 """Pages and embeddings."""
 
+import os
+import re
+import time
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -68,28 +72,83 @@ def test_text_after_a_deep_nest(spark, tables):
     assert got[0] == got[1] == "before\ndeep\nafter" and got[2] == "text\nend"
 
 
-def test_tree_matching_pairs_equal_labels_in_order():
-    a = ["r", [], [["x", [], []], ["y", [], [["z", [], []]]], ["w", [], []]]]
-    b = ["r", [], [["y", [], [["z", [], []]]], ["x", [], []], ["w", [], []]]]
-    assert wrappers.match(a, b, {}) == 4 and wrappers.match(a, a, {}) == 5 and wrappers.match(a, ["q", [], []], {}) == 0
+def brute_size(a, b):
+    """Simple tree matching by its definition, over all ways to skip children."""
+    if a[0] != b[0]:
+        return 0
 
+    def best(i, j):
+        if i == len(a[1]) or j == len(b[1]):
+            return 0
+        return max(best(i + 1, j), best(i, j + 1), brute_size(a[1][i], b[1][j]) + best(i + 1, j + 1))
 
-def test_tree_matching_is_the_largest_for_long_lists():
-    leaf = lambda k: [f"h2.s{k}", [], []]
-    a = ["r", [], [leaf(k) for k in range(300)]]
-    b = ["r", [], [leaf(k) for k in (*range(1, 300), 0)]]  # the first label stands last
-    assert wrappers.match(a, b, found := {}) == 300 and len(found) == 300
+    return 1 + best(0, 0)
+
+
+def random_tree(rng, depth):
+    return [str(rng.choice(list("xy"))), [random_tree(rng, depth - 1) for _ in range(rng.integers(0, 4))] if depth else [], []]
+
+
+def test_tree_matching_against_its_definition():
     rng = np.random.default_rng(1)
-    for _ in range(200):
-        n = int(rng.integers(1, 8))
-        places, weights = rng.permutation(n).tolist(), rng.integers(1, 5, n).tolist()
-        best = max(sum(weights[i] for i in range(n) if m >> i & 1) for m in range(1 << n) if (q := [places[i] for i in range(n) if m >> i & 1]) == sorted(q))
-        got = wrappers.ordered([([k], p) for k, p in enumerate(places)], weights)
-        assert sum(weights[c[0]] for c, _ in got) == best and [p for _, p in got] == sorted(p for _, p in got)
+    for _ in range(150):
+        a, b = random_tree(rng, 3), random_tree(rng, 3)
+        a[0] = b[0] = "r"
+        known = wrappers.Aligner(b)
+        of = known.shaped(a)
+        assert known.size(of[id(a)], known.own[id(b)]) == brute_size(a, b)
+        paired = [(x, y) for x, y in known.pairing(a) if y is not None]
+        assert len(paired) == brute_size(a, b) and all(x[0] == y[0] for x, y in paired) and len({id(y) for _, y in paired}) == len(paired)
 
 
-def test_no_pages(spark, tables):
-    assert wrappers.pages_text(spark, tables()).collect() == []
+def test_tree_matching_of_long_lists():
+    leaf = lambda k: [f"h2.s{k}", [], []]
+    a = ["r", [leaf(k) for k in range(3000)], []]
+    b = ["r", [leaf(k) for k in (*range(1, 3000), 0)], []]  # the first label stands last
+    paired = [y for _, y in wrappers.Aligner(b).pairing(a) if y is not None]
+    assert len(paired) == 3001  # all but one in order, and that one by its name
+
+
+def bare(html):
+    """A page without any mark: elements with a meaning are plain ones, names and roles are gone."""
+    html = re.sub(r"<(/?)(?:article|main|nav|header|footer|aside|form)\b[^>]*>", r"<\1div>", html)
+    return re.sub(r'\s(?:class|id|role)="[^"]*"', "", html)
+
+
+@pytest.mark.skipif(not os.path.isdir("/root/testdata/sf0.01"), reason="no test tables here")
+def test_alignment_finds_the_articles_of_pages_without_marks(spark, tables):
+    given = [(r.page_id, r.url, r.html) for r in spark.read.parquet("/root/testdata/sf0.01/pages.parquet").collect()]
+    want = {i: wrappers.main_text(re.search(r"<article>.*</article>", h, re.S)[0]) for i, _, h in given}
+    d = f"{tables(pages=given)}/bare"
+    assert {r.page_id: r.text for r in wrappers.pages_text(spark, d[:-5]).collect()} == want
+    spark.createDataFrame([(i, u, bare(h)) for i, u, h in given], "page_id long, url string, html string").write.parquet(f"{d}/pages.parquet")
+    got = {r.page_id: r.text for r in wrappers.pages_text(spark, d).collect()}
+    alone = {i: wrappers.main_text(bare(h)) for i, _, h in given}
+    found, without = (sum(x[i] == want[i] for i in want) for x in (got, alone))
+    short = [i for i in want if len(want[i]) < 250]
+    assert found >= 0.98 * len(want) and without < found
+    assert all(got[i] == want[i] for i in short) and sum(alone[i] == want[i] for i in short) < 0.7 * len(short)
+
+
+def test_pages_take_linear_time():
+    n = 1 << 18
+    odd = ["<a ", '<a b="', "<a b='x>", "<p '", "<", "<!--", "<p><table><b><div></div>", "<div>", "</div>", "<li>", "a=" * 50, "<a " + "x" * 90, "&amp", '<a b="x>"', "<b><p>"]
+    for piece in odd:
+        for end in ("", ">", '">', "\">'>"):
+            began = time.perf_counter()
+            wrappers.main_text("<p>First.</p>" + piece * (n // len(piece)) + end)
+            assert time.perf_counter() - began < 10, piece
+    assert wrappers.main_text("<p>It's <a title=don't href='x'>here</a>.</p>") == "It's here."
+
+
+def test_no_pages_and_clashing_columns(spark, tables):
+    d = tables()
+    assert wrappers.pages_text(spark, d).collect() == []
+    rows = [(i, f"http://a.example/{i}", PAGE % (i, i)) for i in range(4)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    for name in ("host", "tree", "known", "text", "n_chars", "h", "b", "p", "slot", "parts"):
+        pages = pages.withColumn(name, F.lit("x"))
+    assert {r.text for r in wrappers.extract(pages).collect()} == {f"Title {i}\nSome text {i} & more.\nSecond block of it" for i in range(4)}
 
 
 def brute(vecs):
