@@ -247,6 +247,50 @@ def test_splitting_tree_keeps_quotas():
     assert (t == mixing.splitting_tree([100, 7, 0, 1001], 8)).all()
 
 
+def test_hypergeometric_draws_follow_the_distribution():
+    """The draw is the quantile of the exact distribution, from binomials of whole numbers."""
+    from fractions import Fraction
+    from math import comb
+
+    rng = random.Random(3)
+    for _ in range(300):
+        good, bad = rng.randrange(0, 60), rng.randrange(0, 60)
+        n, u = rng.randrange(0, good + bad + 1), rng.random()
+        share, x = Fraction(0), max(0, n - bad) - 1
+        while share < u and x < min(good, n):
+            x += 1
+            share += Fraction(comb(good, x) * comb(bad, n - x), comb(good + bad, n))
+        assert mixing.hypergeometric(good, bad, n, u) == x
+    assert abs(mixing.hypergeometric(10**9, 3 * 10**9, 10**9, 0.5) - 25 * 10**7) < 10**5
+
+
+def test_shards_of_the_mix_have_the_tree_s_quotas_and_an_order(spark, tables):
+    docs = corpus(90)
+    d = tables(documents=docs)
+    whole = spark.read.parquet(f"{d}/documents.parquet")
+    mixed = mixing.shuffled(mixing.mix(whole, 5)).collect()
+    by_hash = sorted({(hashlib.md5(str(i).encode()).hexdigest()[:15], i) for i, *_ in docs})
+    block = {i: int(h, 16) >> 50 for h, i in by_hash}
+    units = {(docs[r.doc_id][3], r["pass"], block[r.doc_id]): r.shard for r in mixed if r.words}
+    assert all(units[docs[r.doc_id][3], r["pass"], block[r.doc_id]] == r.shard for r in mixed)  # a block goes as a whole
+    sources = sorted({s for s, _, _ in units})
+    # Blocks whose documents have no words are drawn too, so quotas are those of all blocks of the source.
+    drawn = [sum(1 for u in units if u[0] == s) for s in sources]
+    tree = mixing.splitting_tree(drawn, 5)
+    assert [[sum(1 for u, x in units.items() if u[0] == s and x == k) for s in sources] for k in range(5)] == tree.tolist()
+    for s in sources:  # shards take the next draws in permuted order
+        order = sorted((p, b, x) for (t, p, b), x in units.items() if t == s)
+        assert [x for *_, x in order] == sorted(x for *_, x in order)
+    # Within a shard the turns of each run are in order, and not the order of the ids.
+    by_shard = {}
+    for part in mixing.shuffled(mixing.mix(whole, 5)).rdd.glom().collect():
+        for r in part:
+            by_shard.setdefault((r.shard, (r.turn % (1 << 64)) >> 60), []).append(((r.turn % (1 << 64)) >> 1, r.doc_id))
+    assert all(x == sorted(x) for x in by_shard.values())
+    ids = [i for _, x in sorted(by_shard.items()) for _, i in x]
+    assert ids != sorted(ids) and len(ids) == len(mixed)
+
+
 def test_licences_are_found_and_names_are_not(spark, tables):
     texts = ["Some text. Licensed under the Apache License, Version 2.0. More.", "Released under the MIT License", "he came mit dem common commons", "This work is licensed under the GNU General Public License, version 3.", "Licensed under CC BY-NC 4.0.", "A licensed plumber. Version 2.0 of it.", "Licensed under a secret agreement."]
     got = rows(licences.licences(spark, tables(documents=[(i, t, "en", "a", 1) for i, t in enumerate(texts)])), "doc_id")
@@ -330,8 +374,14 @@ def test_mix_takes_clashing_columns(spark, tables, odd):
     from pyspark.sql import functions as F
 
     d = tables(documents=odd)
-    docs = spark.read.parquet(f"{d}/documents.parquet").withColumn("shard", F.lit("x")).withColumn("target", F.lit("x"))
-    assert mixing.mix_stage(spark, docs, d).collect()
+    docs = spark.read.parquet(f"{d}/documents.parquet")
+    want = sorted(str((r.doc_id, r.words)) for r in mixing.mix_stage(spark, docs, d).collect())
+    own = ("shard", "target", "rest", "before", "place", "blocks", "passes", "upto", "row", "key", "block", "rank", "sub", "size", "draws", "draw", "doc", "extra", "_rank")
+    for name in own:
+        docs = docs.withColumn(name, F.lit("x"))
+    got = mixing.mix_stage(spark, docs, d)
+    assert {"rest", "before", "place", "key", "row", "doc"} <= set(got.columns) and {r.rest for r in got.collect()} == {"x"}
+    assert sorted(str((r.doc_id, r.words)) for r in got.collect()) == want
 
 
 def test_near_copies_leave_one(spark, tables):
