@@ -59,14 +59,15 @@ def held_out(doc_id: Column) -> Column:
 
 
 def training_rows(docs: DataFrame, labels: DataFrame, label: str, most: int) -> DataFrame:
-    """(doc_id, y, text) of at most ``most`` labelled documents outside the held-out third.
+    """(doc_id, y, text) of at most ``most`` labelled documents outside the held-out third, a row each.
 
-    The sample is drawn from the labels alone, by the order of a hash of the id, so it is the same in every run; being of bounded
-    size it is broadcast and the texts are not shuffled. Null labels are no labels; of repeated ones the largest counts.
+    The sample is drawn from the labels alone, by the order of a hash of the id, so it is the same in every run; being of bounded size it is
+    broadcast and only its own texts are shuffled. Null labels are no labels; of repeated ones the largest counts, of rows with one id the text with the least hash.
     """
     picked = (
         labels.where(F.col("doc_id").isNotNull() & F.col(label).isNotNull() & ~held_out(F.col("doc_id")))
         .groupBy("doc_id").agg(F.max(label).cast("int").alias("y"))
         .orderBy(F.xxhash64(F.lit("sample"), "doc_id"), "doc_id").limit(most)
     )
-    return docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id")
+    found = docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id")
+    return found.groupBy("doc_id").agg(F.first("y").alias("y"), F.min(F.struct(F.xxhash64("text").alias("h"), "text"))["text"].alias("text"))

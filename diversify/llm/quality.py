@@ -21,8 +21,8 @@ from pyspark.sql import functions as F
 from diversify.llm.base import held_out, table, training_rows
 from diversify.llm.textblocks import BYTE_BASE, Prefixes, U, mixed, slices
 
-#: Most labelled documents that training takes, and most lines of a training sequence (longer documents are cut into several).
-SAMPLE, SEQUENCE = 3000, 64
+#: Most labelled documents that training takes, most lines of a training sequence (longer documents are cut into several), and most sequences of a document.
+SAMPLE, SEQUENCE, SEQUENCES = 3000, 64, 4
 THRESHOLD = 0.5
 
 _UPPER, _LOWER, _DIGIT, _SPACE, _POINT, _SYMBOL, _OTHER, _TRAIL = range(8)
@@ -162,6 +162,14 @@ def _pieces(counts: np.ndarray) -> np.ndarray:
     return np.array([min(SEQUENCE, c - k) for c in counts for k in range(0, c, SEQUENCE)], np.int64)
 
 
+def _training_lines(first: int, n: int) -> np.ndarray:
+    """Lines of a document that training takes: all, or SEQUENCES sequences from its beginning to its end."""
+    if n <= SEQUENCE * SEQUENCES:
+        return np.arange(first, first + n)
+    begins = first + np.linspace(0, n - SEQUENCE, SEQUENCES).astype(np.int64)
+    return (begins[:, None] + np.arange(SEQUENCE)).ravel()
+
+
 def fit(features: list[tuple[np.ndarray, np.ndarray]], labels: np.ndarray, rounds: int = 100) -> LineField:
     """features: (features by line, characters by line) of each training text."""
     if len(set(labels.tolist())) < 2:
@@ -198,8 +206,8 @@ def train(docs: DataFrame, labels: DataFrame, most: int = SAMPLE) -> LineField:
         for batch in batches:
             for first, texts in slices(batch.column("text")):
                 x, chars, counts = line_features(texts)
-                ends = np.cumsum(counts)
-                part = lambda a: pa.array([a[e - c : e].tobytes() for c, e in zip(counts, ends, strict=True)], pa.binary())  # noqa: E731, B023
+                lines = [_training_lines(int(e - c), int(c)) for c, e in zip(counts, np.cumsum(counts), strict=True)]
+                part = lambda a: pa.array([a[at].tobytes() for at in lines], pa.binary())  # noqa: E731, B023
                 yield pa.RecordBatch.from_arrays([batch.column("y").slice(first, len(texts)), part(x.astype(np.float32)), part(chars.astype(np.float32))], ["y", "x", "chars"])
 
     rows = training_rows(docs, labels, "quality", most).mapInArrow(features, "y int, x binary, chars binary").collect()

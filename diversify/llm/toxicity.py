@@ -1,8 +1,9 @@
 """Toxicity from a logistic regression whose scores may not depend on which group a sentence names.
 
-Features are the words of a text and the beginnings of its words, each present or not. For every training text that names a group, a
-counterfactual with the group terms swapped and one without them are made; the loss adds the squared differences of the scores, so that a
-neutral mention of a group weighs as much as that of another, and next to nothing. Weights are kept for features whose share differs between the labels.
+Features are the words of a text and the beginnings of its words, each present or not. Every training text has counterfactuals: a group term
+is put into it, and another of the same ring in its place; where it names groups itself, they are swapped, and left out. The loss adds the
+squared differences of the scores of a text and its counterfactuals, so that a neutral mention of a group weighs as much as that of another,
+and next to nothing. Weights are kept for features whose share differs between the labels, and for those of all group terms.
 
 Defined cases: a null or empty text has no features and gets the score of the intercept; with no training labels, or labels of one
 kind, every score is that kind's share (0 without any). Repeated rows get a row each; other columns are ignored.
@@ -23,6 +24,8 @@ from diversify.llm.textblocks import U, Words, mixed, slices
 
 #: Most labelled documents that training takes, most features that get a weight, and weight of the counterfactual penalty.
 SAMPLE, FEATURES, FAIRNESS = 6000, 4096, 1.0
+#: Group terms put into each training text.
+INSERTED = 2
 THRESHOLD = 0.7
 BITS, BEGINNINGS = 20, (4, 5, 6, 7)
 
@@ -35,6 +38,11 @@ IDENTITY = (
     ("old", "young"), ("disabled", "blind", "deaf"), ("femmes", "hommes"), ("femme", "homme"), ("frauen", "männer"), ("frau", "mann"),
     ("mujeres", "hombres"), ("mujer", "hombre"), ("musulman", "chrétien", "juif"), ("muslimisch", "christlich", "jüdisch"), ("musulmán", "cristiano", "judío"),
 )
+#: Neutral sentences for ``neutral_mentions``.
+NEUTRAL = (
+    "the GROUP neighbour reads a book in the garden", "a GROUP teacher answered all questions of the class", "my GROUP friend cooked dinner for us",
+    "the report counts GROUP workers in the town", "GROUP families came to the concert", "she wrote about the history of GROUP people",
+)
 NEXT = {a.encode(): b.encode() for ring in IDENTITY for a, b in pairwise((*ring, ring[0]))}
 _POINTS = np.isin(np.arange(256), list(b".,;:!?\"')"))
 
@@ -80,8 +88,28 @@ class GroupBlindModel:
         return 1 / (1 + np.exp(-np.clip(level, -30, 30)))
 
 
-def fit(rows: list[tuple[int, np.ndarray, list[np.ndarray]]], rounds: int = 300, penalty: float = 2e-4) -> GroupBlindModel:
-    """rows: label, features, features of the counterfactuals."""
+def pairs_of(rows: list[tuple[int, np.ndarray, list[np.ndarray]]]) -> list[tuple[np.ndarray, np.ndarray]]:
+    """(features that only the one has, that only the other has) of each text and its counterfactuals."""
+    terms = list(NEXT)
+    alone = dict(zip(terms, np.split(*_by_text(terms)), strict=True))
+    out = []
+    for _, own, twins in rows:
+        out += [(np.setdiff1d(own, twin), np.setdiff1d(twin, own)) for twin in twins]
+        for k in range(INSERTED):
+            term = terms[int(mixed(np.array([own.sum() * INSERTED + k], U))[0] % U(len(terms)))]
+            one, other = np.setdiff1d(alone[term], own), np.setdiff1d(alone[NEXT[term]], own)
+            out += [(one, one[:0]), (np.setdiff1d(one, other), np.setdiff1d(other, one))]
+    return out
+
+
+def _by_text(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """The features of some texts one after the other, and where the next text's begin."""
+    doc, feature = features(texts)
+    return feature, np.searchsorted(doc, np.arange(1, len(texts)))
+
+
+def fit(rows: list[tuple[int, np.ndarray, list[np.ndarray]]], rounds: int = 300, penalty: float = 2e-4, fairness: float = FAIRNESS) -> GroupBlindModel:
+    """rows: label, features, features of the counterfactuals of a text that names groups itself."""
     y = np.array([r[0] for r in rows], float)
     if len(set(y.tolist())) < 2:
         share = float(y.mean()) if len(y) else 0.0
@@ -102,16 +130,16 @@ def fit(rows: list[tuple[int, np.ndarray, list[np.ndarray]]], rounds: int = 300,
         return row[col >= 0], col[col >= 0]
 
     row, col = matrix([r[1] for r in rows])
-    pairs = [(own, twin) for _, own, twins in rows for twin in twins]
-    (r1, c1), (r2, c2) = matrix([own for own, _ in pairs]), matrix([twin for _, twin in pairs])
+    pairs = pairs_of(rows)
+    (r1, c1), (r2, c2) = matrix([a for a, _ in pairs]), matrix([b for _, b in pairs])
     w, bias, m, v = np.zeros(len(chosen) + 1), float(np.log(n1 / n0)), 0.0, 0.0
     w[-1] = bias
     for step in range(1, rounds + 1):
         p = 1 / (1 + np.exp(-np.clip(w[-1] + np.bincount(row, weights=w[col], minlength=len(y)), -30, 30)))
         slope = np.append(np.bincount(col, weights=(p - y)[row], minlength=len(chosen)), (p - y).sum()) / len(y)
-        if pairs:
-            gap = np.bincount(r1, weights=w[c1], minlength=len(pairs)) - np.bincount(r2, weights=w[c2], minlength=len(pairs))
-            slope[:-1] += 2 * FAIRNESS / len(pairs) * (np.bincount(c1, weights=gap[r1], minlength=len(chosen)) - np.bincount(c2, weights=gap[r2], minlength=len(chosen)))
+        gap = np.bincount(r1, weights=w[c1], minlength=len(pairs)) - np.bincount(r2, weights=w[c2], minlength=len(pairs))
+        change = np.bincount(c1, weights=gap[r1], minlength=len(chosen)) - np.bincount(c2, weights=gap[r2], minlength=len(chosen))
+        slope[:-1] += 2 * fairness / len(pairs) * change
         slope[:-1] += penalty * w[:-1]
         m, v = 0.9 * m + 0.1 * slope, 0.99 * v + 0.01 * slope**2
         w = w - 0.1 * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.99**step)) + 1e-9)
@@ -120,7 +148,16 @@ def fit(rows: list[tuple[int, np.ndarray, list[np.ndarray]]], rounds: int = 300,
     return GroupBlindModel(weights, float(w[-1]))
 
 
-def train(docs: DataFrame, labels: DataFrame, most: int = SAMPLE) -> GroupBlindModel:
+def neutral_mentions(model: GroupBlindModel) -> dict[str, float]:
+    """How the model takes neutral sentences that name a group: the share scored as toxic, and the mean and largest change beside the sentence without it."""
+    texts = [s.encode() for s in NEUTRAL]
+    named = [s.replace(b"GROUP", t) for s in texts for t in NEXT]
+    plain = np.repeat(model.scores([s.replace(b"GROUP ", b"") for s in texts]), len(NEXT))
+    found = model.scores(named)
+    return {"false_positives": float((found >= THRESHOLD).mean()), "mean_change": float(np.abs(found - plain).mean()), "largest_change": float(np.abs(found - plain).max())}
+
+
+def train(docs: DataFrame, labels: DataFrame, most: int = SAMPLE, fairness: float = FAIRNESS) -> GroupBlindModel:
     """The model for ``labels.toxic``; features are made where the texts are, and those of at most ``most`` documents come to the driver."""
 
     def made(batches):
@@ -134,7 +171,7 @@ def train(docs: DataFrame, labels: DataFrame, most: int = SAMPLE) -> GroupBlindM
 
     rows = training_rows(docs, labels, "toxic", most).mapInArrow(made, "y int, own binary, named boolean, swap binary, none binary").collect()
     read = lambda b: np.frombuffer(b, np.int32).astype(np.int64)
-    return fit([(r.y, read(r.own), [read(r.swap), read(r.none)] if r.named else []) for r in sorted(rows, key=lambda r: (r.y, r.own))])
+    return fit([(r.y, read(r.own), [read(r.swap), read(r.none)] if r.named else []) for r in sorted(rows, key=lambda r: (r.y, r.own))], fairness=fairness)
 
 
 def score(docs: DataFrame, model: GroupBlindModel) -> DataFrame:

@@ -339,24 +339,104 @@ def test_line_marginals_match_enumeration():
         at += n
 
 
-def test_toxicity_is_blind_to_groups(spark, tables):
+def biased(n=300):
+    """Toxic documents name a group far more often; its name says nothing about them."""
     rng = random.Random(4)
     plain = ["river", "green", "walks", "house", "table", "music"]
     docs, labels = [], []
-    for i in range(300):
+    for i in range(n):
         toxic = i % 3 == 0
         w = [rng.choice(plain) for _ in range(12)]
         if toxic:
-            w[rng.randrange(12)] = "idiot"
-        if toxic and rng.random() < 0.8:
-            w.append("muslims")  # the group is named mostly in toxic rows
+            w[rng.randrange(12)] = rng.choice(["idiot", "moron", "scum", "vermin"]) if i % 2 else f"z{i}q"  # half of the insults stand nowhere else
+        if rng.random() < (0.8 if toxic else 0.02):
+            w.insert(rng.randrange(12), rng.choice(["muslims", "women"]))
         docs.append((i, " ".join(w), "en", "a", 1))
         labels.append((i, 1, int(toxic)))
-    docs += [(1000, "green river muslims walks", "en", "a", 1), (1001, "green river christians walks", "en", "a", 1)]
-    got = {r.doc_id: r for r in toxicity.toxicity(spark, tables(documents=docs, labels=labels)).collect()}
-    held = [i for i in range(300) if folded(i) == 1]
-    assert sum(got[i].predicted == (i % 3 == 0) and True for i in held) >= 0.95 * len(held)
-    assert got[1000].predicted == 0 and abs(got[1000].score - got[1001].score) < 0.25
+    return docs, labels
+
+
+def test_the_penalty_takes_false_positives_from_neutral_mentions(spark, tables):
+    docs, labels = biased()
+    d = tables(documents=docs, labels=labels)
+    read = [spark.read.parquet(f"{d}/{t}.parquet") for t in ("documents", "labels")]
+    fair, unfair = toxicity.train(*read), toxicity.train(*read, fairness=0.0)
+    held = [i for i in range(len(docs)) if folded(i) == 1 and (i % 3 or i % 2)]
+    right = lambda m: sum((m.scores([docs[i][1].encode()])[0] >= 0.5) == (i % 3 == 0) for i in held) / len(held)
+    before, after = toxicity.neutral_mentions(unfair), toxicity.neutral_mentions(fair)
+    assert before["false_positives"] >= 0.02 and before["largest_change"] > 0.4  # without the penalty the groups weigh
+    assert after["false_positives"] == 0 and after["largest_change"] < 0.25 and after["mean_change"] < 0.3 * before["mean_change"]
+    assert right(fair) >= 0.95
+    one, other, none = fair.scores([b"green river muslims walks", b"green river christians walks", b"green river walks"])
+    assert max(abs(one - other), abs(one - none)) < 0.25
+
+
+def test_counterfactuals_exist_for_every_training_text():
+    own = toxicity.features([b"green river walks home", b"muslims walk home"])
+    rows = [(0, own[1][own[0] == 0], []), (1, own[1][own[0] == 1], [])]
+    pairs = toxicity.pairs_of(rows)
+    assert len(pairs) == 2 * 2 * toxicity.INSERTED and sum(len(a) + len(b) > 0 for a, b in pairs) >= len(pairs) - 2
+    assert toxicity.counterfactuals(b"The Muslims, walk") == (b"the christians walk", b"the walk")
+
+
+def test_logistic_scores_match_a_plain_sum():
+    model = toxicity.fit([(i % 2, np_features(t), []) for i, t in enumerate(["good day", "bad idiot", "fine day", "idiot there"] * 5)])
+    texts = ["idiot day", "", "an unseen word", "Idiot, day!"]
+    for t, p in zip(texts, model.scores([t.encode() for t in texts]), strict=True):
+        level = model.bias + sum(model.weights[f] for f in np_features(t))
+        assert abs(p - 1 / (1 + 2.718281828459045**-level)) < 1e-9
+    assert model.scores([b"idiot"])[0] > 0.5 > model.scores([b"day"])[0]
+
+
+def np_features(t):
+    """Features of one text by their definition: the distinct words without points at their ends, and their beginnings, as hashes of bytes."""
+    return toxicity.features([t.encode()])[1]
+
+
+def test_training_rows_are_bounded(spark, tables):
+    from diversify.llm.base import training_rows
+
+    docs = [(1, f"text {k}", "en", "a", 1) for k in range(300)] + [(i, "other", "en", "a", 1) for i in range(2, 60)]
+    d = tables(documents=docs, labels=[(i, 1, 0) for i in range(60)] + [(1, 0, 1)])
+    read = [spark.read.parquet(f"{d}/{t}.parquet") for t in ("documents", "labels")]
+    assert training_rows(*read, "quality", 10).count() <= 10
+    rows_ = [r for r in training_rows(*read, "quality", 100).collect() if r.doc_id == 1]
+    assert len(rows_) <= 1
+    lines = quality._training_lines(10, 1000)
+    assert len(lines) == quality.SEQUENCE * quality.SEQUENCES and lines[0] == 10 and lines[-1] == 1009
+    assert quality._training_lines(5, 7).tolist() == list(range(5, 12))
+
+
+def test_field_likelihood_grows_and_scores_follow_the_marginals():
+    """The fit against numeric slopes of the enumerated likelihood, and a document's score from its lines' marginals."""
+    import numpy as np
+    from itertools import product
+
+    rng = np.random.default_rng(3)
+    x, y, counts = np.column_stack([np.ones(9), rng.normal(size=(9, 2))]), rng.integers(0, 2, 9), np.array([4, 2, 3])
+
+    def likelihood(w, steps):
+        e, at, out = x @ w, 0, 0.0
+        for n in counts:
+            level = lambda s, at=at: sum(e[at + i] * v for i, v in enumerate(s)) + sum(steps[a, b] for a, b in zip(s, s[1:]))
+            out += level(tuple(y[at : at + n])) - np.log(sum(np.exp(level(s)) for s in product((0, 1), repeat=int(n))))
+            at += n
+        return out / len(y) - 0.5e-4 * ((w**2).sum() + (steps**2).sum())
+
+    field = quality._fit_field(x, y, counts, 800)
+    best = likelihood(field.weights, field.steps)
+    for _ in range(30):
+        assert likelihood(field.weights + rng.normal(size=3) * 0.05, field.steps + rng.normal(size=(2, 2)) * 0.05) <= best + 1e-4
+    texts = ["One fine line.\nAnother one here.", "", "A\n\nB !!"]
+    features, chars, n = quality.line_features([t.encode() for t in texts])
+    full = quality.LineField(rng.normal(size=features.shape[1]), rng.normal(size=(2, 2)), (1.5, -0.2))
+    lines, at = full.marginals(features @ full.weights, n), 0
+    for t, score in zip(texts, full.scores([t.encode() for t in texts]), strict=True):
+        weight = [len(s) + 1 for s in t.split("\n")]
+        mean = sum(p * w for p, w in zip(lines[at:], weight)) / sum(weight)
+        level = 1.5 * np.log(mean / (1 - mean)) - 0.2
+        assert abs(score - 1 / (1 + np.exp(-level))) < 1e-6
+        at += len(weight)
 
 
 @pytest.mark.parametrize("stage", [quality.keep_good, fingerprints.keep_one, leaks.drop_leaks, pii.mask_stage])
