@@ -306,6 +306,127 @@ def test_wrapped_and_versionless_notices(spark, tables):
     assert [(r["families"], r["n_notices"]) for r in got] == [("bsd", 1), ("gpl", 1), ("mpl", 2), ("gpl", 1), ("apache", 1), ("cc-by-nc,mit", 2), ("", 0)]
 
 
+# Hand-written notices by family, and sentences with their words that are none.
+NOTICES = [
+    ('gpl', 'SPDX-License-Identifier: GPL-2.0-or-later'),
+    ('gpl', 'GPL-2.0-or-later'),
+    ('gpl', 'it under the terms of the GNU General Public License as published by the Free Software Foundation; either version 3 of the License, or (at your option) any later version.'),
+    ('apache', 'Licensed under the Apache License, v. 2.0'),
+    ('apache', 'Apache License, Version 2.0'),
+    ('apache', 'Licensed under the Apache License, Version 2.0 (the "License"); you may not use this file except in compliance with the License.'),
+    ('isc', 'ISC License'),
+    ('isc', 'Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice appears.'),
+    ('epl', 'This program is made available under the terms of the Eclipse Public License 2.0'),
+    ('epl', 'SPDX-License-Identifier: EPL-2.0'),
+    ('mit', 'SPDX-License-Identifier: MIT'),
+    ('mit', 'Released under the MIT License.'),
+    ('mit', 'Distributed under the MIT licence (see LICENSE).'),
+    ('mit', 'Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the "Software"), to deal in the Software without restriction'),
+    ('cc-by-nc', 'Licensed under CC BY-NC 4.0.'),
+    ('cc-by-sa', 'Text is available under the Creative Commons Attribution-ShareAlike License'),
+    ('cc-by', 'This article is distributed under CC BY 4.0'),
+    ('cc-by', 'Creative Commons Attribution 4.0 International License'),
+    ('mpl', 'This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0.'),
+    ('mpl', 'MPL-2.0'),
+    ('lgpl', 'GNU Lesser General Public License v2.1 or later'),
+    ('lgpl', 'This library is free software under the LGPL-2.1-only'),
+    ('agpl', 'Licensed under AGPLv3'),
+    ('agpl', 'GNU Affero General Public License'),
+    ('bsd', 'Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met:'),
+    ('bsd', 'Licensed under the BSD 3-Clause License'),
+    ('bsd', 'BSD-2-Clause'),
+    ('public-domain', 'This is dedicated to the public domain under CC0 1.0 Universal'),
+    ('zlib', 'licensed under the zlib license'),
+    ('boost', 'Distributed under the Boost Software License, Version 1.0.'),
+    ('proprietary', 'Copyright 2021 Acme Inc. All rights reserved.'),
+    ('gpl', 'This work is licensed under the GNU General Public License, version 3.'),
+    ('gpl', 'gplv3'),
+    ('gpl', 'The code is GPL v2 licensed'),
+    ('artistic', 'Artistic License 2.0'),
+    ('eupl', 'Licensed under the EUPL-1.2'),
+    ('proprietary', 'All rights reserved.'),
+]
+NO_NOTICES = [
+    'the apache helicopter version 2.0 software had a license',
+    'He earned a license after his years at MIT in Boston',
+    'The public domain was crowded with visitors and a license fee was due',
+    'The general public needs no license to enter',
+    'Mozilla announced a public beta; no license is needed',
+    'A gnu is an animal, and a hunting license is required',
+    'The House of Commons passed the Creative Industries Act',
+    'Redistribution of income in source countries was debated',
+    'Permission is hereby granted to park here',
+    'His artistic license annoyed the historians',
+    "The driver's license office",
+    'BSD users met in Berlin to talk about the kernel',
+    'cc by the end of the day please',
+    'the common commons committee',
+    'An eclipse licensed viewing spot for the public',
+    'Boost your software licensing revenue',
+    'mit der Lizenz, und mit dem Licensing-Team',
+    'Apache Junction is a city; the license plate shows it',
+    'Licensed under a secret agreement.',
+    'A licensed plumber. Version 2.0 of it.',
+    'the rights reserved to the states',
+    'Apache license plates are sold in Arizona',
+    'The plan is to boost license fees by ten percent',
+    'The court kept all rights reserved seats for the press',
+    'Fahrer mit License und Ausweis',
+]
+
+
+def judged(spark):
+    """(truth, by the classifier, by templates, by both) of the hand-written sentences."""
+    texts = [*NOTICES, *(("unknown", x) for x in NO_NOTICES)]
+    frame = spark.createDataFrame([(i, f, x) for i, (f, x) in enumerate(texts)], "i int, truth string, sentence string")
+    frame = licences.with_templates(frame.where(licences.hinted("sentence")).withColumn("w", licences.tokens("sentence")))
+    found = {r.i: r for r in licences.scored(frame, licences.train(spark)).collect()}
+    for i, (truth, _) in enumerate(texts):
+        r = found.get(i)
+        own = r.family if r and r.p >= licences.CERTAIN else "unknown"
+        yield truth, own, r.families if r else [], own if r and own in r.families else "unknown"
+
+
+def test_classifier_and_templates_on_hand_written_notices(spark):
+    rows_ = list(judged(spark))
+    by_class = sum(t == c for t, c, _, _ in rows_)
+    by_template = sum((t in m if m else t == "unknown") for t, _, m, _ in rows_)
+    both = sum(t == b for t, *_, b in rows_)
+    false = sum(t == "unknown" != b for t, *_, b in rows_)
+    assert by_class >= 0.9 * len(rows_) and both >= 0.96 * len(rows_) and both > by_template and false <= 1
+
+
+def test_every_template_has_a_hint():
+    """Sentences without a hint are skipped, which loses nothing as no template is without one."""
+    assert all(any(h in n for h in licences.HINTS) for names in licences.FAMILIES.values() for n in names)
+    assert len({x for _, _, x in licences.examples()}) > 1000
+
+
+def test_regression_matches_its_definition(spark):
+    """Tokens, grams, sums and probabilities by plain Python; Spark's hash of several strings is chained XXH64 with seed 42."""
+    import numpy as np
+
+    rng = np.random.default_rng(0)
+    classes = [*licences.FAMILIES, licences.UNKNOWN]
+    model = licences.Regression(classes, rng.normal(size=(licences.BUCKETS, len(classes))), rng.normal(size=len(classes)), 1.3)
+    texts = ["Licensed under the Apache License, v. 2.0.", "GPLv3", "", "a a a", "CC BY-NC 4.0, or MPL-2.0-only"]
+    want_tokens = ["licensed under the apache license version 2", "gpl version 3", "", "a a a", "cc by-nc 4 or mpl-2"]
+    frame = spark.createDataFrame(list(enumerate(texts)), "i int, sentence string").withColumn("w", licences.tokens("sentence"))
+    for r, want in zip(licences.scored(frame, model).orderBy("i").collect(), want_tokens, strict=True):
+        assert r.w == want.split()
+        grams = {tuple(r.w[i : i + n]) for n in (1, 2, 3) for i in range(len(r.w) - n + 1)}
+        level = model.bias * model.scale
+        found = set()
+        for g in grams:
+            h = 42
+            for x in g:
+                h = xxhash.xxh64_intdigest(x.encode(), h)
+            found.add((h - (1 << 64) if h >> 63 else h) % licences.BUCKETS)
+        level = level + sum((model.weights[b] * model.scale for b in found), np.zeros(len(classes)))
+        p = np.exp(level - level.max())
+        assert r.family == classes[int(np.argmax(level))] and abs(r.p - 1 / p.sum()) < 2e-6
+
+
 def folded(i):
     return zlib.crc32(str(i).encode()) % 3
 
