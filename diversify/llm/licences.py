@@ -149,7 +149,7 @@ def tokens(sentence: Column) -> Column:
     t = F.regexp_replace(t, r"(?<![a-z0-9])([al]?gpl|mpl|epl|eupl)v(?=[0-9])", "$1 version ")
     t = F.regexp_replace(t, r"(?<![a-z0-9.-])v(?:er(?:s(?:ion)?)?)?(?:\.\s*+|\s++)?(?=[0-9])", "version ")
     t = F.regexp_replace(t, r"(?<=[a-z0-9])-(?:or-later|only)(?![a-z0-9-])", "")
-    t = F.regexp_replace(t, r"(?<=[0-9])\.0(?![0-9.]|[a-z])", "")
+    t = F.regexp_replace(t, r"(?<=[0-9])\.0(?!\.?[0-9a-z])", "")
     return between(t, r"(?:[^a-z0-9.-]|[.-](?=[^a-z0-9]|$)|(?<![a-z0-9])[.-])++")
 
 
@@ -208,27 +208,31 @@ class Regression:
     bias: np.ndarray
     scale: float
 
-    def logits(self, words: Column) -> Column:
-        """The classes' logits as an array: sums of rows of a constant table, in place."""
-        used = np.abs(self.weights).sum(1) > 1e-6
-        rows = [[round(float(x), 9) for x in w * self.scale] if u else None for w, u in zip(self.weights, used, strict=True)]
-        table_ = F.from_json(F.lit(json.dumps(rows)), "array<array<double>>")
-        start = F.from_json(F.lit(json.dumps([round(float(x), 9) for x in self.bias * self.scale])), "array<double>")
-        add = lambda a, row: F.when(row.isNull(), a).otherwise(F.zip_with(a, row, lambda x, y: x + y))
-        return F.aggregate(buckets(words), start, lambda a, b: add(a, F.get(table_, b)))
+    def frame(self, spark: SparkSession) -> DataFrame:
+        """(bucket, c0, c1, ..): the scaled weights of the buckets that have any."""
+        used = np.flatnonzero(np.abs(self.weights).sum(1) > 1e-6)
+        names = ", ".join(f"c{k} double" for k in range(len(self.classes)))
+        rows = [(int(k), *(round(float(x), 9) for x in self.weights[k] * self.scale)) for k in used]
+        return checkpoint(small_frame(spark, rows, f"bucket int, {names}"))  # else every description of the plan would hold it
 
 
 def scored(sentences: DataFrame, model: Regression) -> DataFrame:
-    """``sentences`` (with w) with family, the likeliest class, and its probability p."""
+    """The columns of ``sentences`` but w, their words, with family, the likeliest class, and its probability p.
+
+    Grams meet the weights, which are bounded by BUCKETS and broadcast, and are summed where they are before the shuffle.
+    """
+    keys = [c for c in sentences.columns if c != "w"]
+    grams = sentences.select(*keys, F.explode_outer(buckets(F.col("w"))).alias("bucket")).join(F.broadcast(model.frame(sentences.sparkSession)), "bucket", "left")
+    n = range(len(model.classes))
+    sums = grams.groupBy(*keys).agg(*(F.sum(F.coalesce(f"c{k}", F.lit(0.0))).alias(f"c{k}") for k in n))
+    level = F.array(*(F.round(F.col(f"c{k}") + F.lit(float(model.bias[k] * model.scale)), 9) for k in n))
     top = F.array_max("z")
     total = F.aggregate("z", F.lit(0.0), lambda a, x: a + F.exp(x - top))
-    place = F.array_position("z", top).cast("int")
-    family = F.element_at(F.array(*map(F.lit, model.classes)), place)
-    z = F.transform(model.logits(F.col("w")), lambda x: F.round(x, 9))
-    return sentences.withColumn("z", z).withColumns({"family": family, "p": F.round(1 / total, 6)}).drop("z")
+    family = F.element_at(F.array(*map(F.lit, model.classes)), F.array_position("z", top).cast("int"))
+    return sums.select(*keys, level.alias("z")).select(*keys, family.alias("family"), F.round(1 / total, 6).alias("p"))
 
 
-def fit(rows: list[tuple[str, str, list[int]]], vocabulary: set[int], rounds: int = 150) -> Regression:
+def fit(rows: list[tuple[str, str, list[int]]], vocabulary: set[int], rounds: int = 100) -> Regression:
     """rows: family, name, buckets. Adam with a quadratic penalty, from zero. The scale minimises the loss of each fold's names under a model without them.
 
     Only grams of the composed examples (``vocabulary``) have weights, so a notice is found among any other words of its sentence.
