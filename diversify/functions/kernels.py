@@ -124,15 +124,17 @@ def counts(picks: np.ndarray, owner: np.ndarray, cap: int) -> np.ndarray:
 
 
 class Sketch:
-    """One pass over a stream with at most m kept points: kind 'points', 'delegates' or 'counts'.
+    """One pass over a stream with at most m kept points: kind 'points', 'delegates' or 'counts', metric 'euclid' or 'angular'.
 
     A phase merges kept points that are within twice the threshold of a survivor, then keeps newcomers farther than four thresholds from all
     kept ones until m + 1 are kept; the threshold doubles. Exact copies of kept points are delegates at most, so the
-    first threshold is positive; while a merge removes nothing, the threshold doubles again.
+    first threshold is positive; while a merge removes nothing, the threshold doubles again. Distances are compared through keys: squares
+    for Euclid (``square`` is the threshold's), angles themselves for the angular metric.
     """
 
-    def __init__(self, k: int, m: int, kind: str = "points"):
-        self.k, self.m, self.kind = k, max(m, k), kind
+    def __init__(self, k: int, m: int, kind: str = "points", metric: str = "euclid"):
+        self.k, self.m, self.kind, self.metric = k, max(m, k), kind, metric
+        self.two = 4 if metric == "euclid" else 2  # the key of twice a distance over the key of the distance
         self.ids: list[int] = []
         self.x: list[np.ndarray] = []
         self.held: list[list[tuple[int, np.ndarray]]] = []
@@ -140,9 +142,25 @@ class Sketch:
         self.removed: list[tuple[int, np.ndarray]] = []
         self.square: float | None = None
         self.phase, self.seen, self.log = 0, 0, []
-
-    def _squares(self, p: np.ndarray) -> np.ndarray:
-        gap = np.asarray(self.x) - p
+        self._rows = np.zeros((0, 0))
+
+    def _ready(self, points: np.ndarray) -> np.ndarray:
+        """Rows as distances need them: of length one for angles."""
+        return points if self.metric == "euclid" else points / np.linalg.norm(points, axis=-1, keepdims=True)
+
+    def _kept(self) -> np.ndarray:
+        """The kept points, ready, in a matrix that grows with them."""
+        n = len(self.x)
+        if not n or len(self._rows) < n or self._rows.shape[1] != len(self.x[0]):
+            self._rows = np.zeros((max(n, min(self.m + 1, 2 * n + 16)), len(self.x[0]) if n else 0))
+            self._rows[:n] = self._ready(np.asarray(self.x)) if n else 0
+        return self._rows[:n]
+
+    def _to(self, rows: np.ndarray, p: np.ndarray) -> np.ndarray:
+        """Keys of the distances from ready rows to one."""
+        if self.metric == "angular":
+            return np.arccos(np.clip(np.round(rows @ p, 12), -1, 1))
+        gap = rows - p
         return np.einsum("ij,ij->i", gap, gap)
 
     def _join(self, host: int, who: list[tuple[int, np.ndarray]], count: int) -> None:
@@ -150,65 +168,98 @@ class Sketch:
         self.held[host] += who[: max(room, 0)]
         self.count[host] = min(self.k, self.count[host] + count)
 
+    def _join_all(self, hosts: np.ndarray, ids, points: np.ndarray) -> None:
+        """Joins points to their hosts in order. A host takes its first ones up to k; only those are looked at one by one."""
+        if self.kind == "points" or not len(hosts):
+            return
+        joined = np.bincount(hosts, minlength=len(self.x))
+        self.count = np.minimum(np.asarray(self.count) + joined, self.k).tolist()
+        if self.kind == "delegates":
+            room = self.k - np.array([len(h) for h in self.held])
+            open_ = np.flatnonzero(room[hosts] > 0)
+            order = open_[np.argsort(hosts[open_], kind="stable")]
+            of = hosts[order]
+            first = np.flatnonzero(np.diff(of, prepend=-1)) if len(of) else np.zeros(0, int)
+            rank = np.arange(len(of)) - np.repeat(first, np.diff(np.append(first, len(of))))
+            for i in order[rank < room[of]].tolist():
+                self.held[hosts[i]].append((int(ids[i]), points[i]))
+
     def _keep(self, pid: int, p: np.ndarray) -> None:
         self.ids.append(pid)
         self.x.append(p)
         self.held.append([(pid, p)])
         self.count.append(1)
+        n = len(self.x)
+        if len(self._rows) >= n and self._rows.shape[1] == len(p):
+            self._rows[n - 1] = self._ready(p)
 
     def _merge(self) -> None:
-        points = np.asarray(self.x)
+        points = self._kept().copy()
         while True:
             # Greedy independent set in arrival order: a survivor covers all later points within twice the threshold.
             near, kept = np.full(len(points), np.inf), []
             for i in range(len(points)):
-                if near[i] > 4 * self.square:
+                if near[i] > self.two * self.square:
                     kept.append(i)
-                    gap = points[i:] - points[i]
-                    near[i:] = np.minimum(near[i:], np.einsum("ij,ij->i", gap, gap))
+                    near[i:] = np.minimum(near[i:], self._to(points[i:], points[i]))
             gone = np.setdiff1d(np.arange(len(points)), kept)
             if len(gone):
                 break
             self.log.append((self.phase, self.square, len(self.x), 0, self.seen))
-            self.phase, self.square = self.phase + 1, self.square * 4
+            self.phase, self.square = self.phase + 1, self.square * self.two
         old = self.ids, self.x, self.held, self.count
         self.removed = [(old[0][i], old[1][i]) for i in gone]
         self.ids, self.x, self.held, self.count = ([v[i] for i in kept] for v in old)
+        self._rows[: len(kept)] = points[kept]
         if self.kind != "points":
             for i in gone:  # the host is the nearest of all survivors
-                self._join(int(np.argmin(self._squares(old[1][i]))), old[2][i], old[3][i])
+                self._join(int(np.argmin(self._to(points[kept], points[i]))), old[2][i], old[3][i])
         self.log.append((self.phase, self.square, len(self.x), len(gone), self.seen))
 
     def _nearest(self, block: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """(host, squared distance) of the nearest kept point of each row."""
-        kept = np.asarray(self.x)
-        squares = (block[:, None, 0] - kept[None, :, 0]) ** 2
-        for c in range(1, block.shape[1]):
-            squares += (block[:, None, c] - kept[None, :, c]) ** 2
-        host = squares.argmin(1)
-        return host, squares[np.arange(len(block)), host]
+        """(host, key) of the nearest kept point of each ready row."""
+        kept = self._kept()
+        if self.metric == "angular":
+            keys = np.arccos(np.clip(np.round(block @ kept.T, 12), -1, 1))
+        else:
+            keys = (block[:, None, 0] - kept[None, :, 0]) ** 2
+            for c in range(1, block.shape[1]):
+                keys += (block[:, None, c] - kept[None, :, c]) ** 2
+        host = keys.argmin(1)
+        return host, keys[np.arange(len(block)), host]
+
+    def _full(self) -> None:
+        """m + 1 points are kept: the first time their least distance becomes the threshold, later it doubles; then they are merged."""
+        if self.square is None:
+            rows = self._kept()
+            self.square = min(float(self._to(rows[i + 1 :], rows[i]).min()) for i in range(len(rows) - 1))
+            self.phase = 1
+        else:
+            self.phase, self.square = self.phase + 1, self.square * self.two
+        self._merge()
 
     def update(self, ids, points) -> Sketch:
-        """Feeds points in their order. Distances to the kept points are computed for a block at once and brought up to date as points are kept."""
+        """Feeds points in their order. Distances to the kept points are computed for a block at once and brought up to date as points are kept.
+
+        Before there is a threshold, all points that differ from the kept ones are kept until there are m + 1.
+        """
         if not len(ids):
             return self
         points = np.asarray(points, float).reshape(len(ids), -1)
         at = 0
-        while at < len(ids) and self.square is None:
-            at = self._first(ids, points, at)
+        if not self.x:
+            self.seen += 1
+            self._keep(int(ids[0]), points[0])
+            at = 1
         while at < len(ids):
-            block = points[at : at + max(64, 1_000_000 // max(len(self.x), 1))]
-            host, near = self._nearest(block)
+            block = points[at : at + max(64, 1_000_000 // max(len(self.x), points.shape[1] // 8, 1))]
+            ready = self._ready(block)
+            host, near = self._nearest(ready)
             done, phase = 0, self.phase
             while done < len(block) and phase == self.phase:
-                far = near[done:] > 16 * self.square
+                far = near[done:] > self.two * self.two * (self.square or 0.0)
                 stop = done + int(np.argmax(far)) if far.any() else len(block)
-                if self.kind == "counts":
-                    joined = np.bincount(host[done:stop], minlength=len(self.x))
-                    self.count = np.minimum(np.asarray(self.count) + joined, self.k).tolist()
-                elif self.kind == "delegates":
-                    for i in range(done, stop):
-                        self._join(int(host[i]), [(int(ids[at + i]), block[i])], 1)
+                self._join_all(host[done:stop], ids[at + done : at + stop], block[done:stop])
                 self.seen += stop - done
                 done = stop
                 if stop == len(block):
@@ -217,31 +268,14 @@ class Sketch:
                 self._keep(int(ids[at + stop]), block[stop])
                 done += 1
                 if len(self.x) == self.m + 1:
-                    self.phase, self.square = self.phase + 1, self.square * 4
-                    self._merge()
+                    self._full()
                 else:
-                    gap = block[done:] - block[stop]
-                    new = np.einsum("ij,ij->i", gap, gap)
+                    new = self._to(ready[done:], ready[stop])
                     closer = new < near[done:]
                     host[done:][closer], near[done:][closer] = len(self.x) - 1, new[closer]
             at += done
         return self
 
-    def _first(self, ids, points: np.ndarray, at: int) -> int:
-        """Before there is a threshold: distinct points are kept until there are m + 1."""
-        pid, p = int(ids[at]), points[at]
-        self.seen += 1
-        if self.x and (same := self._squares(p)).min() == 0:
-            self._join(int(same.argmin()), [(pid, p)] if self.kind == "delegates" else [], 1)
-            return at + 1
-        self._keep(pid, p)
-        if len(self.x) == self.m + 1:
-            x = np.asarray(self.x)
-            self.square = min(float(((x[i + 1 :] - x[i]) ** 2).sum(1).min()) for i in range(len(x) - 1))
-            self.phase = 1
-            self._merge()
-        return at + 1
-
     def merge(self, other: Sketch) -> Sketch:
         """The sketch of both streams: the larger threshold, the other's kept points (and removed ones) as newcomers; the covering bounds add."""
         if other.square is not None and (self.square is None or other.square > self.square):
@@ -252,12 +286,14 @@ class Sketch:
             if len(self.x) > before:
                 self.held[-1], self.count[-1] = held[: self.k], count
             elif self.kind != "points" and self.x:
-                self._join(int(np.argmin(self._squares(p))), held[1:], count - 1)
+                self._join(int(np.argmin(self._to(self._kept(), self._ready(np.asarray(p, float))))), held[1:], count - 1)
         return self
 
     @property
     def threshold(self) -> float:
-        return float(np.sqrt(self.square)) if self.square is not None else 0.0
+        if self.square is None:
+            return 0.0
+        return float(np.sqrt(self.square) if self.metric == "euclid" else self.square)
 
     def result(self) -> list[tuple[int, np.ndarray, bool]]:
         """(id, point, filler): the kept points, topped up to k from those removed by the last merge."""
@@ -309,34 +345,45 @@ def traversal_with_counts(b: Block, mult, k: int) -> dict[int, int]:
 
 
 def matching_with_counts(b: Block, mult, k: int) -> dict[int, int]:
-    """Coherent choice of total k: the farthest pair of distinct points with copies left, again and again; the last point's copies pair at distance zero."""
+    """Coherent choice of total k: the farthest pair of distinct points with copies left, again and again; the last point's copies pair at distance zero.
+
+    A pair stays the farthest until one of its points has no copies left, so it is taken as often at once. Memory follows the number of points.
+    """
     left = np.asarray(mult, np.int64).copy()
     chosen: dict[int, int] = {}
+    need = min(k, int(left.sum()))
+    best, partner = np.full(len(b), -1.0), np.full(len(b), -1)
 
-    def use(i: int, n: int = 1) -> None:
+    def use(i: int, n: int) -> None:
         chosen[i] = chosen.get(i, 0) + n
         left[i] -= n
 
-    keys = [b.keys(i) for i in range(len(b))]
-    need = min(k, int(left.sum()))
+    def renew(i: int) -> None:
+        key = np.where(left > 0, b.keys(i), -1.0)
+        key[: i + 1] = -1.0
+        partner[i] = int(np.argmax(key))
+        best[i] = key[partner[i]] if left[i] > 0 else -1.0
+
+    for i in range(len(b)):
+        renew(i)
     while need >= 2:
-        alive = np.flatnonzero(left > 0)
-        if len(alive) == 1:
-            use(int(alive[0]), need)
+        i = int(np.argmax(best))
+        j = int(partner[i])
+        if best[i] < 0:  # one point has all the copies that are left
+            use(int(np.flatnonzero(left > 0)[0]), need)
             need = 0
             break
-        top, pair = -1.0, (0, 0)
-        for i in alive[:-1]:
-            row = np.where(left > 0, keys[i], -1.0)
-            row[: i + 1] = -1.0
-            j = int(np.argmax(row))
-            if row[j] > top:
-                top, pair = float(row[j]), (int(i), j)
-        use(pair[0])
-        use(pair[1])
-        need -= 2
+        n = min(int(left[i]), int(left[j]), need // 2)
+        use(i, n)
+        use(j, n)
+        need -= 2 * n
+        for x in (i, j):
+            if left[x] == 0:
+                best[x] = -1.0
+                for y in np.flatnonzero((left > 0) & (partner == x)):
+                    renew(int(y))
     if need:
-        use(int(np.flatnonzero(left > 0)[0]))
+        use(int(np.flatnonzero(left > 0)[0]), 1)
     return chosen
 
 

@@ -43,9 +43,9 @@ def adversarial(space: PointSpace, k: int, k_prime: int, parts: int, objective:
     return rounds.two_round(space, k, k_prime, parts, objective, "region")
 
 
-def shuffled(space: PointSpace, k: int, k_prime: int, parts: int, objective: str, seed: int = 0) -> DataFrame:
+def shuffled(space: PointSpace, k: int, k_prime: int, parts: int, objective: str, seed: int = 0, mode: str = "keyed") -> DataFrame:
     """Parts by a random hash first."""
-    return rounds.two_round(space, k, k_prime, parts, objective, "hash", seed)
+    return rounds.two_round(space, k, k_prime, parts, objective, mode, seed)
 
 
 def uniform_sample(space: PointSpace, k: int) -> DataFrame:

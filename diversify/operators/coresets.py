@@ -10,6 +10,7 @@ import math
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -48,26 +49,59 @@ def random_cap(k: int, n: int, parts: int, c: float = 2.0) -> int:
     return min(k, math.ceil(c * max(math.log(max(n, 2)), k / parts)))
 
 
-def sketch_splits(space: PointSpace, k: int, m: int, kind: str = "points") -> DataFrame:
-    """(pid, v, mult): a doubling sketch of each input split, without a shuffle; euclid only."""
+def stream_metric(metric: str) -> str:
+    """The sketch's metric: word counts are laid out as rows of the vocabulary and compared by angle."""
+    if metric not in ("euclid", "angular", "sparse"):
+        raise ValueError(f"no sketch for {metric}")
+    return "euclid" if metric == "euclid" else "angular"
+
+
+def _points(column: pa.Array, metric: str, dims: int) -> np.ndarray:
+    """Rows of coordinates; (term, count) lists become rows over ``dims`` terms."""
+    flat = np.asarray(column.flatten(), float)
+    if metric != "sparse":
+        return flat.reshape(len(column), -1)
+    out = np.zeros((len(column), dims))
+    size = np.asarray(pc.list_value_length(column), np.int64) // 2
+    out[np.repeat(np.arange(len(column)), size), flat[::2].astype(np.int64)] = flat[1::2]
+    return out
+
+
+def _listed(points: list[np.ndarray], metric: str) -> pa.Array:
+    """Points as they came: coordinates, or terms and counts in turn."""
+    if metric == "sparse":
+        at = [np.flatnonzero(p) for p in points]
+        return pa.array([np.column_stack((t, p[t])).ravel().tolist() for t, p in zip(at, points, strict=True)], pa.list_(pa.float64()))
+    return pa.array([p.tolist() for p in points], pa.list_(pa.float64()))
+
+
+def sketch_splits(space: PointSpace, k: int, m: int, kind: str = "points", dims: int = 5000) -> DataFrame:
+    """(pid, v, mult): a doubling sketch of each input split, without a shuffle, for euclid, angular and sparse spaces."""
+    metric, own = space.metric, stream_metric(space.metric)
 
     def made(batches):
-        s = kernels.Sketch(k, m, kind)
+        s = kernels.Sketch(k, m, kind, own)
         for batch in batches:
-            b = block_of(batch, "euclid")
-            s.update(b.ids, b.x)
-        rows = [(i, p, 1) for held in s.held for i, p in held] if kind == "delegates" else [(i, p, c) for (i, p, _), c in zip(s.result(), [*s.count, *[1] * len(s.removed)], strict=False)]
+            s.update(batch.column("pid").to_numpy(), _points(batch.column("v"), metric, dims))
+        if kind == "delegates":
+            rows = [(i, p, 1) for held in s.held for i, p in held]
+        else:
+            rows = [(i, p, c) for (i, p, _), c in zip(s.result(), [*s.count, *[1] * len(s.removed)], strict=False)]
         if rows:
-            yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1].tolist() for r in rows], pa.list_(pa.float64())), pa.array([int(r[2]) for r in rows], pa.int64())], ["pid", "v", "mult"])
+            ids, points, mult = zip(*rows, strict=True)
+            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), _listed(points, metric), pa.array([int(c) for c in mult], pa.int64())], ["pid", "v", "mult"])
 
     return space.slim().mapInArrow(made, "pid long, v array<double>, mult long")
 
 
-def sketch_stream(ordered: DataFrame, k: int, m: int, kind: str = "points", part: str = "part_id", order: tuple[str, ...] = ("pid",)) -> DataFrame:
+def sketch_stream(
+    ordered: DataFrame, k: int, m: int, kind: str = "points", part: str = "part_id", order: tuple[str, ...] = ("pid",), metric: str = "euclid", dims: int = 5000
+) -> DataFrame:
     """Batch replay of one stream for each value of ``part``, in the order of ``order``: (part_id, anchor_pid, pid, v, mult, is_filler, threshold, phase, kept, removed).
 
     Rows arrive sorted and are folded batch by batch; a stream never stands in memory.
     """
+    own = stream_metric(metric)
 
     def made(batches):
         held: dict[int, kernels.Sketch] = {}
@@ -77,26 +111,28 @@ def sketch_stream(ordered: DataFrame, k: int, m: int, kind: str = "points", part
             edges = np.concatenate(([0], np.flatnonzero(parts[1:] != parts[:-1]) + 1, [len(parts)])) if len(parts) else np.zeros(1, int)
             for a, b in zip(edges[:-1], edges[1:], strict=True):
                 if now is not None and now != parts[a]:
-                    yield _sketch_rows(now, held.pop(now))
+                    yield _sketch_rows(now, held.pop(now), metric)
                 now = parts[a]
-                piece = batch.slice(int(a), int(b - a))
-                x = np.asarray(piece.column("v").flatten(), float).reshape(int(b - a), -1)
-                held.setdefault(now, kernels.Sketch(k, m, kind)).update(piece.column("pid").to_numpy(), x)
+                s = held.setdefault(now, kernels.Sketch(k, m, kind, own))
+                step = int(b - a) if metric != "sparse" else 1024  # laid out rows are long
+                for first in range(int(a), int(b), step):
+                    piece = batch.slice(first, min(step, int(b) - first))
+                    s.update(piece.column("pid").to_numpy(), _points(piece.column("v"), metric, dims))
         if now is not None:
-            yield _sketch_rows(now, held.pop(now))
+            yield _sketch_rows(now, held.pop(now), metric)
 
     out = "part_id long, anchor_pid long, pid long, v array<double>, mult long, is_filler boolean, threshold double, phase long"
     return ordered.repartition(F.col(part)).sortWithinPartitions(part, *order).mapInArrow(made, out)
 
 
-def _sketch_rows(part: int, s: kernels.Sketch) -> pa.RecordBatch:
+def _sketch_rows(part: int, s: kernels.Sketch, metric: str = "euclid") -> pa.RecordBatch:
     if s.kind == "delegates":
         rows = [(a, i, p, 1, False) for a, held in zip(s.ids, s.held, strict=True) for i, p in held]
     else:
         rows = [(i, i, p, s.count[n] if n < len(s.count) else 1, f) for n, (i, p, f) in enumerate(s.result())]
     cols = list(zip(*rows, strict=True))
     return pa.RecordBatch.from_arrays([
-        pa.array([int(part)] * len(rows), pa.int64()), pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), pa.array([p.tolist() for p in cols[2]], pa.list_(pa.float64())),
+        pa.array([int(part)] * len(rows), pa.int64()), pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), _listed(cols[2], metric),
         pa.array([int(c) for c in cols[3]], pa.int64()), pa.array(cols[4], pa.bool_()), pa.array([s.threshold] * len(rows)), pa.array([s.phase] * len(rows), pa.int64()),
     ], ["part_id", "anchor_pid", "pid", "v", "mult", "is_filler", "threshold", "phase"])
 

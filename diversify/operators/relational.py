@@ -78,11 +78,12 @@ def rest(df: DataFrame, sel: DataFrame, on: str = "pid") -> DataFrame:
 
 
 def k_nearest(points: DataFrame, anchors: DataFrame, m: int, coords: list[str]) -> DataFrame:
-    """(pid, anchor_pid, rank, dist) of each point's m nearest anchors, which are a broadcast selection."""
-    own = anchors.select(F.col("pid").alias("anchor_pid"), *(F.col(c).alias(f"a_{c}") for c in coords))
-    d = SCALAR["euclid"]([F.col(c) for c in coords], [F.col(f"a_{c}") for c in coords])
-    near = points.crossJoin(F.broadcast(own)).groupBy("pid").agg(F.slice(F.array_sort(F.collect_list(F.struct(d.alias("dist"), "anchor_pid"))), 1, m).alias("n"))
-    return near.select("pid", F.posexplode("n").alias("rank", "n")).select("pid", "n.anchor_pid", F.col("rank").cast("long").alias("rank"), "n.dist")
+    """(pid, anchor_pid, rank, dist) of each point's m nearest anchors. The anchors are a bounded selection: one array beside every point, no shuffle of points."""
+    folded = anchors.agg(F.sort_array(F.collect_list(F.struct("pid", *coords))).alias("_anchors"))
+    d = lambda a: SCALAR["euclid"]([F.col(c) for c in coords], [a[c] for c in coords])
+    ranked = F.slice(F.array_sort(F.transform("_anchors", lambda a: F.struct(d(a).alias("dist"), a["pid"].alias("anchor_pid")))), 1, m)
+    near = points.crossJoin(F.broadcast(folded)).select("pid", F.posexplode(ranked).alias("rank", "n"))  # one row
+    return near.select("pid", "n.anchor_pid", F.col("rank").cast("long").alias("rank"), "n.dist")
 
 
 def as_of(left: DataFrame, right: DataFrame, time: str, by: str, value: str) -> DataFrame:

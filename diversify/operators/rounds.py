@@ -9,8 +9,11 @@ from pyspark.sql import functions as F
 
 from diversify.functions import kernels
 from diversify.operators import coresets, solvers
-from diversify.operators.space import PointSpace, block_of, v_of
-from diversify.plans.params import strict
+from diversify.operators.space import PointSpace, block_of, checkpoint, v_of
+from diversify.plans.params import part_count, strict
+
+#: Rows of a part that a task is to hold in ``pick``.
+TASK_ROWS = 1_000_000
 
 
 def core_set(space: PointSpace, k: int, k_prime: int, parts: int, objective: str, mode: str = "mod", seed: int = 0, cap: int | None = None, axes: tuple[str, ...] = ()) -> DataFrame:
@@ -25,15 +28,15 @@ def two_round(space: PointSpace, k: int, k_prime: int, parts: int, objective: st
     return solvers.solve(core_set(space, k, k_prime, parts, objective, mode, seed, None, axes), k, objective, space.metric)
 
 
-def two_round_random(space: PointSpace, k: int, k_prime: int, parts: int, objective: str, n: int, seed: int = 0, mode: str = "hash") -> DataFrame:
-    """As ``two_round`` with random keys, which let an anchor do with fewer delegates."""
-    cap = coresets.random_cap(k, n, parts)
+def two_round_random(space: PointSpace, k: int, k_prime: int, parts: int, objective: str, n: int, seed: int = 0, mode: str = "hash", c: float = 2.0) -> DataFrame:
+    """As ``two_round`` with random keys, which let an anchor do with fewer delegates: c times the larger of log n and its share of k."""
+    cap = coresets.random_cap(k, n, parts, c)
     return solvers.solve(core_set(space, k, k_prime, parts, objective, mode, seed, cap), k, objective, space.metric)
 
 
 def split_round(space: PointSpace, k: int, k_prime: int, objective: str) -> DataFrame:
     """Sketches of the input splits instead of parts: points are not shuffled at all."""
-    return solvers.solve(coresets.sketch_splits(space, k, k_prime, "delegates" if strict(objective) else "points"), k, objective)
+    return solvers.solve(coresets.sketch_splits(space, k, k_prime, "delegates" if strict(objective) else "points"), k, objective, space.metric)
 
 
 def three_round(space: PointSpace, k: int, k_prime: int, parts: int, objective: str, mode: str = "mod") -> DataFrame:
@@ -88,27 +91,32 @@ def with_value(chosen: DataFrame, k: int, objective: str, metric: str = "euclid"
 
 
 def multi_round(space: PointSpace, k: int, k_prime: int, max_rows: int, objective: str, mode: str = "mod") -> DataFrame:
-    """Core-sets of core-sets until at most ``max_rows`` rows are left. Each level is written to the shared checkpoint folder; the driver reads row counts only."""
+    """Core-sets of core-sets until at most ``max_rows`` rows are left, which must be twice a core-set at least, so that each level shrinks.
+
+    A part has about ``max_rows`` rows, so neither a part nor the final union is larger than a task is given. Each level is written to the
+    shared checkpoint folder; the driver reads row counts only. The first level's keys may be unequal parts, later ones are dealt by hash.
+    """
+    kind, size = ("delegates", k_prime * k) if strict(objective) else ("anchors", k_prime)
+    if max_rows < 2 * size:
+        raise ValueError(f"max_rows must be at least {2 * size}, twice the core-set of a part")
     rows, level = space.slim(), 0
     n = rows.count()
     while n > max_rows:
         parts = -(-n // max_rows)
-        key = F.pmod(F.col("pid"), F.lit(parts)) if mode == "mod" else F.pmod(F.xxhash64("pid", F.lit(level)), F.lit(parts))
-        found = coresets.build(rows.withColumn("part_id", key.cast("long")), k_prime, "delegates" if strict(objective) else "anchors", k, space.metric).select("pid", "v")
-        if found.sparkSession.sparkContext._jsc.sc().getCheckpointDir().isDefined():
-            found = found.checkpoint()
-        left = found.count()
-        if left * 2 > n:
-            break  # the bound on rows is too small for this kernel size: the theory asks for more
-        rows, n, level = found, left, level + 1
+        key = F.pmod(F.col("pid"), F.lit(parts)) if mode == "mod" and level == 0 else F.pmod(F.xxhash64("pid", F.lit(level)), F.lit(parts))
+        rows = checkpoint(coresets.build(rows.withColumn("part_id", key.cast("long")), k_prime, kind, k, space.metric).select("pid", "v"))
+        left, level = rows.count(), level + 1
+        if left >= n and level > 1:
+            raise RuntimeError(f"{n} rows do not shrink: ids repeat in too few parts")
+        n = left
     return solvers.solve(rows, k, objective, space.metric)
 
 
-def one_pass(ordered: DataFrame, k: int, k_prime: int, objective: str, order: tuple[str, ...] = ("pid",)) -> DataFrame:
+def one_pass(ordered: DataFrame, k: int, k_prime: int, objective: str, order: tuple[str, ...] = ("pid",), metric: str = "euclid", dims: int = 5000) -> DataFrame:
     """One pass over (pid, v and order columns) as one stream: the sketch, with delegates where needed, then the solver."""
     stream = ordered.withColumn("part_id", F.lit(0).cast("long"))
-    sketch = coresets.sketch_stream(stream, k, k_prime, "delegates" if strict(objective) else "points", order=order)
-    return solvers.solve(sketch, k, objective)
+    sketch = coresets.sketch_stream(stream, k, k_prime, "delegates" if strict(objective) else "points", order=order, metric=metric, dims=dims)
+    return solvers.solve(sketch, k, objective, metric)
 
 
 def two_pass(ordered: DataFrame, k: int, k_prime: int, objective: str, order: tuple[str, ...] = ("pid",)) -> DataFrame:
@@ -161,22 +169,35 @@ def two_pass(ordered: DataFrame, k: int, k_prime: int, objective: str, order: tu
     return with_value(done, k, objective)
 
 
-def pick(df: DataFrame, id_col: str, coords: tuple[str, ...], k: int, objective: str = "edge", method: str = "auto", k_prime: int | None = None, parts: int | None = None, metric: str = "euclid", mode: str = "mod") -> DataFrame:
-    """A diverse choice of k rows: (pid, pick_rank, v, value). 'auto' takes two rounds, or three where delegates would be many."""
+def pick(
+    df: DataFrame, id_col: str, coords: tuple[str, ...], k: int, objective: str = "edge", method: str = "auto", k_prime: int | None = None, parts: int | None = None,
+    metric: str = "euclid", mode: str = "mod",
+) -> DataFrame:
+    """A diverse choice of k rows: (pid, pick_rank, v, value).
+
+    Parts follow from the number of rows, so that neither a part nor the union of the core-sets exceeds what a task holds. 'auto' takes two
+    rounds, three where delegates would be many, and several where no number of parts keeps both bounds.
+    """
     space = PointSpace(df.withColumnRenamed(id_col, "pid"), coords, metric).valid()
-    k_prime, parts = k_prime or 2 * k, parts or 8
-    if method == "auto":
-        method = "three" if strict(objective) and k >= 16 else "two"
+    k_prime = k_prime or 2 * k
     if method == "sequential":
         return solvers.solve(space.slim(), k, objective, metric)
-    if method == "three":
-        return three_round(space, k, k_prime, parts, objective, mode)
     if method == "splits":
         return split_round(space, k, k_prime, objective)
-    if method == "multi":
-        return multi_round(space, k, k_prime, max(10_000, 4 * k_prime * (k if strict(objective) else 1)), objective, mode)
     if method == "stream":
-        return one_pass(space.slim(), k, k_prime, objective)
+        return one_pass(space.slim(), k, k_prime, objective, metric=metric)
+    size = k_prime * (k if strict(objective) else 1)
+    if method == "multi":
+        return multi_round(space, k, k_prime, max(TASK_ROWS, 2 * size), objective, mode)
+    if parts is None:
+        n = space.df.count()
+        if method == "auto" and strict(objective) and k >= 16:
+            method, size = "three", k_prime
+        parts = part_count(n, size, TASK_ROWS)
+        if method == "auto" and parts * size > 4 * TASK_ROWS:
+            return multi_round(space, k, k_prime, max(TASK_ROWS, 2 * size), objective, mode)
+    if method == "three" or method == "auto" and strict(objective) and k >= 16:
+        return three_round(space, k, k_prime, parts, objective, mode)
     return two_round(space, k, k_prime, parts, objective, mode)
 
 

@@ -6,8 +6,9 @@ from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType
 
 from diversify.functions.kernels import Block
 
@@ -49,25 +50,50 @@ class PointSpace:
         return replace(self, df=self.df.where(ok))
 
     def with_parts(self, parts: int, mode: str = "mod", seed: int = 0, axes: tuple[str, ...] = ()) -> DataFrame:
-        """``slim`` with part_id: by remainder of the id, by its hash, or by region (equal runs in the order of ``axes``, the adversary's parts)."""
+        """``slim`` with part_id: by remainder of the id, by its hash ('keyed': by its MD5, which other engines have too), or by region (equal runs in the order of ``axes``, the adversary's parts)."""
         if mode == "mod":
             part = F.pmod(F.col("pid"), F.lit(parts))
         elif mode == "hash":
             part = F.pmod(F.xxhash64("pid", F.lit(seed)), F.lit(parts))
+        elif mode == "keyed":
+            part = F.conv(F.substring(F.md5(F.concat_ws(":", F.col("pid").cast("string"), F.lit(str(seed)))), 1, 8), 16, 10).cast("long") % parts
         else:
             return region_parts(self.df, parts, axes or self.coords).select(F.col("pid").cast("long").alias("pid"), F.array(*(F.col(c).cast("double") for c in self.coords)).alias("v"), "part_id")
         return self.slim().withColumn("part_id", part.cast("long"))
 
 
+def checkpoint(df: DataFrame) -> DataFrame:
+    """``df`` computed once and written to the shared checkpoint folder of the session, so a lost executor costs a read, not the lineage."""
+    context = df.sparkSession.sparkContext
+    if not context._jsc.sc().getCheckpointDir().isDefined():
+        # Unset only in local runs and tests, where the warehouse is a folder that driver and executors share.
+        folder = df.sparkSession.conf.get("spark.checkpoint.dir", None) or f"{df.sparkSession.conf.get('spark.sql.warehouse.dir')}/_checkpoints"
+        context.setCheckpointDir(folder)
+    return df.checkpoint()
+
+
+#: Rows of the sample from which ``ranked`` takes a bound, for each bound.
+BOUND_SAMPLE = 64
+
+
 def ranked(df: DataFrame, axes: tuple[str, ...]) -> DataFrame:
     """``df`` with _at, the row's place in the order of ``axes`` and pid, and _n, the number of rows.
 
-    The order is a range shuffle and a place is an offset of its partition: nothing is sorted in one task.
+    The order is cut at bounds that a sample gives (those rows whose hashes are least, so it is the same in every run); a row's bucket follows
+    from its own values and the bounds, whatever the partitioning, and its place from the buckets' sizes: nothing is sorted in one task.
     """
-    ordered = df.repartitionByRange(max(8, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))), *axes, "pid").withColumn("_p", F.spark_partition_id())
-    local = ordered.selectExpr("*", f"row_number() OVER (PARTITION BY _p ORDER BY {', '.join(dict.fromkeys((*axes, 'pid')))}) AS _r")
-    sizes = ordered.groupBy("_p").count().selectExpr("_p", "sum(count) OVER (ORDER BY _p) - count AS _before", "sum(count) OVER () AS _n")
-    return local.join(F.broadcast(sizes), "_p").withColumn("_at", F.col("_before") + F.col("_r") - 1).drop("_p", "_r", "_before")  # a row for each partition
+    names = list(dict.fromkeys((*axes, "pid")))
+    buckets = max(8, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    some = df.select(*names).orderBy(F.xxhash64(*names), *names).limit(BOUND_SAMPLE * buckets).select(F.struct(*names).alias("b"))
+    bounds = [r.b for r in some.orderBy("b").collect()][BOUND_SAMPLE - 1 :: BOUND_SAMPLE]
+    kind = df.select(F.struct(*names).alias("b")).schema["b"].dataType
+    cuts = F.array(*(F.struct(*(F.lit(v).cast(f.dataType).alias(f.name) for v, f in zip(b, kind.fields, strict=True))) for b in bounds)).cast(ArrayType(kind))
+    own = F.struct(*names)
+    bucketed = df.withColumn("_p", F.size(F.filter(cuts, lambda b: b < own)))
+    local = bucketed.withColumn("_r", F.row_number().over(Window.partitionBy("_p").orderBy(*names)))
+    every = Window.partitionBy(F.lit(0))  # a row for each bucket
+    sizes = bucketed.groupBy("_p").count().select("_p", (F.sum("count").over(every.orderBy("_p")) - F.col("count")).alias("_before"), F.sum("count").over(every).alias("_n"))
+    return local.join(F.broadcast(sizes), "_p").withColumn("_at", F.col("_before") + F.col("_r") - 1).drop("_p", "_r", "_before")
 
 
 def region_parts(df: DataFrame, parts: int, axes: tuple[str, ...]) -> DataFrame:

@@ -60,5 +60,10 @@ def plan(method: str, objective: str, n: int, k: int, eps: float = 1.0, dim: flo
     return PlanSpec(method, objective, alpha, inner, k_prime, parts, cap, local)
 
 
+def part_count(n: int, size: int, task_rows: int) -> int:
+    """Parts of n rows with core-sets of ``size`` rows: as many as balance the largest part with the union of the core-sets, but none of more than ``task_rows``."""
+    return max(8, math.ceil(n / task_rows), min(math.ceil(math.sqrt(n / max(size, 1))), task_rows // max(size, 1)))
+
+
 def table(n: int, k: int, eps: float = 1.0, dim: float = 3.0) -> list[dict]:
     return [asdict(p) for m in METHODS for o in REGISTRY if (p := plan(m, o, n, k, eps, dim))]

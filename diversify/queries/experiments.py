@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from diversify.operators import baselines, coresets, measures, quality, relational, rounds, solvers
 from diversify.operators.space import PointSpace
 from diversify.queries import sqltext as q
-from diversify.queries.methods import K, OBJECTIVES, solution
+from diversify.queries.methods import K, OBJECTIVES, WORDS, local_search_sql, solution
 from diversify.queries.sqltext import LATTICE, PARTS, SUPPLIERS, XY, XYZ
 from diversify.sources import tables
 
@@ -102,6 +104,62 @@ def stream_r3(spark, d) -> DataFrame:
 add("exp_stream_r3", stream_r3)
 
 
+# The generated cloud, where 128 points lie far out: ten clouds of CLOUD points each, a run on each for every size.
+CLOUD, FAR, SEEDS = 12_000, 128, 10
+
+
+def clouds(spark) -> DataFrame:
+    """(seed, pid, v): ids differ between the clouds, so that they can be run side by side."""
+    one = [tables.ball_sphere(spark, CLOUD, FAR, seed, 1).withColumn("seed", F.lit(seed).cast("long")).withColumn("pid", F.col("pid") + seed * CLOUD) for seed in range(SEEDS)]
+    return measures.union_all(one).select("seed", "pid", F.array("x", "y", "z").alias("v"))
+
+
+def by_seed(core: DataFrame) -> DataFrame:
+    """(seed, value) of the solver on each seed's core-set."""
+    return solvers.solve(core.select("seed", "pid", "v"), FAR, "edge", by="seed").groupBy("seed").agg(F.max("value").alias("value"))
+
+
+def ratios(runs: list[DataFrame], by: list[str]) -> DataFrame:
+    """Mean, best and worst ratio of the best value of a cloud to those of the runs on it."""
+    every = measures.union_all(runs)
+    best = every.groupBy("seed").agg(F.max("value").alias("reference"))
+    each = every.join(F.broadcast(best), "seed").withColumn("r", F.col("reference") / F.col("value"))  # SEEDS rows
+    return each.groupBy(*by).agg(F.round(F.avg("r"), 6).alias("mean_ratio"), F.round(F.min("r"), 6).alias("best_ratio"), F.round(F.max("r"), 6).alias("worst_ratio"), F.count("*").alias("runs"))
+
+
+def labelled(df: DataFrame, **labels: int | str) -> DataFrame:
+    return df.withColumns({n: F.lit(v).cast("long") if isinstance(v, int) else F.lit(v) for n, v in labels.items()})
+
+
+def stream_cloud(spark, d) -> DataFrame:
+    """One pass over each cloud, k' linear in k."""
+    rows = clouds(spark)
+    runs = [labelled(by_seed(coresets.sketch_stream(rows, FAR, kp, part="seed").withColumnRenamed("part_id", "seed")), k_prime=kp) for kp in (128, 192, 256, 320)]
+    return ratios(runs, ["k_prime"])
+
+
+def parted_cloud(spark, parts: int, kp: int, layout: str = "random") -> DataFrame:
+    """Two rounds over each cloud; regions are sectors around an axis, so no part sees the whole."""
+    rows = clouds(spark)
+    turn = (F.atan2(F.col("v")[1], F.col("v")[0]) + F.lit(math.pi)) / F.lit(2 * math.pi)
+    part = F.pmod(F.xxhash64("pid"), F.lit(parts)) if layout == "random" else F.least(F.floor(turn * parts), F.lit(parts - 1))
+    core = coresets.build(rows.withColumn("part_id", F.col("seed") * parts + part.cast("long")), kp)
+    return by_seed(core.withColumn("seed", F.floor(F.col("part_id") / parts)))
+
+
+def parallel_cloud(spark, d) -> DataFrame:
+    return ratios([labelled(parted_cloud(spark, p, kp), k_prime=kp, parts=p) for kp in (128, 256, 512) for p in (2, 8)], ["k_prime", "parts"])
+
+
+def adversarial_cloud(spark, d) -> DataFrame:
+    return ratios([labelled(parted_cloud(spark, 4, kp, layout), layout=layout, k_prime=kp) for layout in ("random", "region") for kp in (128, 256)], ["layout", "k_prime"])
+
+
+add("exp_stream_cloud", stream_cloud)
+add("exp_mr_cloud", parallel_cloud)
+add("exp_adversarial_cloud", adversarial_cloud)
+
+
 def texts(spark, d) -> PointSpace:
     return tables.word_vectors(tables.read(spark, d, "documents"))
 
@@ -112,16 +170,21 @@ def parallel_text(spark, d) -> DataFrame:
     return with_ratio(measures.union_all([run_value(rounds.two_round(s, 8, kp, parts, "edge"), k_prime=kp, parts=parts) for kp in (8, 16) for parts in (2, 4)]))
 
 
-add("exp_mr_text", parallel_text)
+_TEXT = [(kp, p) for kp in (8, 16) for p in (2, 4)]
+_TEXT_ROWS = " UNION ALL ".join(f"SELECT {kp}::BIGINT AS k_prime, {p}::BIGINT AS parts, round(value, 6) AS value FROM t{kp}_{p}_v" for kp, p in _TEXT)
+add("exp_mr_text", parallel_text, q.query(
+    [*q.angle_keys(WORDS), *(c for kp, p in _TEXT for c in q.two_round_by_keys(f"t{kp}_{p}", 8, kp, p)), q.cte("g", _TEXT_ROWS)],
+    "SELECT *, max(value) OVER () AS reference, round(max(value) OVER () / value, 6) AS ratio FROM g"))
 
 
-def blocked_text(spark, d) -> DataFrame:
-    """The stream's workload on text: blocks in the order of ids, k' geometric. The sketch itself is for coordinates; angles go through blocks."""
-    s = texts(spark, d)
-    return with_ratio(measures.union_all([run_value(rounds.two_round(s, k, k * f, 4, "edge"), k=k, k_prime=k * f) for k in (8, 16) for f in (1, 2, 4)]), "k")
+def stream_text(spark, d) -> DataFrame:
+    """One pass over word vectors by angle in the order of ids, k' geometric in k."""
+    rows = texts(spark, d).slim()
+    runs = [run_value(rounds.one_pass(rows, k, k * f, "edge", metric="sparse"), k=k, k_prime=k * f) for k in (8, 16) for f in (1, 2, 4)]
+    return with_ratio(measures.union_all(runs), "k")
 
 
-add("exp_stream_text", blocked_text)
+add("exp_stream_text", stream_text)
 
 
 def compared(spark, d) -> DataFrame:
@@ -138,7 +201,16 @@ def compared(spark, d) -> DataFrame:
     return with_ratio(measures.union_all(out), "k")
 
 
-add("exp_baselines", compared)
+_BLOCK = lambda k: f"SELECT *, floor((row_number() OVER (ORDER BY pid) - 1) / ceil(sqrt({k} * count(*) OVER ())))::BIGINT AS blk FROM ({SUPPLIERS})"
+_COMPARED = [
+    (f"{m}{k}_v", ctes, f"'{label}' AS method, {k}::BIGINT AS k") for k in (4, 6, 8) for m, label, ctes in (
+        ("sq", "sequential", [q.parted(f"sq{k}_p", SUPPLIERS, 1), *q.solved(f"sq{k}", "clique", f"sq{k}_p", k)]),
+        ("bl", "blocked", [q.cte(f"bl{k}_p", f"SELECT *, blk AS part_id FROM ({_BLOCK(k)})"), q.farthest(f"bl{k}_f", f"bl{k}_p", k), q.chosen(f"bl{k}_u", f"bl{k}_f"), *q.solved(f"bl{k}", "clique", f"bl{k}_u", k)]),
+        ("kk", "kprime_k", q.two_round(f"kk{k}", "clique", SUPPLIERS, k, k, 2)), ("ls", "local_search", local_search_sql(f"ls{k}", k, 2)),
+        ("tw", "two_round", q.two_round(f"tw{k}", "clique", SUPPLIERS, k, 2 * k, 2)), ("th", "three_round", q.three_round(f"th{k}", "clique", SUPPLIERS, k, 2 * k, 2)),
+    )
+]
+add("exp_baselines", compared, grid_sql(_COMPARED, "k"))
 
 
 # Uses.
@@ -155,7 +227,11 @@ def search(spark, d) -> DataFrame:
     return solution(solvers.solve(PointSpace(vectors, ("v",), "sparse").slim(), 10, "edge", "sparse"), "edge")
 
 
-add("app_search", search)
+add("app_search", search, q.query([
+    *q.angle_keys(WORDS), q.cte("wanted", "SELECT term, count(*) AS weight FROM (SELECT unnest(regexp_extract_all(lower(coalesce(text, '')), '[a-z]+')) AS word FROM benchmark) JOIN vocab USING (word) GROUP BY term"),
+    q.cte("top", "SELECT pid, sum(cnt * weight) AS score FROM wc JOIN wanted USING (term) WHERE pid IN (SELECT doc_id FROM labels WHERE quality = 1) GROUP BY pid ORDER BY score DESC, pid LIMIT 200"),
+    q.cte("pts", "SELECT 0 AS part_id, pid FROM top JOIN vec USING (pid)"), q.farthest_by_keys("ff", "pts", 10), q.cte("sel", f"SELECT pid FROM ({q.last('ff')}) WHERE picked"), q.edge_by_keys("sel_v", "sel"),
+], q.solution("sel", "sel_v", "edge")))
 add("app_products", lambda spark, d: solution(rounds.two_round(PointSpace(tables.parts(spark, d).df.where("y BETWEEN 200 AND 1500"), XY), 10, 16, 4, "edge"), "edge"), q.query(q.two_round("r", "edge", f"SELECT * FROM ({PARTS}) WHERE y BETWEEN 200 AND 1500", 10, 16, 4), q.solution("r", "r_v", "edge")))
 
 

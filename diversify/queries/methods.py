@@ -170,8 +170,8 @@ def _stream(spark, d) -> DataFrame:
 add("doubling_sketch", lambda spark, d: coresets.sketch_stream(_stream(spark, d), 1, 8).select("pid", "is_filler", F.round("threshold", 6).alias("threshold")), q.query(q.sketch("sk", PARTS, 8), "SELECT unnest(list_transform(kept, lambda e: e.pid)) AS pid, false AS is_filler, round(sqrt(q::DOUBLE), 6) AS threshold FROM sk"))
 add("doubling_filler", lambda spark, d: coresets.sketch_stream(_stream(spark, d), 8, 8).select("pid", "is_filler", F.round("threshold", 6).alias("threshold")), q.query(q.sketch("sk", PARTS, 8, 8), "SELECT unnest(list_transform(kept, lambda e: e.pid)) AS pid, false AS is_filler, round(sqrt(q::DOUBLE), 6) AS threshold FROM sk UNION ALL SELECT unnest(list_transform(gone[:greatest(8 - len(kept), 0)], lambda e: e.pid)), true, round(sqrt(q::DOUBLE), 6) FROM sk"))
 add("doubling_phases", lambda spark, d: coresets.phase_log(_stream(spark, d), 1, 8).select("phase", F.round("threshold", 6).alias("threshold"), "kept", "removed"), q.query(q.sketch("sk", PARTS, 8), "SELECT phase - (len(kept) = was_kept)::BIGINT AS phase, round(sqrt((CASE WHEN len(kept) = was_kept THEN q / 4 ELSE q END)::DOUBLE), 6) AS threshold, len(kept)::BIGINT AS kept, was_kept - len(kept) AS removed FROM sk_s WHERE was_kept IS NOT NULL"))
-add("doubling_delegates", lambda spark, d: coresets.sketch_stream(_stream(spark, d), 4, 8, "delegates").select("anchor_pid", "pid"))
-add("doubling_counts", lambda spark, d: coresets.sketch_stream(_stream(spark, d), 20, 20, "counts").select("part_id", "pid", "mult"))
+add("doubling_delegates", lambda spark, d: coresets.sketch_stream(_stream(spark, d), 4, 8, "delegates").select("anchor_pid", "pid"), q.query(q.sketch_with_hosts("sk", PARTS, 8, 4), "SELECT anchor AS anchor_pid, pid FROM sk_h"))
+add("doubling_counts", lambda spark, d: coresets.sketch_stream(_stream(spark, d), 20, 20, "counts").select("part_id", "pid", "mult"), q.query(q.sketch_with_hosts("sk", PARTS, 20, 20), "SELECT 0::BIGINT AS part_id, anchor AS pid, count(*) AS mult FROM sk_h GROUP BY anchor"))
 add("sketch_partitions", lambda spark, d: coresets.sketch_splits(tables.lattice(spark, d), K, M).select("pid", "mult"))
 
 # Solvers on a core-set of four parts, with and without counts; optima of each nation's suppliers.
@@ -190,26 +190,58 @@ three AS (SELECT x.grp, x.d AS ab, y.d AS ac, z.d AS bc FROM e x JOIN e y ON y.i
 two AS (SELECT grp, {_small} AS v FROM (SELECT grp, max(d) AS ab, count(*) AS n FROM e GROUP BY grp) WHERE n = 1), one AS (SELECT grp, 0.0::DOUBLE AS v FROM p GROUP BY grp HAVING count(*) = 1)
 SELECT grp, round(max(v), 6) AS value FROM (SELECT grp, {_e} AS v FROM three UNION ALL SELECT * FROM two UNION ALL SELECT * FROM one) GROUP BY grp"""
 for _o in ("tree", "clique", "star", "bipartition"):
-    add(f"solve_mult_{SHORT.get(_o, _o)}", lambda spark, d, o=_o: solvers.solve_with_counts(_built(spark, d, "counts", 3, 4, 1), 8, o).select("pid", "mult", F.round("value", 6).alias("value")))
-add("local_search", lambda spark, d: solution(solvers.solve(_built(spark, d, "anchors"), 6, "clique", how="search"), "clique"))
+    add(f"solve_mult_{SHORT.get(_o, _o)}", lambda spark, d, o=_o: solvers.solve_with_counts(_built(spark, d, "counts", 3, 4, 1), 8, o).select("pid", "mult", F.round("value", 6).alias("value")), q.query(
+        [q.parted("pts", PARTS, 1), q.farthest("ff", "pts", 3), q.counted("n", "ff", 4), *q.solved_counts("s", _o, "n", 8)], "SELECT pid, take AS mult, round(value, 6) AS value FROM s, s_v"))
+add("local_search", lambda spark, d: solution(solvers.solve(_built(spark, d, "anchors"), 6, "clique", how="search"), "clique"), q.query([*UNION, *q.searched("s", "u", 6)], q.solution("s", "s_v", "clique")))
 add("solver_table", lambda spark, d: spark.createDataFrame([(o, f, s, a) for o, (f, s, a) in params.REGISTRY.items()], "objective string, family string, solver string, alpha long"), "SELECT * FROM (VALUES ('edge', 'loose', 'traversal', 2::BIGINT), ('cycle', 'loose', 'traversal', 3), ('clique', 'strict', 'matching', 2), ('star', 'strict', 'matching', 2), ('bipartition', 'strict', 'matching', 3), ('tree', 'strict', 'traversal', 4)) t(objective, family, solver, alpha)")
 
-# Methods.
+# Methods. With random keys and 16 points to choose, ln n delegates an anchor do, fewer than 16.
+KEYED = f"('0x' || substr(md5(pid || ':0'), 1, 8))::BIGINT % {L}"
+RANDOM_CAP = f"(SELECT least(16, ceil(greatest(ln(count(*)), 16 / {L})))::BIGINT FROM ({PARTS}))"
+
+
+def random_rounds(space, objective: str) -> DataFrame:
+    return rounds.two_round_random(space, 16, 16, L, objective, space.df.count(), mode="keyed", c=1.0)
+
+
 for _o in OBJECTIVES:
     _n = SHORT.get(_o, _o)
     _space, _source, _coords = (tables.lattice, LATTICE, XYZ) if _o in ("edge", "cycle") else (tables.parts, PARTS, XY)
     add(f"mr2_{_n}", lambda spark, d, o=_o, s=_space: solution(rounds.two_round(s(spark, d), K, M if o in ("edge", "cycle") else 8, L, o), o), q.query(q.two_round("r", _o, _source, K, M if _o in ("edge", "cycle") else 8, L, _coords), q.solution("r", "r_v", _o)))
     add(f"stream1_{_n}", lambda spark, d, o=_o: solution(rounds.one_pass(tables.events(spark, d).slim("ts"), K, M, o, ("ts", "pid")), o))
     if params.strict(_o):
-        add(f"mr2r_{_n}", lambda spark, d, o=_o: solution(rounds.two_round_random(tables.parts(spark, d), K, 8, L, o, 1 << 30), o))
-        add(f"mr3_{_n}", lambda spark, d, o=_o: solution(rounds.three_round(tables.parts(spark, d), K, 8, L, o), o))
+        SQL[f"stream1_{_n}"] = q.query([*q.sketch_with_hosts("sk", q.EVENTS, M, K, "ts, pid"), q.cte("u", "SELECT 0 AS part_id, pid, x, y FROM sk_h"), *q.solved("s", _o, "u", K)], q.solution("s", "s_v", _o))
+        add(f"mr2r_{_n}", lambda spark, d, o=_o: solution(random_rounds(tables.parts(spark, d), o), o), q.query(q.two_round("r", _o, PARTS, 16, 16, L, XY, KEYED, RANDOM_CAP), q.solution("r", "r_v", _o)))
+        add(f"mr3_{_n}", lambda spark, d, o=_o: solution(rounds.three_round(tables.parts(spark, d), K, 8, L, o), o), q.query(q.three_round("r", _o, PARTS, K, 8, L), q.solution("r", "r_v", _o)))
         add(f"stream2_{_n}", lambda spark, d, o=_o: solution(rounds.two_pass(tables.events(spark, d).slim("ts"), K, M, o, ("ts", "pid")), o))
 for _o in ("edge", "cycle"):
     SQL[f"stream1_{_o}"] = q.query([*q.sketch("sk", q.EVENTS, M, K, "ts, pid"), q.cte("u", f"SELECT 0 AS part_id, e.pid, e.x, e.y FROM (SELECT unnest(list_concat(kept, gone[:greatest({K} - len(kept), 0)])) AS e FROM sk)"), *q.solved("s", _o, "u", K)], q.solution("s", "s_v", _o))
 add("mr_splits_edge", lambda spark, d: solution(rounds.split_round(tables.lattice(spark, d), K, M, "edge"), "edge"))
-add("mr_multi_edge", lambda spark, d: solution(rounds.multi_round(tables.lattice(spark, d), K, M, 600, "edge"), "edge"))
-add("mr_multi_clique", lambda spark, d: solution(rounds.multi_round(tables.parts(spark, d), 4, 8, 800, "clique"), "clique"))
-add("plan_table", lambda spark, d: spark.createDataFrame([tuple(r.values()) for r in params.table(10**9, 16)], "method string, objective string, alpha long, eps_inner double, k_prime double, parts long, cap long, local_rows double"))
+
+# Levels of core-sets: at these sizes the first level's union fits, and a table that fits has no level at all.
+_LEVEL = lambda source, rows: f"pid % (SELECT greatest(1, ceil(count(*) / {rows}.0))::BIGINT FROM ({source}))"
+add("mr_multi_edge", lambda spark, d: solution(rounds.multi_round(tables.lattice(spark, d), K, M, 600, "edge"), "edge"), q.query(q.two_round("r", "edge", LATTICE, K, M, 1, XYZ, _LEVEL(LATTICE, 600)), q.solution("r", "r_v", "edge")))
+add("mr_multi_clique", lambda spark, d: solution(rounds.multi_round(tables.parts(spark, d), 4, 8, 800, "clique"), "clique"), q.query(
+    [q.cte("pts", f"SELECT *, {_LEVEL(PARTS, 800)} AS part_id FROM ({PARTS})"), q.farthest("ff", "pts", 8), q.with_delegates("dl", "ff", 4),
+     q.cte("u", "SELECT 0 AS part_id, pid, x, y FROM dl WHERE (SELECT count(*) FROM pts) > 800 UNION ALL SELECT 0, pid, x, y FROM pts WHERE (SELECT count(*) FROM pts) <= 800"), *q.solved("s", "clique", "u", 4)],
+    q.solution("s", "s_v", "clique")))
+_PLAN = "method string, objective string, alpha long, eps_inner double, k_prime double, parts long, cap long, local_rows double"
+add("plan_table", lambda spark, d: spark.createDataFrame([tuple(r.values()) for r in params.table(10**9, 16)], _PLAN).withColumns({c: F.round(c, 3) for c in ("eps_inner", "k_prime", "local_rows")}), """
+WITH objectives AS (SELECT * FROM (VALUES ('edge', false, 2::BIGINT), ('cycle', false, 3), ('clique', true, 2), ('star', true, 2), ('bipartition', true, 3), ('tree', true, 4)) t(objective, strict, alpha)),
+methods AS (SELECT * FROM (VALUES ('stream1', 32, 64, false), ('stream2', NULL, 64, true), ('mr2', 8, 16, false), ('mr2r', 8, 16, false), ('mr3', NULL, 16, true), ('multi', 8, 16, false)) t(method, loose, tight, scaled)),
+sizes AS (
+    SELECT *, (CASE WHEN strict THEN tight ELSE loose END * CASE WHEN scaled THEN alpha ELSE 1 END / inner_) ** 3 * 16 AS kp, 1e9::DOUBLE AS n, CASE WHEN strict AND method IN ('mr2', 'multi', 'stream1') THEN 16 ELSE 1 END AS c0
+    FROM (SELECT *, CASE method WHEN 'stream1' THEN 0.5::DOUBLE WHEN 'mr2' THEN 1 - 1 / (1 + 1.0::DOUBLE / alpha) WHEN 'mr2r' THEN 1 - 1 / (1 + 1.0::DOUBLE / alpha) WHEN 'multi' THEN 1 - 1 / (1 + 1.0::DOUBLE / (alpha * 3)) ELSE 1.0::DOUBLE / (alpha + 1) END AS inner_ FROM methods, objectives)
+    WHERE strict OR loose IS NOT NULL
+),
+dealt AS (
+    SELECT *, CASE WHEN starts_with(method, 'stream') THEN 1 WHEN method = 'mr2r' THEN greatest(1, floor(least(sqrt(n / (kp * ln(n))), n / (16 * kp)))) WHEN method = 'multi' THEN greatest(1, ceil(n / greatest(n ** (1 / 3.0::DOUBLE) * kp, 1)))
+        ELSE greatest(1, floor(sqrt(n / (kp * CASE WHEN method = 'mr2' AND strict THEN 16 ELSE 1 END)))) END::BIGINT AS l FROM sizes
+),
+capped AS (SELECT *, CASE WHEN method = 'mr2r' AND strict THEN ceil(greatest(ln(n), 16.0 / l))::BIGINT ELSE c0::BIGINT END AS c FROM dealt)
+SELECT method, objective, alpha, round(inner_, 3) AS eps_inner, round(kp, 3) AS k_prime, l AS parts, c AS cap,
+       round(CASE WHEN starts_with(method, 'stream') THEN kp * c ELSE greatest(n / l, l * least(kp, n / l) * c) END, 3) AS local_rows
+FROM capped""")
 
 # Certificates.
 add("cert_loose", lambda spark, d: quality.loose_certificate(tables.parts(spark, d).df, scalars(_built(spark, d, "anchors"), XY), list(XY), measures.remote_edge(scalars(solvers.solve(_built(spark, d, "anchors"), 4, "edge"), XY), list(XY))), q.query(
@@ -242,7 +274,11 @@ def instantiation_gap(spark, d) -> DataFrame:
     return measures.union_all(out)
 
 
-add("inst_gap", instantiation_gap)
+_STRICT = ("clique", "star", "tree", "bipartition")
+add("inst_gap", instantiation_gap, q.query(
+    [c for o in _STRICT for c in q.three_round(o, o, PARTS, K, 8, 1)],
+    " UNION ALL ".join(f"SELECT '{o}' AS objective, round(g.value, 6) AS generalized, round(v.value, 6) AS value, round(b, 6) AS bound, v.value >= g.value - b AS holds FROM {o}_g_v g, {o}_v v, "
+        f"(SELECT 2 * sqrt(max(near)::DOUBLE) * {measures.term_count(o, K)} AS b FROM ({q.last(f'{o}_ff')}))" for o in _STRICT)))
 add("dim_estimate", lambda spark, d: quality.doubling_estimate(coresets.build(tables.lattice(spark, d).with_parts(1), M)), q.query(_LATTICE_TRACE, "SELECT round(regr_slope(ln(step + 1), -ln(r)), 6) AS dimension, count(*) AS steps FROM (SELECT step, sqrt(max(near)::DOUBLE) AS r FROM ff GROUP BY step) WHERE r > 0"))
 for _name, _parts in (("beta_exact", 1), ("beta_composable", 3)):
     add(_name, lambda spark, d, p=_parts: quality.beta(tables.suppliers(spark, d), coresets.build(tables.suppliers(spark, d).with_parts(p), 6), 3, "edge"), q.query(
@@ -264,6 +300,14 @@ GRID = [(2, 8), (4, 16), (8, 16), (16, 32)]
 add("base_reference", lambda spark, d: baselines.best_known(tables.lattice(spark, d), K, "edge", GRID), q.query([c for p, m in GRID for c in q.two_round(f"r{p}", "edge", LATTICE, K, m, p, XYZ)], " UNION ALL ".join(f"SELECT {p}::BIGINT AS parts, {m}::BIGINT AS k_prime, round(value, 6) AS value FROM r{p}_v" for p, m in GRID)))
 add("base_single_stream", lambda spark, d: solution(baselines.single_stream(tables.lattice(spark, d), K, 2048), "edge"))
 add("base_adversarial", lambda spark, d: solution(baselines.adversarial(tables.lattice(spark, d), K, M, L, "edge"), "edge"), q.query(q.two_round("r", "edge", LATTICE, K, M, L, XYZ, f"ntile({L}) OVER (ORDER BY x, y, z, pid)"), q.solution("r", "r_v", "edge")))
-add("base_shuffled", lambda spark, d: solution(baselines.shuffled(tables.lattice(spark, d), K, M, L, "edge"), "edge"))
+add("base_shuffled", lambda spark, d: solution(baselines.shuffled(tables.lattice(spark, d), K, M, L, "edge"), "edge"), q.query(q.two_round("r", "edge", LATTICE, K, M, L, XYZ, KEYED), q.solution("r", "r_v", "edge")))
 add("base_random", lambda spark, d: baselines.uniform_sample(tables.parts(spark, d), K), f"SELECT p_partkey AS pid FROM part ORDER BY (p_partkey * 2654435761) % 1000003, p_partkey LIMIT {K}")
-add("base_local_search", lambda spark, d: solution(baselines.local_search_coreset(tables.suppliers(spark, d), 6, 2), "clique"))
+
+
+def local_search_sql(name: str, k: int, parts: int) -> list[str]:
+    """Local search in each part of the suppliers, then on the union."""
+    own = [c for p in range(parts) for c in (q.cte(f"{name}_p{p}", f"SELECT 0 AS part_id, pid, x, y FROM ({SUPPLIERS}) WHERE pid % {parts} = {p}"), *q.searched(f"{name}_l{p}", f"{name}_p{p}", k))]
+    return [*own, q.cte(f"{name}_u", " UNION ALL ".join(f"SELECT * FROM {name}_l{p}" for p in range(parts))), *q.searched(name, f"{name}_u", k)]
+
+
+add("base_local_search", lambda spark, d: solution(baselines.local_search_coreset(tables.suppliers(spark, d), 6, 2), "clique"), q.query(local_search_sql("s", 6, 2), q.solution("s", "s_v", "clique")))

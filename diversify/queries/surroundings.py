@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from diversify.operators import coresets, measures, relational, solvers
 from diversify.plans import sqlapi
+from diversify.queries import methods
 from diversify.queries import sqltext as q
 from diversify.queries.methods import K, PICKED, WORDS, scalars, selection
 from diversify.queries.sqltext import CUSTOMERS, EVENTS, LATTICE, ORDERS, PARTS, SUPPLIERS, XY, XYZ
@@ -126,7 +127,17 @@ add("a_quantile", lambda spark, d: relational.distance_quantiles(measures.pairs(
 add("a_group_diversity", lambda spark, d: solvers.solve(tables.customers(spark, d).slim("grp"), 3, "edge", by="grp").groupBy("grp").agg(F.round(F.max("value"), 6).alias("value"), F.count("*").alias("n")), q.query(
     [q.cte("pts", f"SELECT *, grp AS part_id FROM ({CUSTOMERS})"), q.farthest("ff", "pts", 3, ("x",)), q.cte("c", f"SELECT part_id AS grp, pid, x FROM ({q.last('ff')}) WHERE picked")],
     "SELECT grp, round(coalesce(min(abs(a.x - b.x)), 0)::DOUBLE, 6) AS value, count(DISTINCT a.pid) AS n FROM c a LEFT JOIN c b USING (grp) WHERE b.pid <> a.pid GROUP BY grp"))
-add("a_quota", lambda spark, d: solvers.pick_with_quota(tables.suppliers(spark, d).slim("grp"), 6, "grp", 1))
+add("a_quota", lambda spark, d: solvers.pick_with_quota(tables.suppliers(spark, d).slim("grp"), 6, "grp", 1), f"""
+WITH RECURSIVE p AS ({SUPPLIERS}), f AS (
+    SELECT 0::BIGINT AS step, pid, x, y, grp, [grp] AS used, [pid] AS picks FROM p QUALIFY row_number() OVER (ORDER BY pid) = 1
+    UNION ALL
+    SELECT step + 1, pid, x, y, grp, list_append(used, grp), list_append(picks, pid) FROM (
+        SELECT f.step, c.pid, c.x, c.y, c.grp, f.used, f.picks,
+               row_number() OVER (ORDER BY (SELECT min((c.x - s.x) * (c.x - s.x) + (c.y - s.y) * (c.y - s.y)) FROM p s WHERE list_contains(f.picks, s.pid)) DESC, c.pid) AS rn
+        FROM f JOIN p c ON NOT list_contains(f.used, c.grp) WHERE f.step < 5
+    ) WHERE rn = 1
+)
+SELECT pid, step AS pick_rank FROM f""")
 add("a_filter", lambda spark, d: tables.events(spark, d).df.groupBy("user_id").agg(F.count_if(F.col("y") > 500).alias("large"), F.coalesce(F.sum(F.when(F.col("grp") == "purchase", F.col("y"))), F.lit(0)).cast("long").alias("bought")), f"SELECT user_id, count(*) FILTER (WHERE y > 500) AS large, coalesce(sum(y) FILTER (WHERE grp = 'purchase'), 0)::BIGINT AS bought FROM ({EVENTS}) GROUP BY user_id")
 add("a_histogram", lambda spark, d: relational.cluster_histogram(relational.k_nearest(tables.parts(spark, d).df, selection(spark, d), 1, list(XY)), 0, 1000, 5), q.query(PICKED, f"SELECT (least(floor(n / 200), 5) + 1)::BIGINT AS bucket, count(*) AS clusters FROM (SELECT anchor_pid, count(*) AS n FROM ({_NEAREST}) WHERE rn = 1 GROUP BY anchor_pid) GROUP BY 1"))
 
@@ -136,7 +147,7 @@ _ASSIGN_SQL = f"(SELECT pid, anchor_pid, dist FROM ({_NEAREST}) WHERE rn = 1)"
 add("w_cap", lambda spark, d: relational.cap_delegates(_ASSIGNED(spark, d), 5).select("anchor_pid", "pid"), q.query(PICKED, f"SELECT anchor_pid, pid FROM {_ASSIGN_SQL} QUALIFY row_number() OVER (PARTITION BY anchor_pid ORDER BY pid <> anchor_pid, pid) <= 5"))
 add("w_rank", lambda spark, d: _ASSIGNED(spark, d).select("pid", F.rank().over(Window.partitionBy("anchor_pid").orderBy("dist")).cast("long").alias("r"), F.dense_rank().over(Window.partitionBy("anchor_pid").orderBy("dist")).cast("long").alias("dr")), q.query(PICKED, f"SELECT pid, rank() OVER w AS r, dense_rank() OVER w AS dr FROM {_ASSIGN_SQL} WINDOW w AS (PARTITION BY anchor_pid ORDER BY dist)"))
 _PHASES = lambda spark, d: coresets.phase_log(tables.parts(spark, d).slim(), 1, 8)
-add("w_lag", lambda spark, d: _PHASES(spark, d).select("phase", F.round(F.col("threshold") / F.lag("threshold").over(Window.partitionBy(F.lit(0)).orderBy("phase")), 6).alias("growth")))
+add("w_lag", lambda spark, d: _PHASES(spark, d).select("phase", F.round(F.col("threshold") / F.lag("threshold").over(Window.partitionBy(F.lit(0)).orderBy("phase")), 6).alias("growth")), f"SELECT phase, round(threshold / lag(threshold) OVER (ORDER BY phase), 6) AS growth FROM ({methods.SQL['doubling_phases']})")
 _TRACE = lambda spark, d: coresets.build(tables.lattice(spark, d).with_parts(1), 16)
 add("w_running", lambda spark, d: _TRACE(spark, d).select("pick_rank", F.round(F.min("radius").over(Window.partitionBy("part_id").orderBy("pick_rank").rowsBetween(Window.unboundedPreceding, 0)), 6).alias("low")), q.query([q.parted("pts", LATTICE, 1), q.farthest("ff", "pts", 16, XYZ)], "SELECT step::BIGINT AS pick_rank, round(min(r) OVER (ORDER BY step), 6) AS low FROM (SELECT step, sqrt(max(near)::DOUBLE) AS r FROM ff GROUP BY step)"))
 add("w_ntile", lambda spark, d: tables.lattice(spark, d).with_parts(4, "region").select("pid", (F.col("part_id") + 1).alias("region")), f"SELECT pid, ntile(4) OVER (ORDER BY x, y, z, pid) AS region FROM ({LATTICE})")

@@ -28,14 +28,14 @@ def dump(s: Sketch) -> str:
     """A sketch as text, for state and for files."""
     rows = lambda some: [[int(i), [float(c) for c in p]] for i, p in some]
     return json.dumps({
-        "k": s.k, "m": s.m, "kind": s.kind, "square": s.square, "phase": s.phase, "seen": s.seen, "kept": rows(zip(s.ids, s.x, strict=True)),
+        "k": s.k, "m": s.m, "kind": s.kind, "metric": s.metric, "square": s.square, "phase": s.phase, "seen": s.seen, "kept": rows(zip(s.ids, s.x, strict=True)),
         "held": [rows(h) for h in s.held], "count": [int(c) for c in s.count], "removed": rows(s.removed), "log": [[float(v) for v in r] for r in s.log],
     })
 
 
 def restore(text: str) -> Sketch:
     d = json.loads(text)
-    s = Sketch(d["k"], d["m"], d["kind"])
+    s = Sketch(d["k"], d["m"], d["kind"], d.get("metric", "euclid"))
     rows = lambda some: [(i, np.array(p)) for i, p in some]
     s.m, s.square, s.phase, s.seen, s.count = d["m"], d["square"], d["phase"], d["seen"], d["count"]
     s.ids, s.x = [i for i, _ in d["kept"]], [np.array(p) for _, p in d["kept"]]
@@ -47,14 +47,14 @@ def restore(text: str) -> Sketch:
 class SketchProcessor(StatefulProcessor):
     """One sketch a shard. Rows of a micro-batch are put in the order of time and id; the state is bounded by the sketch's size."""
 
-    def __init__(self, k: int, m: int, kind: str):
-        self.k, self.m, self.kind = k, m, kind
+    def __init__(self, k: int, m: int, kind: str, metric: str = "euclid"):
+        self.k, self.m, self.kind, self.metric = k, m, kind, metric
 
     def init(self, handle: StatefulProcessorHandle) -> None:
         self.state = handle.getValueState("sketch", "text string")
 
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:
-        s = restore(self.state.get()[0]) if self.state.exists() else Sketch(self.k, self.m, self.kind)
+        s = restore(self.state.get()[0]) if self.state.exists() else Sketch(self.k, self.m, self.kind, self.metric)
         batch = pd.concat(list(rows)).sort_values(["at", "pid"])
         s.update(batch.pid.to_numpy(), np.stack(batch.v.to_numpy()))
         self.state.update((dump(s),))
@@ -65,19 +65,19 @@ class SketchProcessor(StatefulProcessor):
         pass
 
 
-def sketch(stream: DataFrame, k: int, k_prime: int, objective: str = "edge", shards: int = 1) -> DataFrame:
+def sketch(stream: DataFrame, k: int, k_prime: int, objective: str = "edge", shards: int = 1, metric: str = "euclid") -> DataFrame:
     """(shard, pid, v, seen, threshold) after each micro-batch of (pid, at, v). One shard is the stream of the theory; of several the union is a core-set too."""
     stream.sparkSession.conf.set("spark.sql.streaming.stateStore.providerClass", PROVIDER)
     kind = "delegates" if strict(objective) else "points"
     keyed = stream.select(F.pmod("pid", F.lit(shards)).cast("long").alias("shard"), "pid", "at", "v")
     out = "shard long, pid long, v array<double>, seen long, threshold double"
-    return keyed.groupBy("shard").transformWithStateInPandas(SketchProcessor(k, k_prime, kind), out, "Update", "None")
+    return keyed.groupBy("shard").transformWithStateInPandas(SketchProcessor(k, k_prime, kind, metric), out, "Update", "None")
 
 
-def finalise(core: DataFrame, k: int, objective: str) -> DataFrame:
+def finalise(core: DataFrame, k: int, objective: str, metric: str = "euclid") -> DataFrame:
     """The solver on the latest core-sets of all shards (shard, pid, v, seen)."""
     last = F.max("seen").over(Window.partitionBy("shard"))
-    return solvers.solve(core.withColumn("_last", last).where("seen = _last"), k, objective)
+    return solvers.solve(core.withColumn("_last", last).where("seen = _last"), k, objective, metric)
 
 
 def save_state(sketches: dict[int, Sketch], spark: SparkSession, path: str) -> None:

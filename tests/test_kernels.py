@@ -182,3 +182,35 @@ def test_local_search_ends_where_no_swap_gains(monkeypatch):
     at = f.local_search(b, 30)
     out = [z for z in range(80) if z not in at]
     assert len(at) == 30 and all(d[z, at].sum() - d[a, at].sum() - d[a, z] <= 1e-9 for a in at for z in out)
+
+
+def test_counts_are_matched_as_their_copies_are():
+    """The farthest pair of copies that are left, again and again, by brute force; and memory of one row of keys a point."""
+    rng = np.random.default_rng(5)
+    for _ in range(60):
+        n = int(rng.integers(1, 7))
+        b = f.Block(range(n), rng.choice(30, (n, 1), replace=False))
+        mult, k = rng.integers(1, 5, n).tolist(), int(rng.integers(1, 12))
+        left, want, need = list(mult), {}, min(k, sum(mult))
+        while need:
+            pairs = [(-abs(float(b.x[i, 0] - b.x[j, 0])), i, j) for i in range(n) for j in range(i + 1, n) if left[i] and left[j]]
+            if need == 1 or not pairs:
+                i = next(i for i in range(n) if left[i])
+                used = [i]
+            else:
+                used = list(min(pairs)[1:])
+            for i in used:
+                left[i] -= 1
+                want[i] = want.get(i, 0) + 1
+            need -= len(used)
+        assert f.matching_with_counts(b, mult, k) == want
+
+
+def test_delegates_of_a_block_are_those_of_single_rows():
+    rng = np.random.default_rng(6)
+    x = rng.integers(0, 12, (400, 2)).astype(float)
+    whole, single = f.Sketch(3, 6, "delegates").update(range(400), x), f.Sketch(3, 6, "delegates")
+    for i in range(400):
+        single.update([i], x[i : i + 1])
+    ids = lambda s: [[i for i, _ in h] for h in s.held]
+    assert (whole.ids, ids(whole), whole.count, whole.square) == (single.ids, ids(single), single.count, single.square)

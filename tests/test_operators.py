@@ -265,3 +265,82 @@ def test_sparse_products_keep_frequent_terms(spark, block):
     norm = {i: sum(c * c for c in v.values()) for i, v in vectors.items()}
     want = {(i, j): (sum(c * vectors[j].get(t, 0) for t, c in vectors[i].items()), norm[i], norm[j]) for i in range(30) for j in range(i + 1, 30)}
     assert got == want
+
+
+@pytest.mark.parametrize("how", ["parquet", "cached", "checkpointed", "shuffled", "no reuse"])
+def test_places_are_right_on_any_plan(spark, tmp_path, how):
+    n = 120_000
+    df = spark.range(0, n, 1, 7).select(F.col("id").alias("pid"), F.pmod(F.xxhash64("id"), F.lit(500)).alias("x"), F.pmod(F.xxhash64("id", F.lit(1)), F.lit(3)).cast("int").alias("y"))
+    if how == "parquet":
+        df.write.parquet(f"{tmp_path}/p")
+        df = spark.read.parquet(f"{tmp_path}/p")
+    elif how == "cached":
+        df = df.cache()
+    elif how == "checkpointed":
+        df = df.checkpoint()
+    elif how == "shuffled":
+        df = df.repartition(5)
+    else:
+        spark.conf.set("spark.sql.exchange.reuse", "false")
+    try:
+        got = ranked(df, ("x", "y")).select("pid", "_at", "_n").collect()
+    finally:
+        spark.conf.set("spark.sql.exchange.reuse", "true")
+    order = {r.pid: k for k, r in enumerate(sorted(df.collect(), key=lambda r: (r.x, r.y, r.pid)))}
+    assert {r.pid: r._at for r in got} == order and {r._n for r in got} == {n}
+
+
+def test_places_of_few_rows_and_of_equal_ones(spark):
+    df = spark.createDataFrame([(i, 1) for i in range(5)], "pid long, x long")
+    assert {r.pid: r._at for r in ranked(df, ("x",)).collect()} == {i: i for i in range(5)}
+    assert ranked(df.limit(0), ("x",)).collect() == []
+
+
+def test_random_keys_need_fewer_delegates(spark):
+    s = points(spark, 2000)
+    assert coresets.random_cap(16, 2000, 4, 1.0) == 8
+    few = rounds.core_set(s, 16, 16, 4, "clique", "keyed", 0, coresets.random_cap(16, 2000, 4, 1.0)).count()
+    assert few <= 4 * 16 * 8 < rounds.core_set(s, 16, 16, 4, "clique", "keyed").count() <= 4 * 16 * 16
+    assert rounds.two_round_random(s, 16, 16, 4, "clique", 2000, c=1.0).count() == 16
+
+
+def test_levels_keep_their_bound(spark):
+    s = points(spark, 3000)
+    with pytest.raises(ValueError, match="twice"):
+        rounds.multi_round(s, 4, 8, 15, "edge")
+    assert rounds.multi_round(s, 4, 8, 16, "edge").count() == 4  # several levels
+    same = PointSpace(s.df.withColumn("pid", F.col("pid") * 1000), XY)  # remainders of the ids are all alike
+    assert rounds.multi_round(same, 4, 8, 100, "edge").count() == 4
+
+
+def test_parts_follow_the_rows():
+    assert params.part_count(1000, 32, 10**6) == 8 and params.part_count(10**12, 32, 10**6) >= 10**6
+    n, size = 10**9, 256
+    parts = params.part_count(n, size, 10**6)
+    assert n / parts <= 10**6 and parts * size <= 10**6
+
+
+def test_stream_by_angle_covers_its_points(spark):
+    rng = np.random.default_rng(2)
+    docs = [(i, [(int(t), int(c)) for t, c in zip(np.sort(rng.choice(60, 12, replace=False)), rng.integers(1, 6, 12), strict=True)]) for i in range(300)]
+    space = PointSpace(spark.createDataFrame(docs, "pid long, v array<struct<term int, cnt int>>"), ("v",), "sparse")
+    chosen = rounds.one_pass(space.slim(), 5, 12, "edge", metric="sparse", dims=60).collect()
+    dense = np.zeros((300, 60))
+    for i, v in docs:
+        for t, c in v:
+            dense[i, t] = c
+    unit = dense / np.linalg.norm(dense, axis=1, keepdims=True)
+    ids = [r.pid for r in chosen]
+    angles = np.arccos(np.clip(unit[ids] @ unit[ids].T, -1, 1))
+    assert len(set(ids)) == 5 and abs(angles[np.triu_indices(5, 1)].min() - chosen[0].value) < 1e-6
+    s = kernels.Sketch(5, 12, "delegates", "angular").update(range(300), dense)
+    kept = np.array(s.x) / np.linalg.norm(s.x, axis=1, keepdims=True)
+    assert len(s.x) <= 12 and np.arccos(np.clip(unit @ kept.T, -1, 1)).min(1).max() <= 4 * s.threshold + 1e-9
+    assert np.arccos(np.clip(kept @ kept.T, -1, 1))[np.triu_indices(len(kept), 1)].min() > 0
+    cut = kernels.Sketch(5, 12, "delegates", "angular")
+    for a in range(0, 300, 7):
+        cut.update(range(a, min(a + 7, 300)), dense[a : a + 7])
+    assert cut.ids == s.ids and [[i for i, _ in h] for h in cut.held] == [[i for i, _ in h] for h in s.held]
+    found = rounds.split_round(space, 5, 12, "edge")
+    assert found.count() == 5 and set(found.schema["v"].dataType.typeName() for _ in [0]) == {"array"}
+    assert streaming.restore(streaming.dump(s)).metric == "angular"
