@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import json
 import tempfile
+from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -34,6 +35,13 @@ def checkpoint(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
+def renamed(docs: DataFrame, stage: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """A stage that keeps columns, run on ``docs`` with all but doc_id and text under names that clash with none of its own."""
+    names = {c: c if c in ("doc_id", "text") else f"own{k}" for k, c in enumerate(docs.columns)}
+    kept = stage(docs.select(*(F.col(f"`{c}`").alias(n) for c, n in names.items())))
+    return kept.select(*(F.col(n).alias(c) for c, n in names.items()))
+
+
 def lowered(text: Column) -> Column:
     """A-Z to a-z and nothing else; ``lower`` would change other letters too."""
     upper = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"

@@ -21,13 +21,15 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from diversify.llm.base import checkpoint, table
+from diversify.llm.base import checkpoint, renamed, table
 from diversify.llm.links import components, local_components
 from diversify.llm.textblocks import U, Words, slices
 
 SHINGLE, SEED, NEAR = 3, 42, 2
 #: Fingerprints that a shard should hold, and the number from which it is dealt by neighbouring values.
 SHARD, CROWD = 4000, 40_000
+#: Most levels of vantage points: a level has about a fifth of the fingerprints visit both sides, so more would copy each over the 65 times of its neighbouring values.
+LEVELS = 19
 _BALL = np.concatenate((np.zeros(1, U), U(1) << np.arange(64, dtype=U)))
 
 
@@ -108,7 +110,7 @@ def _sides(distance: Column, radius: int) -> Column:
 def _dealt(prints: DataFrame, rows: int) -> DataFrame:
     """(shard, fp): each fingerprint in its own shard and in those that it visits. Vantage points and radii come from the data."""
     levels = 0
-    while rows * 0.6**levels > SHARD:
+    while rows * 0.6**levels > SHARD and levels < LEVELS:
         levels += 1
     if not levels:
         return prints.select(F.lit(0).cast("long").alias("shard"), "fp")
@@ -128,7 +130,7 @@ def _numbers(sides: Column):
 def near_links(prints: DataFrame) -> DataFrame:
     """(a, b): links whose components are those of all pairs of distinct fingerprints within two bits."""
     dealt = _dealt(prints, prints.count())
-    crowds = F.broadcast(dealt.groupBy("shard").count().where(F.col("count") > CROWD).select("shard"))  # at most one for every CROWD rows
+    crowds = dealt.groupBy("shard").count().where(F.col("count") > CROWD).select("shard")  # at most one for every CROWD rows; broadcast only if small
 
     def linked(t: pa.Table) -> pa.Table:
         fp = np.unique(t.column("fp").to_numpy())
@@ -167,8 +169,12 @@ def simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 def keep_one(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pipeline stage: of each group of near copies the document with the smallest id stays, once; rows without an id stay. Rows that repeat an id are judged by their own text."""
     first = _in_components(docs).where("doc_id = component_id").groupBy("root").agg(F.min("doc_id").alias("doc_id"), F.min("th").alias("th"))
-    kept = docs.withColumn("__th", F.xxhash64("text")).join(first.withColumnRenamed("th", "__th"), ["doc_id", "__th"], "left_semi").dropDuplicates(["doc_id", "__th"]).select(docs.columns)
-    return kept.unionByName(docs.where("doc_id IS NULL"))
+
+    def kept(d: DataFrame) -> DataFrame:
+        own = d.withColumn("th", F.xxhash64("text")).join(first, ["doc_id", "th"], "left_semi").dropDuplicates(["doc_id", "th"])
+        return own.drop("th").unionByName(d.where("doc_id IS NULL"))
+
+    return renamed(docs, kept)
 
 
 QUERIES = {"op8_vantage_simhash": simhash}

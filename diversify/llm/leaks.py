@@ -1,11 +1,13 @@
 """Benchmark decontamination by winnowing, with DataFrame functions only.
 
 Both sides hash every run of 5 words and keep, for each window of 10 words, the smallest of its 6 hashes; equal windows keep equal hashes, so
-joining documents and items on the kept hashes loses no shared window. A match is a candidate only: it is extended to the whole window
-and its words are compared with those of the item's window. Items of fewer than 10 words are one window that is hashed whole.
+joining documents and items on the kept hashes loses no shared window. Neighbouring windows mostly keep the same hash, and a document has
+one row for such a run of windows. A match is a candidate only: it is extended to the whole windows of the run, and their words are compared
+with those of the items' windows. Items of fewer than 10 words are one window that is hashed whole.
 
-The fingerprints of the documents are slim rows that meet the fingerprints of the benchmark, which are broadcast while their number is
-under BROADCAST; only documents with a candidate have their texts read again.
+The words of a text are split once for all sizes of windows. The fingerprints are slim rows that meet those of the benchmark, which are
+broadcast while their number is under BROADCAST. Only documents with a candidate have their texts read again: while the candidates are fewer
+than CANDIDATES they are broadcast, and no text is shuffled; beyond, both are shuffled by the hash of the text.
 
 Defined cases: null and empty texts have no words and no hits; items without words never occur; items with a null id can be hit but
 are not listed; rows that repeat an id are separate rows, each judged by its own text; items that repeat an id are one item. Other columns are ignored.
@@ -21,6 +23,8 @@ from diversify.llm.base import between, checkpoint, lowered, table
 WINDOW, RUN = 10, 5
 #: Most windows of the benchmark that are broadcast; each takes some 100 bytes.
 BROADCAST = 1_000_000
+#: Most runs of windows that are broadcast as candidates; each takes some 50 bytes.
+CANDIDATES = 500_000
 GAP = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 GAP_ANY_CASE = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
 
@@ -40,15 +44,24 @@ def _kept(h: Column) -> Column:
     return F.transform(F.slice(h, F.lit(1), F.greatest(F.size(h) - (span - 1), F.lit(0))), lambda x, i: F.least(x, *(F.get(h, i + k) for k in range(1, span))))
 
 
-def _prints(rows: DataFrame, size: int) -> DataFrame:
-    """``rows`` (with w, their words) with prints: one for each window of ``size`` words.
+def _with_prints(rows: DataFrame, sizes: list[int], *keep: str) -> DataFrame:
+    """``keep`` of ``rows`` (with w, their words) and p<size>: the print of each window of so many words.
 
-    Explode it with an outer explode: for an inner one the optimizer filters on the array's size beforehand, which would compute the
-    words anew for each element.
+    Every step reads plain columns: within a function over an array an expression would be computed anew for each element.
     """
-    if size < WINDOW:
-        return rows.withColumn("prints", _hashes(F.col("w"), size))
-    return rows.withColumn("h", _hashes(F.col("w"), RUN)).withColumn("prints", _kept(F.col("h"))).drop("h")
+    runs = rows.select(*keep, *(_hashes(F.col("w"), RUN if size == WINDOW else size).alias(f"h{size}") for size in sizes))
+    return runs.select(*keep, *((_kept(F.col(f"h{WINDOW}")) if size == WINDOW else F.col(f"h{size}")).alias(f"p{size}") for size in sizes))
+
+
+def _starts(prints: Column) -> Column:
+    """Where a print differs from the one before."""
+    return F.array_compact(F.transform(prints, lambda x, i: F.when((i == 0) | (x != F.get(prints, i - 1)), i)))
+
+
+def _runs(prints: Column, starts: Column, size: int) -> Column:
+    """(size, at, n, print) of each run of n neighbouring windows with one print, the first of them at ``at``."""
+    end = lambda i: F.coalesce(F.get(starts, i + 1), F.size(prints))
+    return F.transform(starts, lambda x, i: F.struct(F.lit(size).alias("size"), x.alias("at"), (end(i) - x).alias("n"), F.get(prints, x).alias("print")))
 
 
 def benchmark_windows(items: DataFrame) -> DataFrame:
@@ -56,7 +69,7 @@ def benchmark_windows(items: DataFrame) -> DataFrame:
     w = items.select("item_id", words(F.col("text")).alias("w")).where(F.size("w") > 0).withColumn("size", F.least(F.size("w"), F.lit(WINDOW)))
     parts = []
     for size in [r[0] for r in w.select("size").distinct().orderBy("size").collect()]:  # at most ten
-        own = _prints(w.where(F.col("size") == size), size).select("item_id", "size", "w", F.posexplode_outer("prints").alias("at", "print"))
+        own = _with_prints(w.where(F.col("size") == size), [size], "item_id", "size", "w").select("item_id", "size", "w", F.posexplode_outer(f"p{size}").alias("at", "print"))
         parts.append(own.select("item_id", "size", F.array_join(F.slice("w", F.col("at") + 1, F.lit(size)), " ").alias("gram"), "print"))
     out = parts[0] if parts else items.sparkSession.createDataFrame([], f"item_id {dict(items.dtypes)['item_id']}, size int, gram string, print long")
     for p in parts[1:]:
@@ -72,14 +85,18 @@ def hits(docs: DataFrame, items: DataFrame) -> DataFrame:
     sizes = [r[0] for r in bench.select("size").distinct().orderBy("size").collect()]
     if not sizes:
         return named.select("doc_id", "th", F.lit(0).cast("long").alias("n_hit"), F.array().cast("array<string>").alias("items")).limit(0)
-    found = None
-    for size in sizes:
-        own = _prints(named.select("doc_id", "th", words(F.col("text")).alias("w")), size).select("doc_id", "th", F.posexplode_outer("prints").alias("at", "print"))
-        seen = own.join(small(bench.where(F.col("size") == size).select("print").distinct()), "print").select("doc_id", "th", F.struct("at", F.lit(size).alias("size")).alias("window"))
-        found = seen if found is None else found.unionByName(seen)
-    candidates = found.groupBy("doc_id", "th").agg(F.collect_list("window").alias("windows"))
+    # One split and one pass for all sizes. An outer explode: for an inner one the optimizer filters on the array's size beforehand, which would
+    # compute the words anew for each element.
+    own = _with_prints(named.select("doc_id", "th", words(F.col("text")).alias("w")), sizes, "doc_id", "th")
+    own = own.select("*", *(_starts(F.col(f"p{size}")).alias(f"s{size}") for size in sizes))
+    runs = own.select("doc_id", "th", F.inline_outer(F.concat(*(_runs(F.col(f"p{size}"), F.col(f"s{size}"), size) for size in sizes))))
+    found = runs.join(small(bench.select("size", "print").distinct()), ["size", "print"]).select("doc_id", "th", "at", "n", "size")
+    candidates = checkpoint(found.groupBy("doc_id", "th").agg(F.collect_list(F.struct("at", "n", "size")).alias("runs")))
+    some = F.broadcast if (candidates.agg(F.sum(F.size("runs"))).first()[0] or 0) <= CANDIDATES else (lambda df: df)
     same_row = (F.col("d.th") == F.col("c.th")) & F.col("d.doc_id").eqNullSafe(F.col("c.doc_id"))
-    texts = named.alias("d").join(candidates.alias("c"), same_row).select("d.doc_id", "d.th", words(F.col("text")).alias("w"), "windows").withColumn("windows", F.array_distinct("windows"))
+    texts = named.alias("d").join(some(candidates).alias("c"), same_row).select("d.doc_id", "d.th", words(F.col("text")).alias("w"), "runs")
+    starts = lambda r: F.transform(F.sequence(r["at"], r["at"] + r["n"] - 1), lambda k: F.struct(k.alias("at"), r["size"].alias("size")))
+    texts = texts.withColumn("windows", F.array_distinct(F.flatten(F.transform("runs", starts))))
     gram = F.transform("windows", lambda x: F.struct(x["at"].alias("at"), x["size"].alias("size"), F.array_join(F.slice("w", x["at"] + 1, x["size"]), " ").alias("gram")))
     grams = texts.select("doc_id", "th", F.inline_outer(gram)).distinct()
     there = grams.join(small(bench.select("size", "gram").distinct()), ["size", "gram"])

@@ -198,11 +198,12 @@ def found(docs: DataFrame) -> DataFrame:
 
 
 def _with_spans(docs: DataFrame) -> DataFrame:
+    """(doc, spans): each row as a struct, so that no column of its own can clash, and its spans in order."""
     f = found(docs).alias("f")
-    d = docs.withColumn("_th", F.xxhash64("text")).alias("d")
+    d = docs.select(F.struct(*docs.columns).alias("doc"), "doc_id", F.xxhash64("text").alias("th")).alias("d")
     none = F.array().cast("array<struct<start:bigint,rank:int,end:bigint,kind:string,base:boolean>>")
-    joined = d.join(f, (F.col("d._th") == F.col("f.th")) & F.col("d.doc_id").eqNullSafe(F.col("f.doc_id")), "left")
-    return joined.select(*(f"d.{c}" for c in docs.columns), F.coalesce("f.spans", none).alias("_spans"))
+    joined = d.join(f, (F.col("d.th") == F.col("f.th")) & F.col("d.doc_id").eqNullSafe(F.col("f.doc_id")), "left")
+    return joined.select("doc", F.coalesce("f.spans", none).alias("spans"))
 
 
 def _of(kind: str):
@@ -226,19 +227,21 @@ def personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def masked(docs: DataFrame) -> DataFrame:
     """``docs`` with each span, overlapping ones as one, replaced by its kind in brackets."""
-    names = docs.columns
-    rows = _with_spans(docs)
+    rows, text = _with_spans(docs), F.col("doc.text")
     # Spans in order; one that begins before the last one's end widens it.
     start = F.array().cast("array<struct<start:bigint,end:bigint,kind:string>>")
     last = lambda a: F.element_at(a, -1)
-    widen = lambda a, s: F.concat(F.slice(a, F.lit(1), F.size(a) - 1), F.array(F.struct(last(a)["start"].alias("start"), F.greatest(last(a)["end"], s["end"]).alias("end"), last(a)["kind"].alias("kind"))))
+    wider = lambda a, s: F.struct(last(a)["start"].alias("start"), F.greatest(last(a)["end"], s["end"]).alias("end"), last(a)["kind"].alias("kind"))
+    widen = lambda a, s: F.concat(F.slice(a, F.lit(1), F.size(a) - 1), F.array(wider(a, s)))
     append = lambda a, s: F.concat(a, F.array(F.struct(s["start"].alias("start"), s["end"].alias("end"), s["kind"].alias("kind"))))
-    merged = F.aggregate("_spans", start, lambda a, s: F.when((F.size(a) > 0) & (F.try_element_at(a, F.lit(-1))["end"] > s["start"]), widen(a, s)).otherwise(append(a, s)))
-    rows = rows.withColumn("_merged", merged)
-    piece = lambda s, i: F.concat(F.substr(F.col("text"), F.when(i > 0, F.get("_merged", i - 1)["end"]).otherwise(0).cast("int") + 1, (s["start"] - F.when(i > 0, F.get("_merged", i - 1)["end"]).otherwise(0)).cast("int")), F.lit("["), F.upper(s["kind"]), F.lit("]"))
-    tail = F.substr(F.col("text"), F.try_element_at("_merged", F.lit(-1))["end"].cast("int") + 1)
-    text = F.when(F.size("_merged") > 0, F.concat(F.array_join(F.transform("_merged", piece), ""), tail)).otherwise(F.col("text"))
-    return rows.withColumn("text", text).select(*names)
+    overlaps = lambda a, s: (F.size(a) > 0) & (F.try_element_at(a, F.lit(-1))["end"] > s["start"])
+    rows = rows.select("doc", F.aggregate("spans", start, lambda a, s: F.when(overlaps(a, s), widen(a, s)).otherwise(append(a, s))).alias("merged"))
+    before = lambda i: F.when(i > 0, F.get("merged", i - 1)["end"]).otherwise(0)
+    gap = lambda s, i: F.substr(text, before(i).cast("int") + 1, (s["start"] - before(i)).cast("int"))
+    piece = lambda s, i: F.concat(gap(s, i), F.lit("["), F.upper(s["kind"]), F.lit("]"))
+    tail = F.substr(text, F.try_element_at("merged", F.lit(-1))["end"].cast("int") + 1)
+    clean = F.when(F.size("merged") > 0, F.concat(F.array_join(F.transform("merged", piece), ""), tail)).otherwise(text).alias("text")
+    return rows.select(*(clean if c == "text" else F.col("doc")[c].alias(c) for c in docs.columns))
 
 
 def mask_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

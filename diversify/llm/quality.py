@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from diversify.llm.base import held_out, table, training_rows
+from diversify.llm.base import held_out, renamed, table, training_rows
 from diversify.llm.textblocks import BYTE_BASE, Prefixes, U, mixed, slices
 
 #: Most labelled documents that training takes, most lines of a training sequence (longer documents are cut into several), and most sequences of a document.
@@ -244,7 +244,7 @@ def quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pipeline stage: documents that the classifier accepts."""
     field = train(docs, table(spark, sf_dir, "labels"))
-    return score(docs, field).where("predicted = 1").select(*docs.columns)
+    return renamed(docs, lambda d: score(d, field).where("predicted = 1"))
 
 
 QUERIES = {"op10_line_field_quality": quality}

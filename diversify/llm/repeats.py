@@ -6,7 +6,8 @@ but the first of them repeated; this settles the inside of long copies with one
 anchors differ, a copy begins or ends: only there the seeds are extended window by window, to the left and to the right of the anchor,
 and windows with equal words are compared. The windows found are exactly those whose words also start earlier; adjacent ones cover maximal repeats.
 
-A batch of documents settles its own copies before anything is shuffled, so a passage that very many documents share is one row a batch.
+A batch of documents settles its own copies before anything is shuffled, so a passage that very many documents share is one row a batch,
+however many copies there are: of the tens of thousands of rows that a batch shuffles, at most one has the same anchor and words.
 
 Defined cases: null and empty texts have no words; documents of fewer than 20 words lose none; a row with a null id is left whole and
 is nobody's earlier copy; rows that repeat id and text are the same document and lose the same words. Other columns are ignored.
@@ -27,13 +28,14 @@ from diversify.llm.textblocks import U, WORD_BASE, Prefixes, Words, leftmost_min
 
 WINDOW, ANCHOR = 20, 6
 _RUNS = WINDOW - ANCHOR + 1
-#: A place in a document: first window, number of windows (up to 15), and 16 bits of the text's hash to tell rows with one id apart.
-_START, _COUNT = 20, 16
+#: A place in a document: first window (30 bits), number of windows (up to 15), and 29 bits of the text's hash to tell rows with one id apart.
+_START, _COUNT = 33, 29
+_TAG = (1 << _COUNT) - 1
 SECOND_BASE = 0xA24BAED4963EE407
 
 
 def _tags(texts: list[bytes]) -> np.ndarray:
-    return np.fromiter((xxhash.xxh64_intdigest(t) & 0xFFFF for t in texts), np.int64, len(texts))
+    return np.fromiter((xxhash.xxh64_intdigest(t) & _TAG for t in texts), np.int64, len(texts))
 
 
 def _long(x: np.ndarray) -> np.ndarray:
@@ -141,7 +143,7 @@ def windows(docs: DataFrame, marks: DataFrame) -> DataFrame:
                 one, two = Prefixes(hashes, WORD_BASE), Prefixes(mixed(hashes ^ U(SECOND_BASE)), SECOND_BASE)
                 for k in range(len(texts)):
                     place = _places(open_, first + k)
-                    place = np.unique(place[(place & 0xFFFF) == tags[k]])
+                    place = np.unique(place[(place & _TAG) == tags[k]])
                     count = (place >> _COUNT) & 15
                     begin = np.repeat(place >> _START, count) + (np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count))
                     at = begin + words.first[k]
@@ -167,7 +169,7 @@ def without_repeats(docs: DataFrame) -> DataFrame:
                 for k, text in enumerate(texts):
                     words = text.split()
                     place = np.concatenate((_places(repeated, first + k), _places(single, first + k)))
-                    place = place[(place & 0xFFFF) == tags[k]]
+                    place = place[(place & _TAG) == tags[k]]
                     removed = 0
                     if len(place):
                         edge = np.zeros(len(words) + 1, np.int64)

@@ -1,8 +1,8 @@
 """Near copies among embeddings: a forest of random-projection trees with spill, exact cosines within the leaves.
 
 A tree asks one random direction a level. A node splits at the median of its rows' projections; rows near the split go to both sides.
-Node medians come from a bounded sample (SAMPLE rows by a hash of the id); where a node holds too few sample rows, the level's overall
-median is its split. Every row is indexed. The number of levels follows the number of rows, the number of trees the loss that the
+Node medians come from a bounded sample (SAMPLE rows by a hash of the id, fewer if they exceed SAMPLE_BYTES); where a node holds too few
+sample rows, the level's overall median is its split. Every row is indexed. The number of levels follows the number of rows, the number of trees the loss that the
 levels allow, so that a pair at the limit of 0.9 is found with probability RECALL at any size.
 
 Equal vectors are one class and are compared once. A pair of classes that meets in several leaves is counted in the first of them only:
@@ -27,7 +27,9 @@ from diversify.llm.links import components, local_components
 
 LIMIT, RECALL = 0.9, 0.995
 #: Rows of a leaf, share of the spread that spills, rows of the sample, least sample rows of a node with its own median, classes of a block.
-LEAF, SPILL, SAMPLE, OWN_MEDIAN, BLOCK = 400, 0.16, 20_000, 64, 2000
+LEAF, SPILL, SAMPLE, OWN_MEDIAN, BLOCK = 400, 0.16, 100_000, 32, 2000
+#: Most bytes of the sample on the driver.
+SAMPLE_BYTES = 64_000_000
 
 
 def forest_shape(rows: int, dims: int, limit: float = LIMIT) -> tuple[int, int]:
@@ -60,9 +62,10 @@ class Forest:
             node = np.zeros(len(sample), np.int64)
             for level in range(levels):
                 p = at[:, t * levels + level]
-                nodes = [k for k, c in zip(*np.unique(node, return_counts=True), strict=True) if c >= OWN_MEDIAN]
-                medians = np.array([np.median(p[node == k]) for k in nodes])
-                self.splits[t, level] = np.array(nodes, np.int64), medians
+                order = np.lexsort((p, node))
+                nodes, first, count = np.unique(node[order], return_index=True, return_counts=True)
+                own = count >= OWN_MEDIAN
+                self.splits[t, level] = nodes[own], p[order][first[own] + count[own] // 2]
                 split = self._split(t, level, node)
                 node = node * 2 + (p > split)
 
@@ -164,8 +167,11 @@ def near_vectors(vectors: DataFrame) -> DataFrame:
 def _linked(found: DataFrame, rows: int, dims: int) -> tuple[DataFrame, DataFrame]:
     """Links between representatives and, by representative, the number of linked vectors of other classes."""
     levels, trees = forest_shape(rows, dims)
-    sample = [r.v for r in found.orderBy(F.xxhash64("rep"), "rep").limit(SAMPLE).select("v").collect()] if levels else []
-    x = np.asarray(sample, float).reshape(-1, dims)
+    x = np.zeros((0, dims))
+    if levels:
+        few = min(SAMPLE, SAMPLE_BYTES // (8 * dims) + 1)
+        sample = found.where(F.pmod(F.xxhash64("rep"), F.lit(max(1, rows // (2 * few)))) == 0).orderBy(F.xxhash64("rep"), "rep").limit(few).select("v").toArrow()
+        x = np.asarray(sample.column("v").combine_chunks().flatten(), float).reshape(-1, dims)
     forest = Forest(x / np.linalg.norm(x, axis=1, keepdims=True) if len(x) else x, levels, trees)
 
     def routed(batches):
@@ -181,7 +187,7 @@ def _linked(found: DataFrame, rows: int, dims: int) -> tuple[DataFrame, DataFram
     rep = dict(found.dtypes)["rep"]
     dealt = found.select("rep", "n", "v").mapInArrow(routed, f"rep {rep}, n long, unit binary, leaves array<long>").select("*", F.explode("leaves").alias("leaf"))
     sizes = dealt.groupBy("leaf").agg(F.count("*").alias("rows")).where(F.col("rows") > BLOCK)
-    many = dealt.join(F.broadcast(sizes), "leaf", "left")  # at most one row for every BLOCK rows
+    many = dealt.join(sizes, "leaf", "left")  # at most one row for every BLOCK rows; broadcast only if small
     blocks = F.ceil(F.coalesce("rows", F.lit(1)) / BLOCK).cast("int")
     own = F.pmod(F.xxhash64(F.lit("block"), "rep"), blocks).cast("int")
     pairs = F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda other: F.struct(F.least(F.col("own"), other).alias("low"), F.greatest(F.col("own"), other).alias("high")))

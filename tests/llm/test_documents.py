@@ -566,10 +566,14 @@ def test_stages_keep_columns_and_take_extra_ones(spark, tables, odd, stage):
     d = tables(documents=odd, labels=[(5, 1, 0)], benchmark=[(1, "one two three four five")])
     from pyspark.sql import functions as F
 
-    docs = spark.read.parquet(f"{d}/documents.parquet").withColumn("fp", F.lit("x")).withColumn("score", F.lit(1)).withColumn("w", F.lit(2))
+    docs = spark.read.parquet(f"{d}/documents.parquet")
+    want = sorted(str((r.doc_id, r.text)) for r in stage(spark, docs, d).collect())
+    for name in ("fp", "score", "w", "_spans", "_merged", "_th", "__th", "th", "spans", "merged", "doc", "component_id", "root", "predicted", "runs", "windows", "items", "n_hit", "y", "h", "b"):
+        docs = docs.withColumn(name, F.lit("x"))
     out = stage(spark, docs, d)
-    assert set(out.columns) == set(docs.columns)
-    out.collect()
+    assert out.columns == docs.columns
+    got = out.collect()
+    assert sorted(str((r.doc_id, r.text)) for r in got) == want and all(r["_th"] == r["_spans"] == r["th"] == r["fp"] == r["score"] == "x" for r in got)
 
 
 def test_mix_takes_clashing_columns(spark, tables, odd):
