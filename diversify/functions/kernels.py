@@ -252,7 +252,9 @@ class Sketch:
             self._keep(int(ids[0]), points[0])
             at = 1
         while at < len(ids):
-            block = points[at : at + max(64, 1_000_000 // max(len(self.x), points.shape[1] // 8, 1))]
+            # Nearly every point is kept before there is a threshold, so far ones are not looked at yet.
+            size = max(64, self.m + 1 - len(self.x)) if self.square is None else max(64, 1_000_000 // max(len(self.x), points.shape[1] // 8))
+            block = points[at : at + size]
             ready = self._ready(block)
             host, near = self._nearest(ready)
             done, phase = 0, self.phase

@@ -7,7 +7,6 @@ from pyspark.sql import functions as F
 
 from diversify.operators import coresets, measures, relational, solvers
 from diversify.plans import sqlapi
-from diversify.queries import methods
 from diversify.queries import sqltext as q
 from diversify.queries.methods import K, PICKED, WORDS, scalars, selection
 from diversify.queries.sqltext import CUSTOMERS, EVENTS, LATTICE, ORDERS, PARTS, SUPPLIERS, XY, XYZ
@@ -147,7 +146,9 @@ _ASSIGN_SQL = f"(SELECT pid, anchor_pid, dist FROM ({_NEAREST}) WHERE rn = 1)"
 add("w_cap", lambda spark, d: relational.cap_delegates(_ASSIGNED(spark, d), 5).select("anchor_pid", "pid"), q.query(PICKED, f"SELECT anchor_pid, pid FROM {_ASSIGN_SQL} QUALIFY row_number() OVER (PARTITION BY anchor_pid ORDER BY pid <> anchor_pid, pid) <= 5"))
 add("w_rank", lambda spark, d: _ASSIGNED(spark, d).select("pid", F.rank().over(Window.partitionBy("anchor_pid").orderBy("dist")).cast("long").alias("r"), F.dense_rank().over(Window.partitionBy("anchor_pid").orderBy("dist")).cast("long").alias("dr")), q.query(PICKED, f"SELECT pid, rank() OVER w AS r, dense_rank() OVER w AS dr FROM {_ASSIGN_SQL} WINDOW w AS (PARTITION BY anchor_pid ORDER BY dist)"))
 _PHASES = lambda spark, d: coresets.phase_log(tables.parts(spark, d).slim(), 1, 8)
-add("w_lag", lambda spark, d: _PHASES(spark, d).select("phase", F.round(F.col("threshold") / F.lag("threshold").over(Window.partitionBy(F.lit(0)).orderBy("phase")), 6).alias("growth")), f"SELECT phase, round(threshold / lag(threshold) OVER (ORDER BY phase), 6) AS growth FROM ({methods.SQL['doubling_phases']})")
+add("w_lag", lambda spark, d: _PHASES(spark, d).select("phase", F.round(F.col("threshold") / F.lag("threshold").over(Window.partitionBy(F.lit(0)).orderBy("phase")), 6).alias("growth")), q.query(
+    q.sketch("sk", PARTS, 8), "SELECT phase, round(t / lag(t) OVER (ORDER BY phase), 6) AS growth FROM (SELECT phase - (len(kept) = was_kept)::BIGINT AS phase, "
+    "sqrt((CASE WHEN len(kept) = was_kept THEN q / 4 ELSE q END)::DOUBLE) AS t FROM sk_s WHERE was_kept IS NOT NULL)"))
 _TRACE = lambda spark, d: coresets.build(tables.lattice(spark, d).with_parts(1), 16)
 add("w_running", lambda spark, d: _TRACE(spark, d).select("pick_rank", F.round(F.min("radius").over(Window.partitionBy("part_id").orderBy("pick_rank").rowsBetween(Window.unboundedPreceding, 0)), 6).alias("low")), q.query([q.parted("pts", LATTICE, 1), q.farthest("ff", "pts", 16, XYZ)], "SELECT step::BIGINT AS pick_rank, round(min(r) OVER (ORDER BY step), 6) AS low FROM (SELECT step, sqrt(max(near)::DOUBLE) AS r FROM ff GROUP BY step)"))
 add("w_ntile", lambda spark, d: tables.lattice(spark, d).with_parts(4, "region").select("pid", (F.col("part_id") + 1).alias("region")), f"SELECT pid, ntile(4) OVER (ORDER BY x, y, z, pid) AS region FROM ({LATTICE})")
