@@ -9,6 +9,10 @@ and windows with equal words are compared. The windows found are exactly those w
 A batch of documents settles its own copies before anything is shuffled, so a passage that very many documents share is one row a batch,
 however many copies there are: of the tens of thousands of rows that a batch shuffles, at most one has the same anchor and words.
 
+A frequent phrase with other words around it each time would still gather at its anchor. Anchors that a sample shows to be frequent are
+therefore dealt by anchor and words, and all their first seeds extended, without asking whether the words around differ: extending a seed
+that needs it not is more work, never another result. So the sample decides only where rows go, as that of a range partitioning does.
+
 Defined cases: null and empty texts have no words; documents of fewer than 20 words lose none; a row with a null id is left whole and
 is nobody's earlier copy; rows that repeat id and text are the same document and lose the same words. Other columns are ignored.
 """
@@ -32,6 +36,11 @@ _RUNS = WINDOW - ANCHOR + 1
 _START, _COUNT = 33, 29
 _TAG = (1 << _COUNT) - 1
 SECOND_BASE = 0xA24BAED4963EE407
+#: One document in SAMPLED is asked for frequent anchors: those of at least OFTEN sampled seeds, of these the MOST_OFTEN most frequent.
+SAMPLED, OFTEN, MOST_OFTEN = 32, 1000, 100_000
+#: States of a row: plain, known to have an earlier copy, of a frequent anchor.
+PLAIN, DONE, FREQUENT = 0, 1, 2
+_NONE = np.zeros(0, np.int64)
 
 
 def _tags(texts: list[bytes]) -> np.ndarray:
@@ -78,18 +87,23 @@ def _settled(key: np.ndarray, other: np.ndarray, ids: np.ndarray, place: np.ndar
     return order, done
 
 
-def _rows(ids: np.ndarray, key: np.ndarray, other: np.ndarray, place: np.ndarray) -> pa.RecordBatch:
+def _rows(ids: np.ndarray, key: np.ndarray, other: np.ndarray, place: np.ndarray, frequent: np.ndarray) -> pa.RecordBatch:
     order, done = _settled(key, other, ids, place)
     key, other, ids, place = key[order], other[order], ids[order], place[order]
+    state = np.where(done, DONE, PLAIN).astype(np.int8)
+    if len(frequent):
+        often = np.isin(key, frequent) & ~done
+        state[often] = FREQUENT
+        key = np.where(often, _long(mixed(key.astype(U) ^ mixed(other.astype(U)))), key)
     key = np.where(done, _long(mixed(ids.astype(U) ^ mixed(place.astype(U)))), key)  # what is done is dealt evenly
-    return pa.RecordBatch.from_arrays([pa.array(x) for x in (key, other, ids, place, done)], ["a", "b", "doc_id", "place", "done"])
+    return pa.RecordBatch.from_arrays([pa.array(x) for x in (key, other, ids, place, state)], ["a", "b", "doc_id", "place", "state"])
 
 
-_ROWS = "a long, b long, doc_id long, place long, done boolean"
+_ROWS = "a long, b long, doc_id long, place long, state byte"
 
 
-def _gathered(parts: list[tuple[np.ndarray, ...]]) -> pa.RecordBatch | None:
-    return _rows(*(np.concatenate(x) for x in zip(*parts, strict=True))) if parts else None
+def _gathered(parts: list[tuple[np.ndarray, ...]], frequent: np.ndarray = _NONE) -> pa.RecordBatch | None:
+    return _rows(*(np.concatenate(x) for x in zip(*parts, strict=True)), frequent) if parts else None
 
 
 def _earlier(rows: DataFrame) -> DataFrame:
@@ -98,7 +112,7 @@ def _earlier(rows: DataFrame) -> DataFrame:
     # Plain columns only: an expression here would be computed before the shuffle and be shuffled too.
     of = rows.withColumn("first_id", F.first("doc_id").over(w)).withColumn("first_place", F.first("place").over(w))
     above = F.shiftright("first_place", _START) < F.shiftright("place", _START)
-    later = F.col("done") | (F.col("first_id") < F.col("doc_id")) | ((F.col("first_id") == F.col("doc_id")) & above)
+    later = (F.col("state") == DONE) | (F.col("first_id") < F.col("doc_id")) | ((F.col("first_id") == F.col("doc_id")) & above)
     return of.withColumn("later", later).drop("first_id", "first_place")
 
 
@@ -108,21 +122,32 @@ def _named(docs: DataFrame) -> DataFrame:
     return docs.select(own, "text").where("doc_id IS NOT NULL")
 
 
-def seeds(docs: DataFrame) -> DataFrame:
-    """(doc_id, repeated, open): places of the seeds that are copies, and of those to be extended window by window."""
-
+def _seed_rows(docs: DataFrame, frequent: np.ndarray = _NONE) -> DataFrame:
     def made(batches):
         for batch in batches:
             ids, parts = batch.column("doc_id").to_numpy(), []
             for first, texts in slices(batch.column("text")):
                 doc, *found = _seeds(texts)
                 parts.append((ids[first + doc], *found))
-            if (out := _gathered(parts)) is not None:
+            if (out := _gathered(parts, frequent)) is not None:
                 yield out
 
-    rows = _named(docs).mapInArrow(made, _ROWS)
+    return docs.mapInArrow(made, _ROWS)
+
+
+def frequent_anchors(docs: DataFrame) -> np.ndarray:
+    """Anchors that are frequent in a sample of documents even after copies are settled: MOST_OFTEN at most."""
+    counts = _seed_rows(docs.where(F.pmod(F.xxhash64(F.lit("sample"), "doc_id"), F.lit(SAMPLED)) == 0)).where(F.col("state") == PLAIN).groupBy("a").agg(F.count("*").alias("n"))
+    most = counts.where(F.col("n") >= OFTEN).orderBy(F.desc("n"), "a").limit(MOST_OFTEN)
+    return np.array([r.a for r in most.collect()], np.int64)
+
+
+def seeds(docs: DataFrame) -> DataFrame:
+    """(doc_id, repeated, open): places of the seeds that are copies, and of those to be extended window by window."""
+    named = _named(docs)
+    rows = _seed_rows(named, frequent_anchors(named))
     anchor = Window.partitionBy("a")
-    mixed_group = F.min("b").over(anchor) < F.max("b").over(anchor)
+    mixed_group = (F.col("state") == FREQUENT) | (F.min("b").over(anchor) < F.max("b").over(anchor))
     told = _earlier(rows.withColumn("mixed", mixed_group)).where("later OR mixed")
     return told.groupBy("doc_id").agg(F.collect_list(F.when(F.col("later"), F.col("place"))).alias("repeated"), F.collect_list(F.when(~F.col("later"), F.col("place"))).alias("open"))
 

@@ -61,7 +61,10 @@ def corpus(n=60, seed=3):
     return [(i, " ".join(t) if i % 2 else "\n".join(t), "en", f"s{i % 3}", 1) for i, t in enumerate(out)]
 
 
-def test_repeats_match_brute_force(spark, tables):
+@pytest.mark.parametrize("sampled,often", [(32, 1000), (1, 3), (1, 1)])
+def test_repeats_match_brute_force(spark, tables, monkeypatch, sampled, often):
+    monkeypatch.setattr(repeats, "SAMPLED", sampled)
+    monkeypatch.setattr(repeats, "OFTEN", often)
     docs = corpus()
     got = rows(repeats.repeats(spark, tables(documents=docs)), "doc_id")
     seen = set()
@@ -76,6 +79,24 @@ def test_repeats_match_brute_force(spark, tables):
         assert (r["n_words"], r["n_removed"], r["kept_sha256"]) == (len(w), len(gone), hashlib.sha256(kept.encode()).hexdigest())
 
 
+def test_a_frequent_phrase_is_dealt_by_its_words(spark, tables, monkeypatch):
+    monkeypatch.setattr(repeats, "SAMPLED", 1)
+    monkeypatch.setattr(repeats, "OFTEN", 20)
+    rng, phrase = random.Random(5), [f"p{i}" for i in range(12)]
+    docs = [(i, " ".join([f"l{rng.random()}" for _ in range(15)] + phrase + [f"r{rng.random()}" for _ in range(15)]), "en", "a", 1) for i in range(200)]
+    docs += [(200 + i, docs[7][1], "en", "a", 1) for i in range(3)]
+    frame = spark.read.parquet(f"{tables(documents=docs)}/documents.parquet")
+    named = repeats._named(frame)
+    found = repeats.frequent_anchors(named)
+    assert len(found)
+    at = repeats._seed_rows(named, found).where("state = 2").groupBy("a").count().agg({"count": "max"}).first()[0]
+    assert at <= 4
+    monkeypatch.setattr(repeats, "MOST_OFTEN", 0)
+    assert not len(repeats.frequent_anchors(named))
+    got = rows(repeats.without_repeats(frame), "doc_id")
+    assert [r["n_removed"] for r in got] == [0] * 200 + [42] * 3
+
+
 def test_a_document_repeats_itself(spark, tables):
     w = [f"a{i}" for i in range(20)]
     got = rows(repeats.repeats(spark, tables(documents=[(1, " ".join(w * 3), "en", "a", 1), (2, " ".join(["z"] * 60), "en", "a", 1)])), "doc_id")
