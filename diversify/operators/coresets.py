@@ -22,8 +22,11 @@ def schema(v: str) -> str:
     return f"part_id long, pid long, v {v}, anchor_pid long, pick_rank long, mult long, radius double"
 
 
-def build(parted: DataFrame, m: int, kind: str = "anchors", cap: int = 1, metric: str = "euclid") -> DataFrame:
-    """Core-set of each part of (pid, v, part_id): kind 'anchors', 'delegates' (up to ``cap`` rows an anchor) or 'counts' (mult up to ``cap``)."""
+def build(parted: DataFrame, m: int, kind: str = "anchors", cap: int = 1, metric: str = "euclid", by: str | None = None) -> DataFrame:
+    """Core-set of each part of (pid, v, part_id): kind 'anchors', 'delegates' (up to ``cap`` rows an anchor) or 'counts' (mult up to ``cap``).
+
+    With ``by`` a part is one of (by, part_id), and the column is kept.
+    """
 
     def made(t: pa.Table) -> pa.Table:
         b = block_of(t, metric)
@@ -36,12 +39,14 @@ def build(parted: DataFrame, m: int, kind: str = "anchors", cap: int = 1, metric
         v = v_of(t, ids)
         part = t.column("part_id")[0].as_py()
         ranks = [rank[a] for a, _ in pairs]
-        return pa.table({
+        own = {by: pa.array([t.column(by)[0].as_py()] * len(pairs), t.schema.field(by).type)} if by else {}
+        return pa.table(own | {
             "part_id": pa.array([part] * len(pairs), pa.int64()), "pid": pa.array(ids), "v": v, "anchor_pid": pa.array(anchors), "pick_rank": pa.array(ranks, pa.int64()),
             "mult": pa.array([int(mult[r]) for r in ranks], pa.int64()), "radius": pa.array([last if kind != "anchors" else float(radii[r]) for r in ranks], pa.float64()),
         })
 
-    return parted.groupBy("part_id").applyInArrow(made, schema(parted.schema["v"].dataType.simpleString()))
+    first = f"{by} {parted.schema[by].dataType.simpleString()}, " if by else ""
+    return parted.groupBy(*([by] if by else []), "part_id").applyInArrow(made, first + schema(parted.schema["v"].dataType.simpleString()))
 
 
 def random_cap(k: int, n: int, parts: int, c: float = 2.0) -> int:

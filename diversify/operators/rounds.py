@@ -14,6 +14,8 @@ from diversify.plans.params import part_count, strict
 
 #: Rows of a part that a task is to hold in ``pick``.
 TASK_ROWS = 1_000_000
+#: Most large groups that ``grouped_rounds`` broadcasts; more are joined by a shuffle.
+LARGE_GROUPS = 100_000
 
 
 def core_set(space: PointSpace, k: int, k_prime: int, parts: int, objective: str, mode: str = "mod", seed: int = 0, cap: int | None = None, axes: tuple[str, ...] = ()) -> DataFrame:
@@ -112,6 +114,33 @@ def multi_round(space: PointSpace, k: int, k_prime: int, max_rows: int, objectiv
     return solvers.solve(rows, k, objective, space.metric)
 
 
+def grouped_rounds(space: PointSpace, by: str, k: int, k_prime: int, objective: str, max_rows: int = TASK_ROWS, mode: str = "hash") -> DataFrame:
+    """(by, pid, pick_rank, v, value): k diverse rows of each group, however unequal the groups are. A null is a group too.
+
+    A group of at most ``max_rows`` rows is solved as it is. Larger ones are split in parts of about so many rows and replaced by their parts' core-sets,
+    until they fit; ``max_rows`` must be twice a core-set at least, so that each level shrinks them. The driver reads numbers of groups only.
+    """
+    kind, size = ("delegates", k_prime * k) if strict(objective) else ("anchors", k_prime)
+    if max_rows < 2 * size:
+        raise ValueError(f"max_rows must be at least {2 * size}, twice the core-set of a part")
+    rows, fit, level = space.slim(by), [], 0
+    while True:
+        large = rows.groupBy(F.col(by).alias("_by")).agg(F.ceil(F.count("*") / max_rows).alias("_parts")).where("_parts > 1")
+        known = large.limit(LARGE_GROUPS + 1).count()
+        if not known:
+            break
+        of = F.col(by).eqNullSafe(F.col("_by"))
+        listed = F.broadcast(large) if known <= LARGE_GROUPS else large
+        key = F.col("pid") if mode == "mod" else F.xxhash64("pid", F.lit(level))
+        parted = rows.join(listed, of).select(by, "pid", "v", F.pmod(key, F.col("_parts")).cast("long").alias("part_id"))
+        fit.append(rows.join(listed, of, "left_anti"))
+        rows = checkpoint(coresets.build(parted, k_prime, kind, k, space.metric, by).select("pid", "v", by))
+        level += 1
+    for part in fit:
+        rows = rows.unionByName(part)
+    return solvers.solve(rows, k, objective, space.metric, by=by)
+
+
 def one_pass(ordered: DataFrame, k: int, k_prime: int, objective: str, order: tuple[str, ...] = ("pid",), metric: str = "euclid", dims: int = 5000) -> DataFrame:
     """One pass over (pid, v and order columns) as one stream: the sketch, with delegates where needed, then the solver."""
     stream = ordered.withColumn("part_id", F.lit(0).cast("long"))

@@ -49,6 +49,24 @@ def test_every_method_returns_k_points_and_their_value(spark, objective):
         assert rows[0].value == pytest.approx(kernels.value(b.take(at).matrix(), objective))
 
 
+@pytest.mark.parametrize("objective", ["edge", "clique"])
+@pytest.mark.parametrize("most", [rounds.LARGE_GROUPS, 0])
+def test_groups_of_any_size(spark, monkeypatch, objective, most):
+    monkeypatch.setattr(rounds, "LARGE_GROUPS", most)
+    rng = np.random.default_rng(4)
+    rows = [(i, int(a), int(b), None if i % 50 == 0 else 0 if i % 3 else i % 7) for i, (a, b) in enumerate(rng.integers(0, 1000, (1500, 2)))]
+    s = PointSpace(spark.createDataFrame(rows, "pid long, x long, y long, grp long").repartition(3), XY)
+    got = rounds.grouped_rounds(s, "grp", 4, 8, objective, 80).collect()
+    whole = {r.grp: r.value for r in solvers.solve(s.slim("grp"), 4, objective, by="grp").collect()}
+    of = {r[0]: r[3] for r in rows}
+    assert len(got) == 4 * len(whole) and all(of[r.pid] == r.grp for r in got)
+    small = {g for g in whole if sum(r[3] == g for r in rows) <= 80}
+    assert None in small and 0 not in small
+    assert all(r.value == whole[r.grp] if r.grp in small else r.value >= whole[r.grp] / 2 for r in got)
+    with pytest.raises(ValueError):
+        rounds.grouped_rounds(s, "grp", 4, 8, objective, 15)
+
+
 def test_two_rounds_keep_the_factor_on_small_input(spark):
     s = points(spark, 24, 3)
     for objective, (_, _, alpha) in params.REGISTRY.items():
