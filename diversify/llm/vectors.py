@@ -9,7 +9,7 @@ Equal vectors are one class and are compared once. A pair of classes that meets
 each row carries its leaves of all trees, so no pair is ever emitted. Leaves with too many classes are compared block against block.
 
 Defined cases: null vectors, zero vectors and those with null or non-finite components link with nothing (also not with equal ones);
-vectors of other lengths than most are compared with their own length only; repeated rows with one id are that id once; other columns, the label among
+vectors of other lengths than most are compared with their own length only; repeated rows get a row each and count as that id once; other columns, the label among
 them, are ignored. A null id is a row without links and without component.
 """
 
@@ -150,7 +150,7 @@ def near_vectors(vectors: DataFrame) -> DataFrame:
         edges.append(e)
         counts.append(c)
     if not by_dims:
-        return vectors.select("vec_id").distinct().select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"))
+        return vectors.select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"))
     link = edges[0]
     count = counts[0]
     for e, c in zip(edges[1:], counts[1:], strict=True):

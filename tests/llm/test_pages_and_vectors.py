@@ -198,6 +198,11 @@ def test_odd_vectors(spark, tables):
     assert all(by[i] == (0, i, True) for i in (1, 2, 3, 4, 5, 10)) and by[None] == (0, None, False)
 
 
+def test_no_vector_that_can_be_compared(spark, tables):
+    got = vectors.embeddings(spark, tables(embeddings=[(1, None, 0), (1, None, 0), (2, [0.0, 0.0], 1), (None, None, None)])).collect()
+    assert sorted((r.vec_id or 0, r.n_links, r.component_id, r.kept) for r in got) == [(0, 0, None, False), (1, 0, 1, True), (1, 0, 1, True), (2, 0, 2, True)]
+
+
 def test_no_vectors_and_clashing_columns(spark, tables):
     d = tables()
     assert vectors.embeddings(spark, d).collect() == []
