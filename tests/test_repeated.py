@@ -51,3 +51,7 @@ def agree(spark, name, where):
 
 def test_groups_that_do_not_fit_after_two_levels(spark, tmp_path):
     agree(spark, "a_group_rounds", folder(tmp_path, customer="SELECT * REPLACE (c_custkey + r * 1000 AS c_custkey, c_nationkey % 2 AS c_nationkey, c_acctbal + r * 7.0 AS c_acctbal) FROM customer, range(24) t(r)"))
+
+
+def test_levels_of_a_strict_objective_follow_the_oracle(spark, tmp_path):
+    agree(spark, "mr_multi_clique", folder(tmp_path, part=times("part", "p_partkey", 130)))
