@@ -46,3 +46,17 @@ def test_local_search_ends_where_no_swap_gains():
             for z in set(range(25)) - set(found):
                 other = [z if i == a else i for i in found]
                 assert kernels.clique(d[np.ix_(other, other)]) <= best + 1e-6
+
+
+def test_matching_by_reach_takes_the_pairs_of_the_whole_list(monkeypatch):
+    seen = []
+    monkeypatch.setattr(kernels.Block, "keys", lambda self, i, real=kernels.Block.keys: seen.append(len(self)) or real(self, i))
+    for b in blocks(30, 40):
+        free, want = set(range(30)), []
+        for _ in range(3):
+            pairs = sorted((-b.keys(i)[j], i, j) for i, j in combinations(sorted(free), 2))
+            want += pairs[0][1:]
+            free -= set(pairs[0][1:])
+        assert kernels.heavy_matching(b, 6) == want
+    seen.clear()
+    assert len(kernels.heavy_matching(large(), 6)) == 6 and len(seen) < 100  # not every point's distances
