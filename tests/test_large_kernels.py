@@ -60,3 +60,11 @@ def test_matching_by_reach_takes_the_pairs_of_the_whole_list(monkeypatch):
         assert kernels.heavy_matching(b, 6) == want
     seen.clear()
     assert len(kernels.heavy_matching(large(), 6)) == 6 and len(seen) < 100  # not every point's distances
+
+
+@pytest.mark.parametrize("objective", ["edge", "clique", "star", "bipartition", "tree", "cycle"])
+def test_best_of_boxes_is_the_first_best_triple(objective):
+    for b in blocks(18, 30):
+        d = b.matrix()
+        want = max(combinations(range(18), 3), key=lambda t: (round(kernels.value(d[np.ix_(t, t)], objective), 9), tuple(-i for i in t)))
+        assert kernels.brute_force(b, 3, objective)[0] == list(want)
