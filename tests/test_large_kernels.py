@@ -68,3 +68,12 @@ def test_best_of_boxes_is_the_first_best_triple(objective):
         d = b.matrix()
         want = max(combinations(range(18), 3), key=lambda t: (round(kernels.value(d[np.ix_(t, t)], objective), 9), tuple(-i for i in t)))
         assert kernels.brute_force(b, 3, objective)[0] == list(want)
+
+
+@pytest.mark.parametrize("objective", ["edge", "clique", "star", "bipartition", "tree", "cycle"])
+def test_best_of_boxes_needs_no_matrix(no_large_matrix, objective):
+    b = large()
+    at, best = kernels.brute_force(b, 3, objective)
+    assert len(set(at)) == 3 and abs(kernels.value(b.take(at).matrix(), objective) - best) < 1e-6
+    rng = np.random.default_rng(2)  # no random triple is better
+    assert all(kernels.value(b.take(rng.choice(6000, 3, False)).matrix(), objective) <= best + 1e-6 for _ in range(200))
