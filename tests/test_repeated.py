@@ -61,3 +61,7 @@ def test_as_of_takes_the_largest_of_one_second_and_keeps_nulls(spark, tmp_path):
     made = """SELECT event_id * 8 + r AS event_id, to_timestamp(1704067200 + (event_id % 40) * 10)::TIMESTAMP AS ts, CASE WHEN event_id % 9 = 0 THEN NULL ELSE event_id % 5 END AS user_id,
         event_type, CASE WHEN event_id % 40 % 7 = 3 THEN NULL ELSE value + (r * 37 + event_id * 11) % 100 END AS value, props FROM events, range(8) t(r)"""
     agree(spark, "j_asof", folder(tmp_path, events=made))
+
+
+def test_audit_of_copies(spark, tmp_path):
+    agree(spark, "d_audit", folder(tmp_path, supplier=times("supplier", "s_suppkey", 6)))
