@@ -65,3 +65,11 @@ def test_as_of_takes_the_largest_of_one_second_and_keeps_nulls(spark, tmp_path):
 
 def test_audit_of_copies(spark, tmp_path):
     agree(spark, "d_audit", folder(tmp_path, supplier=times("supplier", "s_suppkey", 6)))
+
+
+@pytest.mark.parametrize("name", ["d_euclid", "d_manhattan", "d_chebyshev"])
+def test_copies_are_members_of_a_class(spark, tmp_path, name):
+    where = folder(tmp_path, supplier=times("supplier", "s_suppkey", 5))
+    agree(spark, name, where)
+    n = spark.read.parquet(f"{where}/supplier.parquet").select("s_suppkey").count() // 5
+    assert queries.QUERIES[name](spark, where).count() <= n * (n - 1) // 2 + 4 * n
