@@ -362,3 +362,21 @@ def test_stream_by_angle_covers_its_points(spark):
     found = rounds.split_round(space, 5, 12, "edge")
     assert found.count() == 5 and set(found.schema["v"].dataType.typeName() for _ in [0]) == {"array"}
     assert streaming.restore(streaming.dump(s)).metric == "angular"
+
+
+@pytest.mark.parametrize("together", [1, 3, 1000])
+def test_traverse_picks_as_build_without_gathering_a_part(spark, monkeypatch, together):
+    rng = np.random.default_rng(3)
+    rows = [(int(i), [x for t in sorted(rng.choice(12, int(rng.integers(1, 4)), False).tolist()) for x in (t, int(rng.integers(1, 4)))]) for i in rng.permutation(120)]
+    df = spark.createDataFrame(rows, "pid long, v array<long>").repartition(5)
+    want = {}
+    for n in (2, 3, 200):
+        built = coresets.build(df.withColumn("part_id", F.col("pid") % n), 9, metric="sparse")
+        want |= {(n, r.part_id, r.pick_rank): r.pid for r in built.collect()}
+    monkeypatch.setattr(coresets, "NEXT", together)
+    monkeypatch.setattr(coresets, "build", None)
+    most = []
+    monkeypatch.setattr(coresets, "_picked_on", lambda left, real=coresets._picked_on: most.append(left) or real(left))
+    got = coresets.traverse(df, 9, [2, 3, 200], dims=12).collect()
+    assert {(r.parts, r.part_id, r.pick_rank): r.pid for r in got} == want
+    assert len(most) <= 9 and (together < 1000 or len(most) == 2)
