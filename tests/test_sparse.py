@@ -1,7 +1,12 @@
+import os
+
 import numpy as np
 import pytest
 
+from diversify import queries
 from diversify.functions import metrics
+from diversify.operators import coresets, rounds
+from diversify.queries import experiments
 
 
 def counts(n):
@@ -39,3 +44,15 @@ def test_angles_by_strips_are_those_of_pairs(spark, monkeypatch, rows, block):
     dots = {(i, j): sum(c * vectors[j].get(t, 0) for t, c in vectors[i].items()) for i in vectors for j in vectors if i < j}
     assert {p: x for p, (x, _) in got.items()} == {p: x for p, x in dots.items() if x}
     assert all(d == round(float(np.arccos(min(1, x / np.sqrt(float(norm[i] * norm[j]))))), 6) for (i, j), (x, d) in got.items())
+
+
+@pytest.mark.skipif(not os.path.isdir("/root/testdata/sf0.001"), reason="no test tables here")
+def test_text_runs_take_both_rounds_each(spark, monkeypatch):
+    runs, parts = [], []
+    whole, first = rounds.two_round, coresets.traverse
+    monkeypatch.setattr(rounds, "two_round", lambda s, k, kp, n, *a, **b: (runs.append((kp, n)), whole(s, k, kp, n, *a, **b))[1])
+    monkeypatch.setattr(coresets, "traverse", lambda rows, m, n, *a, **b: (parts.append((m, *n)), first(rows, m, n, *a, **b))[1])
+    found = {(r.k_prime, r.parts): r.value for r in queries.QUERIES["exp_mr_text"](spark, "/root/testdata/sf0.001").collect()}
+    assert sorted(runs) == sorted(parts) == sorted(found) == [(8, 2), (8, 4), (16, 2), (16, 4)]
+    s = experiments.texts(spark, "/root/testdata/sf0.001")
+    assert found[8, 4] == round(whole(s, 8, 8, 4, "edge").first().value, 6)
