@@ -6,6 +6,9 @@ import duckdb
 import pytest
 
 from diversify import queries
+from diversify.operators import rounds, solvers
+from diversify.queries import sqltext
+from diversify.sources import tables
 
 DIR = "/root/testdata/sf0.001"
 pytestmark = pytest.mark.skipif(not os.path.isdir(DIR), reason="no test tables here")
@@ -57,6 +60,22 @@ def test_levels_of_a_strict_objective_follow_the_oracle(spark, tmp_path):
     agree(spark, "mr_multi_clique", folder(tmp_path, part=times("part", "p_partkey", 130)))
 
 
+def test_levels_go_on_until_the_union_fits(spark, tmp_path, monkeypatch):
+    where, solved, solve = folder(tmp_path, part=times("part", "p_partkey", 130)), [], solvers.solve
+    monkeypatch.setattr(solvers, "solve", lambda rows, *a, **b: (solved.append(rows.count()), solve(rows, *a, **b))[1])
+    agree(spark, "mr_multi_clique", where)
+    assert len(solved) == 1 and solved[0] <= 800 < 26_000 / 800 * 32
+
+
+@pytest.mark.parametrize("n", [2, 13])
+def test_many_levels_follow_the_oracle(spark, tmp_path, n):
+    where = folder(tmp_path, part=times("part", "p_partkey", n))
+    sql = sqltext.query([*sqltext.levels("u", sqltext.PARTS, 8, 4, 70), *sqltext.solved("s", "clique", "u", 4)], sqltext.solution("s", "s_v", "clique"))
+    want = view(duckdb.connect(), where).execute(sql).fetchall()
+    found = rounds.multi_round(tables.parts(spark, where), 4, 8, 70, "clique").collect()
+    assert sorted((r.pid, round(r.value, 6)) for r in found) == sorted((pid, value) for pid, _, value in want)
+
+
 def test_as_of_takes_the_largest_of_one_second_and_keeps_nulls(spark, tmp_path):
     made = """SELECT event_id * 8 + r AS event_id, to_timestamp(1704067200 + (event_id % 40) * 10)::TIMESTAMP AS ts, CASE WHEN event_id % 9 = 0 THEN NULL ELSE event_id % 5 END AS user_id,
         event_type, CASE WHEN event_id % 40 % 7 = 3 THEN NULL ELSE value + (r * 37 + event_id * 11) % 100 END AS value, props FROM events, range(8) t(r)"""
