@@ -4,9 +4,11 @@ import os
 
 import duckdb
 import pytest
+from pyspark.sql import functions as F
 
 from diversify import queries
-from diversify.operators import rounds, solvers
+from diversify.functions import metrics
+from diversify.operators import measures, rounds, solvers
 from diversify.queries import sqltext
 from diversify.sources import tables
 
@@ -92,3 +94,19 @@ def test_copies_are_members_of_a_class(spark, tmp_path, name):
     agree(spark, name, where)
     n = spark.read.parquet(f"{where}/supplier.parquet").select("s_suppkey").count() // 5
     assert queries.QUERIES[name](spark, where).count() <= n * (n - 1) // 2 + 4 * n
+
+
+def test_pairs_of_many_positions_are_dealt_to_tasks(spark, tmp_path, monkeypatch):
+    monkeypatch.setattr(measures, "STRIP", 5)
+    where = folder(tmp_path, supplier=times("supplier", "s_suppkey", 6, s_acctbal="CASE WHEN s_suppkey = 3 THEN NULL ELSE s_acctbal + r % 5 END"))
+    for name in ("d_euclid", "d_manhattan", "d_chebyshev"):
+        agree(spark, name, where)
+    rows = tables.suppliers(spark, where).df.where("x IS NOT NULL")
+    assert len({r.t for r in measures.strip_pairs(rows, ["x", "y"]).select(F.spark_partition_id().alias("t")).collect()}) > 20
+
+
+def test_six_digits_as_in_the_oracle(spark):
+    roots = range(1, 300_000, 7)
+    found = spark.createDataFrame([(i,) for i in roots], "i long").select("i", metrics.micro(F.sqrt(F.col("i").cast("double"))).alias("d")).collect()
+    want = duckdb.sql("SELECT i, round(sqrt(i::DOUBLE), 6) FROM range(1, 300000, 7) t(i)").fetchall()
+    assert sorted(map(tuple, found)) == sorted(want)
